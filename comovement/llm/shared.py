@@ -162,13 +162,3 @@ def components(edges: DataFrame) -> DataFrame:
         down = joined.selectExpr("v u", "m v").where("u <> v").unionByName(small.selectExpr("k u", "m v"))
         e = written(shrunk(down.distinct()).distinct(), "edges")
 
-
-def first_of_equal(df: DataFrame, key: str, order: str, name: str = "first") -> DataFrame:
-    """Adds the least ``order`` among rows of equal ``key`` (never null), for keys on several rows.
-
-    Sums by key first (map-side combine), then joins only repeated keys, under an expression of its
-    own so that both sides are dealt anew and AQE can split a hot key.
-    """
-    many = df.groupBy(F.col(key).alias("_k")).agg(F.min(order).alias(name), F.count("*").alias("_n")).where("_n > 1")
-    many = many.select(F.concat("_k", F.lit("")).alias("_k"), name)
-    return df.join(many, F.concat(F.col(key), F.lit("")) == F.col("_k"), "left").drop("_k")
