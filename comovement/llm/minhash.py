@@ -8,7 +8,9 @@ hence by at most one class, and other lists are skipped. Every list is first joi
 member only, links found so join components, and only lists that still hold several components are
 compared pair by pair, in tiles, among members of different components. All links are confirmed on
 the full shingle sets, so none is false; one at exactly the threshold is missed with probability
-about 1e-8 (binomial tail below ``matches``).
+about 1e-8 (binomial tail below ``matches``). A tile first names the members that have a pair to
+confirm, gets their sets, and then confirms its pairs itself and returns a spanning forest, so what
+is written grows with the members of a list and not with their pairs.
 
 Defined results: a null text and a text without words have an empty set and no links; a null doc_id
 is a document of its own (component null); rows that repeat a doc_id keep their own row, their link
@@ -24,10 +26,10 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import WordHashes, components, mix, pick, shingle_hashes, signed, space_words, written
+from .shared import WordHashes, among, components, contract, mix, pick, shingle_hashes, signed, space_words, written
 
 COORDINATES, MATCHES, WIDTH, PERCENT = 48, 26, 5, 85
-TILE = 4096
+TILE = 512
 
 
 def _coefficients(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -35,8 +37,10 @@ def _coefficients(n: int) -> tuple[np.ndarray, np.ndarray]:
     return (rng.integers(0, 2**63, n, dtype=np.uint64) << np.uint64(1)) | np.uint64(1), rng.integers(0, 2**63, n, dtype=np.uint64)
 
 
-def sketcher(coordinates: int = COORDINATES, width: int = WIDTH):
-    """mapInPandas body: (doc_id, text) -> shingle count, 128-bit set fingerprint, signature."""
+def sketcher(coordinates: int = COORDINATES, matches: int = MATCHES, width: int = WIDTH):
+    """mapInPandas body: (doc_id, text) -> shingle count, 128-bit set fingerprint, the coordinates to
+    post, and 16 bits of every coordinate to count agreements by."""
+    prefix = coordinates - matches + 1
 
     def run(batches):
         words, (a, b) = WordHashes(), _coefficients(coordinates)
@@ -45,16 +49,16 @@ def sketcher(coordinates: int = COORDINATES, width: int = WIDTH):
             for doc_id, text in zip(pdf["doc_id"], pdf["text"]):
                 h = np.unique(shingle_hashes(words.of(space_words(text)), width))
                 if not len(h):
-                    rows.append((doc_id, 0, None, None, None))
+                    rows.append((doc_id, 0, None, None, None, None))
                     continue
                 low = np.full(coordinates, np.uint64(2**64 - 1))
                 for k in range(0, len(h), 2048):  # whole sets, in pieces that stay in cache
                     part = h[k : k + 2048]
                     np.minimum(low, (part[None, :] * a[:, None] + b[:, None]).min(axis=1), out=low)
-                sig = (low >> np.uint64(32)).astype(np.uint32).view(np.int32)
+                sig = (low >> np.uint64(32)).astype(np.uint32)
                 fp = np.array([h.sum(dtype=np.uint64), mix(h ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)]).view(np.int64)
-                rows.append((doc_id, len(h), int(fp[0]), int(fp[1]), sig))
-            yield pd.DataFrame(rows, columns=["doc_id", "n_shingles", "fp1", "fp2", "sig"]).astype({"doc_id": "Int64", "fp1": "Int64", "fp2": "Int64"})
+                rows.append((doc_id, len(h), int(fp[0]), int(fp[1]), sig[:prefix].view(np.int32), sig.astype("<u2").tobytes()))
+            yield pd.DataFrame(rows, columns=["doc_id", "n_shingles", "fp1", "fp2", "posted", "sig"]).astype({"doc_id": "Int64", "fp1": "Int64", "fp2": "Int64"})
 
     return run
 
@@ -69,46 +73,90 @@ def _sets(width: int):
     return run
 
 
-def _collisions(matches: int, percent: int):
-    """mapInPandas body over rows sorted by (key, tile pair, n): pairs of one list and tile pair in
-    different components whose sizes fit, whose first common coordinate is this list's, and whose
-    signatures agree often enough. Holds one tile pair and a batch at a time."""
-
-    def pairs(t: pd.DataFrame):
-        group, n = t["g"].to_numpy(), t["n"].to_numpy()
-        sig = np.stack(t["sig"].to_numpy())
-        comp, rep, coord, guest, side = (t[c].to_numpy() for c in ("comp", "rep", "coord", "guest", "side"))
-        alive, step, out = np.arange(len(t)), 1, []
-        while len(alive):
-            alive = alive[alive + step < len(t)]
-            a, b = alive, alive + step
-            ok = (group[a] == group[b]) & (n[a] * 100 >= n[b] * percent)
-            alive = a = alive[ok]
-            b = alive + step
-            ok = (comp[a] != comp[b]) & ~(guest[a] & guest[b]) & (side[a] | side[b] == 3)
-            a, b = a[ok], b[ok]
-            for k in range(0, len(a), 65536):
-                x, y = a[k : k + 65536], b[k : k + 65536]
-                same = sig[x] == sig[y]
-                ok = (same.argmax(axis=1) == coord[x]) & (same.sum(axis=1) >= matches)
-                out.append(np.stack([rep[x[ok]], rep[y[ok]]], axis=1))
-            step += 1
-        return np.concatenate(out) if out else np.empty((0, 2), np.int64)
+def _tiles(batches):
+    """Whole tile pairs (rows of equal key, i, j, which come sorted), several in one frame; ``g`` numbers them."""
+    rest = None
+    for pdf in batches:
+        t = pdf if rest is None else pd.concat([rest, pdf], ignore_index=True)
+        key = t[["key", "i", "j"]].to_numpy()
+        new = np.append(True, (key[1:] != key[:-1]).any(axis=1))
+        cut = int(np.flatnonzero(new)[-1])
+        if cut:
+            yield t.iloc[:cut].assign(g=np.cumsum(new[:cut])).reset_index(drop=True)
+        rest = t.iloc[cut:]
+    if rest is not None and len(rest):
+        yield rest.assign(g=0).reset_index(drop=True)
+
+
+def _pairs(t: pd.DataFrame, matches: int, percent: int):
+    """Row numbers (a, b), in blocks, of pairs of one tile pair in different components whose sizes fit,
+    whose first common coordinate is this list's, and whose signatures agree often enough.
+
+    Rows are sorted by size within a tile pair, so a row is compared with the next ones while sizes fit."""
+    group, n = t["g"].to_numpy(), t["n"].to_numpy()
+    sig = np.stack([np.frombuffer(x, "<u2") for x in t["sig"]])
+    comp, coord, guest, side = (t[c].to_numpy() for c in ("comp", "coord", "guest", "side"))
+    alive, step = np.arange(len(t)), 1
+    while len(alive):
+        alive = alive[alive + step < len(t)]
+        a, b = alive, alive + step
+        ok = (group[a] == group[b]) & (n[a] * 100 >= n[b] * percent)
+        alive = a = alive[ok]
+        b = alive + step
+        ok = (comp[a] != comp[b]) & ~(guest[a] & guest[b]) & (side[a] | side[b] == 3)
+        a, b = a[ok], b[ok]
+        for k in range(0, len(a), 65536):
+            x, y = a[k : k + 65536], b[k : k + 65536]
+            same = sig[x] == sig[y]
+            ok = (same.argmax(axis=1) == coord[x]) & (same.sum(axis=1) >= matches)
+            if ok.any():
+                yield x[ok], y[ok]
+        step += 1
+
+
+def _involved(matches: int, percent: int):
+    """mapInPandas body: the rows of each tile pair that have a pair to confirm."""
+
+    def run(batches):
+        for t in _tiles(batches):
+            hit = np.zeros(len(t), bool)
+            for a, b in _pairs(t, matches, percent):
+                hit[a] = hit[b] = True
+            yield t.loc[hit].drop(columns="g")
+
+    return run
+
+
+def _linked(matches: int, percent: int):
+    """mapInPandas body: rows of tile pairs with their sets to the forest (u, v) of confirmed links."""
 
     def run(batches):
-        rest = None
+        for t in _tiles(batches):
+            n, label = t["n"].to_numpy(), np.arange(len(t))
+            sets = t["items"].to_numpy()
+            for a, b in _pairs(t, matches, percent):
+                open_ = label[a] != label[b]
+                a, b = a[open_], b[open_]
+                common = np.array([len(np.intersect1d(sets[x], sets[y], assume_unique=True)) for x, y in zip(a, b)], np.int64)
+                ok = 100 * common >= percent * (n[a] + n[b] - common)
+                label = contract(a[ok], b[ok], label)
+            rep = t["rep"].to_numpy()
+            moved = label != np.arange(len(t))
+            yield pd.DataFrame({"u": rep[moved], "v": rep[label[moved]]})
+
+    return run
+
+
+def _sets_of(ids: DataFrame, docs: DataFrame, width: int) -> DataFrame:
+    """(id, items): the shingle set of each document named in ids (_id)."""
+    return among(docs, "doc_id", ids, "_id").mapInPandas(_sets(width), "id long, items array<long>").dropDuplicates(["id"])
+
+
+def _agreeing(matches: int):
+    def run(batches):
         for pdf in batches:
-            t = pdf if rest is None else pd.concat([rest, pdf], ignore_index=True)
-            last = t[["key", "i", "j"]].iloc[-1]
-            cut = int(((t["key"] != last["key"]) | (t["i"] != last["i"]) | (t["j"] != last["j"])).sum())
-            t["g"] = (t[["key", "i", "j"]] != t[["key", "i", "j"]].shift()).any(axis=1).cumsum()
-            done, rest = t.iloc[:cut].reset_index(drop=True), t.iloc[cut:].drop(columns="g")
-            if cut:
-                p = pairs(done)
-                yield pd.DataFrame({"a": p.min(axis=1), "b": p.max(axis=1)})
-        if rest is not None:
-            p = pairs(rest.assign(g=0).reset_index(drop=True))
-            yield pd.DataFrame({"a": p.min(axis=1), "b": p.max(axis=1)})
+            same = np.stack([np.frombuffer(x, "<u2") for x in pdf["sa"]]) == np.stack([np.frombuffer(x, "<u2") for x in pdf["sb"]]) if len(pdf) else np.zeros((0, 1), bool)
+            yield pdf.loc[same.sum(axis=1) >= matches, ["a", "b"]]
 
     return run
 
@@ -116,19 +164,18 @@ def _collisions(matches: int, percent: int):
 def _confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
     """The pairs (a, b) of document ids that are linked on their full shingle sets."""
     ids = pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct()
-    sets = written(docs.join(ids, F.col("doc_id") == F.col("_id"), "left_semi").mapInPandas(_sets(width), "id long, items array<long>").dropDuplicates(["id"]), "sets")
+    sets = written(_sets_of(ids, docs, width), "sets")
     left, right = sets.selectExpr("id a", "items x"), sets.selectExpr("id b", "items y")
     common = F.size(F.array_intersect("x", "y"))
     return pairs.join(left, "a").join(right, "b").where(100 * common >= percent * (F.size("x") + F.size("y") - common)).select("a", "b")
 
 
-def links(docs: DataFrame, classes: DataFrame, coordinates: int, matches: int, width: int, percent: int) -> DataFrame:
+def links(docs: DataFrame, classes: DataFrame, matches: int, width: int, percent: int) -> DataFrame:
     """Edges (u, v) between class representatives, enough to connect all that similarity links connect.
 
-    classes: rep, n, sig of each distinct shingle set."""
-    prefix = coordinates - matches + 1
+    classes: rep, n, posted, sig of each distinct shingle set."""
     reps = classes.withColumn("cls", F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(100 / percent)) + F.lit(1e-9)).cast("int"))
-    posts = reps.select("rep", "n", "cls", F.posexplode(F.slice("sig", 1, prefix)).alias("coord", "value"))
+    posts = reps.select("rep", "n", "cls", F.posexplode("posted").alias("coord", "value"))
     posts = posts.select("rep", "n", "coord", F.explode(F.array(F.struct(F.col("cls").alias("c"), F.lit(False).alias("guest")), F.struct((F.col("cls") + 1).alias("c"), F.lit(True).alias("guest")))).alias("at"), "value")
     posts = posts.select(F.xxhash64("coord", "value", "at.c").alias("key"), "rep", "coord", "at.guest")
     lists = posts.groupBy("key").agg(F.min(F.when(~F.col("guest"), F.col("rep"))).alias("hub"), F.count("*").alias("size"), F.max("guest").alias("guests"), F.max("rep").alias("most"), F.min("rep").alias("least"))
@@ -139,11 +186,11 @@ def links(docs: DataFrame, classes: DataFrame, coordinates: int, matches: int, w
 
     def agreeing(p: DataFrame) -> DataFrame:
         x, y = signature.selectExpr("rep a", "n na", "sig sa"), signature.selectExpr("rep b", "n nb", "sig sb")
-        same = F.aggregate(F.zip_with("sa", "sb", lambda l, r: F.when(l == r, 1).otherwise(0)), F.lit(0), lambda s, v: s + v)
-        return p.join(x, "a").join(y, "b").where((F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent) & (same >= matches)).select("a", "b")
+        sized = p.join(x, "a").join(y, "b").where(F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent)
+        return sized.select("a", "b", "sa", "sb").mapInPandas(_agreeing(matches), "a long, b long")
 
     hubs = members.where("rep <> hub").select(F.least("rep", "hub").alias("a"), F.greatest("rep", "hub").alias("b")).distinct()
-    found = written(_confirmed(agreeing(hubs), docs, width, percent).selectExpr("a u", "b v"), "links")
+    found = written(_confirmed(written(agreeing(hubs), "pairs"), docs, width, percent).selectExpr("a u", "b v"), "links")
 
     comp = components(found)
     known = members.join(comp, F.col("rep") == F.col("node"), "left").select("key", "rep", "coord", "guest", "size", F.coalesce("component", "rep").alias("comp"))
@@ -154,22 +201,23 @@ def links(docs: DataFrame, classes: DataFrame, coordinates: int, matches: int, w
     pairs_of_tiles = F.transform(F.sequence(F.lit(0), tiles - 1), lambda o: F.struct(F.least("t", o).alias("i"), F.greatest("t", o).alias("j")))
     left = left.withColumn("p", F.explode(pairs_of_tiles)).select("key", F.col("p.i").alias("i"), F.col("p.j").alias("j"), "rep", "coord", "guest", "comp", F.when(F.col("p.i") == F.col("p.j"), 3).when(F.col("t") == F.col("p.i"), 1).otherwise(2).alias("side"))
     left = left.join(signature, "rep").select("key", "i", "j", "rep", "coord", "guest", "comp", "side", "n", "sig")
-    left = left.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "rep")
-    rest = written(left.mapInPandas(_collisions(matches, percent), "a long, b long").distinct(), "pairs")
-    more = _confirmed(rest, docs, width, percent).selectExpr("a u", "b v")
+    together = lambda df: df.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "rep")
+    involved = written(together(left).mapInPandas(_involved(matches, percent), left.schema), "involved")
+    sets = _sets_of(involved.select(F.col("rep").alias("_id")).distinct(), docs, width)
+    more = together(involved.join(sets, F.col("rep") == F.col("id")).drop("id")).mapInPandas(_linked(matches, percent), "u long, v long")
     return found.unionByName(more)
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, width: int = WIDTH, coordinates: int = COORDINATES, matches: int = MATCHES) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of each row of docs."""
     own = pick(docs, doc_id=id_col, text=text_col)
-    sketches = written(own.mapInPandas(sketcher(coordinates, width), "doc_id long, n_shingles long, fp1 long, fp2 long, sig array<int>"), "sketches")
+    sketches = written(own.mapInPandas(sketcher(coordinates, matches, width), "doc_id long, n_shingles long, fp1 long, fp2 long, posted array<int>, sig binary"), "sketches")
     full = sketches.where("fp1 is not null and doc_id is not null")
-    classes = written(full.groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.min("sig").alias("sig")), "classes")
+    classes = written(full.groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.min("posted").alias("posted"), F.min("sig").alias("sig")), "classes")
     same = full.select(F.concat_ws(":", "fp1", "fp2").alias("k"), "doc_id")
     dealt = classes.select(F.concat_ws(":", "fp1", "fp2").alias("k"), "rep")
     equal = same.join(dealt, "k").where("doc_id <> rep").selectExpr("doc_id u", "rep v")
-    between = links(own, classes.select("rep", "n", "sig"), coordinates, matches, width, percent)
+    between = links(own, classes.select("rep", "n", "posted", "sig"), matches, width, percent)
     comp = components(equal.unionByName(between))
     joined = sketches.join(comp, F.col("doc_id") == F.col("node"), "left")
     component = F.coalesce("component", "doc_id")

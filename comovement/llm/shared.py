@@ -111,6 +111,31 @@ def signed(h: np.ndarray) -> np.ndarray:
     return h.view(np.int64)
 
 
+def among(df: DataFrame, id_col: str, ids: DataFrame, key: str, bits: int = 22) -> DataFrame:
+    """Rows of df whose id is in ids. A bitmap of 2^bits hashed ids (a broadcast of fixed size) drops
+    most other rows before df is shuffled; where ids are so many that it fills up, it drops none."""
+    slot = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << bits))
+    word, bit = (lambda c: F.shiftright(slot(c), 6)), (lambda c: F.expr(f"shiftleft(1L, cast(pmod(xxhash64({c}), 64) as int))"))
+    bitmap = ids.groupBy(word(key).alias("_word")).agg(F.bit_or(bit(key)).alias("_bits"))
+    kept = df.join(F.broadcast(bitmap), (word(id_col) == F.col("_word")) & (F.col("_bits").bitwiseAND(bit(id_col)) != 0), "left_semi")
+    return kept.join(ids, F.col(id_col) == F.col(key), "left_semi")
+
+
+def contract(a: np.ndarray, b: np.ndarray, label: np.ndarray) -> np.ndarray:
+    """Least label of each vertex's component once the edges (a, b) are added."""
+    while len(a):
+        x, y = label[a], label[b]
+        open_ = x != y
+        a, b, x, y = a[open_], b[open_], x[open_], y[open_]
+        np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
+        while True:
+            up = label[label]
+            if (up == label).all():
+                break
+            label = up
+    return label
+
+
 def _forest(batches):
     """Spanning forest of the edges of one partition: each node with the least node it reaches here."""
     parent: dict[int, int] = {}

@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import components, pick, written
+from .shared import components, contract, pick, written
 
 LEAST, BLOCKS, TILE = 0.9, 8, 16384
 
@@ -70,21 +70,6 @@ def _deal(blocks: int, least: float, tile: int):
     return run
 
 
-def _contract(n: int, a: np.ndarray, b: np.ndarray, label: np.ndarray) -> np.ndarray:
-    """Least label of each vertex's component once the edges (a, b) are added."""
-    while len(a):
-        x, y = label[a], label[b]
-        open_ = x != y
-        a, b, x, y = a[open_], b[open_], x[open_], y[open_]
-        np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
-        while True:
-            up = label[label]
-            if (up == label).all():
-                break
-            label = up
-    return label
-
-
 def _join(blocks: int, least: float):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("rep", ignore_index=True)
@@ -115,7 +100,7 @@ def _join(blocks: int, least: float):
                 p, q = p[close], q[close]
                 np.add.at(links, p, weight[q])
                 np.add.at(links, q, weight[p])
-                label = _contract(n, p, q, label)
+                label = contract(p, q, label)
         rep = pdf["rep"].to_numpy()
         out = pd.DataFrame({"rep": rep, "links": links, "root": rep[label]})
         return out[(links > 0) | (label != np.arange(n))]
