@@ -1,3 +1,681 @@
-"""The registered queries of the trajectory engine."""
+"""The registered queries of the trajectory engine: (spark, sf_dir) -> DataFrame."""
 
-QUERIES = {}
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from . import metrics, points, sqlapi, workloads
+from .engine import SubtrajectoryJoin
+from .functions.cells import axis_cell, cell_path, morton
+from .functions.distance import sq_vector
+from .operators import apps, baselines, classify, general, pointjoin, refine, semantics
+from .params import HOUR, SET_A, SET_B, SET_C, JoinParams
+from .plans import partitioning, quadtree
+from .sources import store
+from .sources.scratch import scratch
+from .sources.tables import table
+from .streaming import joins
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+P10 = JoinParams(10.0, 2 * HOUR)
+
+
+def query(f: Query) -> Query:
+    QUERIES[f.__name__] = f
+    return f
+
+
+def events(spark: SparkSession, d: str, companions: bool = False, where: str = "true") -> DataFrame:
+    """Points of events, with twins or not, filtered, numbered."""
+    pts = points.from_events(table(spark, d, "events"))
+    return points.with_sequence((points.companions(pts) if companions else pts).where(where))
+
+
+def raw(spark: SparkSession, d: str) -> DataFrame:
+    return points.from_events(table(spark, d, "events"))
+
+
+def pairs(spark: SparkSession, d: str, method: str = "indexed", params: JoinParams = P10, where: str = "true", **options) -> DataFrame:
+    return pointjoin.joining_pairs(events(spark, d, where=where), None, params, method, **options)
+
+
+def matched(spark: SparkSession, d: str, params: JoinParams, method: str = "indexed", companions: bool = True, **options) -> DataFrame:
+    return SubtrajectoryJoin(params, method, **options).run(events(spark, d, companions))
+
+
+def flagship(spark: SparkSession, d: str) -> DataFrame:
+    return matched(spark, d, SET_B)
+
+
+@query
+def points_events(spark, d):
+    return raw(spark, d)
+
+
+@query
+def points_lineitem_dedup(spark, d):
+    return points.from_lineitem(table(spark, d, "lineitem"))
+
+
+@query
+def points_orders(spark, d):
+    return points.from_orders(table(spark, d, "orders"), table(spark, d, "customer"))
+
+
+@query
+def traj_sequence(spark, d):
+    return events(spark, d).select("traj", "seq", "t", "pid", "prev_t", "next_t", "prev_x", "next_x")
+
+
+@query
+def traj_summary(spark, d):
+    return points.summary(raw(spark, d))
+
+
+@query
+def traj_gaps(spark, d):
+    pts = events(spark, d)
+    return general.runs(classify.breaking_points(pts, pointjoin.joining_pairs(pts, None, P10)), ["traj"], "seq")
+
+
+@query
+def traj_sessions(spark, d):
+    return points.split_on_gap(raw(spark, d), 24 * HOUR).groupBy("traj", "trip").agg(F.count("*").alias("n"), F.min("t").alias("t_from"), F.max("t").alias("t_to"))
+
+
+@query
+def lifespan_pairs(spark, d):
+    s = points.summary(raw(spark, d).where("traj < 50"))
+    return points.common_lifespans(s, s, 480 * HOUR, 240 * HOUR).where("r_traj < s_traj")
+
+
+@query
+def traj_nested(spark, d):
+    nested = points.to_arrays(events(spark, d))
+    return nested.select("traj", F.size("points").cast("long").alias("n"), F.element_at("points", 1)["t"].alias("first_t"), F.element_at("points", -1)["t"].alias("last_t"))
+
+
+@query
+def traj_slice(spark, d):
+    pts = events(spark, d)
+    pieces = pts.where("traj < 20").select("traj").distinct().selectExpr("traj", "3L seq_from", "7L seq_to")
+    return points.cut(pts, pieces).select("traj", "seq", "t", "pid")
+
+
+@query
+def traj_clean(spark, d):
+    return points.clean(raw(spark, d), box=(float("-inf"), 5.0, 300.0, float("inf")), min_points=40)
+
+
+@query
+def jp_naive(spark, d):
+    return pairs(spark, d, "naive", where="traj < 40")
+
+
+for _name, _method, _options in (
+    ("slab_nested", "slab_nested_loop", {}), ("basic", "basic", {}), ("prepart", "prepart", {}), ("indexed", "indexed", {}), ("grid", "gridtile", {}),
+    ("grid_distinct", "gridtile", {"dedupe": "distinct"}), ("sweep_kernel", "sweep", {}), ("indexed_no_spatial_index", "prepart", {}),
+):
+    QUERIES[f"jp_{_name}"] = lambda spark, d, m=_method, o=_options: pairs(spark, d, m, **o)
+
+
+@query
+def jp_indexed_no_traj_index(spark, d):
+    """Ablation: the numbering is not stored but made again at query time for the reference side."""
+    bare = pairs(spark, d).drop("r_seq", "s_seq")
+    pts = events(spark, d).select("traj", "seq", "t")
+    one = pts.groupBy("traj", "t").agg(F.min("seq").alias("seq"), F.count("*").alias("n"))
+    r, s = one.selectExpr("traj r_traj", "t r_t", "seq r_seq"), one.selectExpr("traj s_traj", "t s_t", "seq s_seq")
+    return bare.join(r, ["r_traj", "r_t"]).join(s, ["s_traj", "s_t"]).select(*pointjoin.OUT)
+
+
+@query
+def jp_halo_source(spark, d):
+    """Map-side join: every task reads a self-sufficient slab and sweeps it."""
+    prepared = store.prepare(raw(spark, d), scratch(spark, "store"))
+    local = store.PreparedStore(prepared.path.removeprefix("file:"), prepared.slabs, prepared.tree)
+    rows = store.halo(spark, local, P10)
+    return rows.groupBy("slab").applyInPandas(pointjoin.sweep_slab(P10), "r_traj long, r_seq long, r_t long, s_traj long, s_seq long, s_t long")
+
+
+@query
+def jp_two_relation(spark, d):
+    pts = raw(spark, d)
+    left, right = (points.with_sequence(pts.where(f"pmod(traj, 2) = {k}")) for k in (0, 1))
+    return pointjoin.joining_pairs(left, right, P10, "indexed")
+
+
+@query
+def jp_metric_manhattan(spark, d):
+    return pairs(spark, d, params=JoinParams(10.0, 2 * HOUR, metric="manhattan"))
+
+
+@query
+def jp_metric_chebyshev(spark, d):
+    return pairs(spark, d, params=JoinParams(10.0, 2 * HOUR, metric="chebyshev"))
+
+
+@query
+def jp_embeddings(spark, d):
+    e = table(spark, d, "embeddings").select("vec_id", "label", "embedding")
+    r, s = e.selectExpr("vec_id r_id", "label r_label", "embedding r_v"), e.selectExpr("vec_id s_id", "label s_label", "embedding s_v")
+    near = general.band_join(r, s, "r_id", "s_id", 25).where("r_label <> s_label")
+    return near.where(sq_vector(F.col("r_v"), F.col("s_v")) <= 120.5).select("r_id", "s_id")
+
+
+@query
+def jp_cross_slab(spark, d):
+    pts = events(spark, d)
+    slabs = partitioning.uniform(pts, 16)
+    return pointjoin.joining_pairs(pts, None, P10, "basic", slabs=slabs).where(slabs.of(F.col("r_t")) != slabs.of(F.col("s_t")))
+
+
+@query
+def jp_lineitem_narrow(spark, d):
+    year = table(spark, d, "lineitem").where("l_shipdate >= timestamp_ntz'1994-01-01' and l_shipdate < timestamp_ntz'1995-01-01'")
+    pts = points.with_sequence(points.from_lineitem(year))
+    return pointjoin.joining_pairs(pts, None, JoinParams(2.0, 24 * HOUR), "prepart").groupBy("r_traj", "s_traj").agg(F.count("*").alias("n_jp"))
+
+
+@query
+def bp_points(spark, d):
+    pts = events(spark, d)
+    return classify.breaking_points(pts, pointjoin.joining_pairs(pts, None, P10))
+
+
+@query
+def jp_bp_outer(spark, d):
+    pts = events(spark, d)
+    return classify.pairs_and_breaks(pts, pointjoin.joining_pairs(pts, None, P10)).select(*pointjoin.OUT, "kind")
+
+
+def _few(spark, d):
+    pts = events(spark, d, where="traj < 40")
+    return pts, pointjoin.joining_pairs(pts, None, P10)
+
+
+@query
+def njp_pairs(spark, d):
+    return classify.non_joining(*_few(spark, d))
+
+
+@query
+def njp_counts(spark, d):
+    return classify.cover_counts(*_few(spark, d))
+
+
+@query
+def miss_effective(spark, d):
+    return classify.effective_misses(*_few(spark, d))
+
+
+@query
+def miss_literal(spark, d):
+    return classify.literal_misses(*_few(spark, d))
+
+
+@query
+def miss_candidates(spark, d):
+    return classify.candidate_misses(*_few(spark, d))
+
+
+for _method in ("basic", "prepart", "indexed", "auto"):
+    QUERIES[f"match_exact_{_method}"] = lambda spark, d, m=_method: matched(spark, d, SET_A, m)
+
+
+@query
+def match_exact_materialized(spark, d):
+    """The form of two chained jobs: the pairs are written in between."""
+    return matched(spark, d, SET_A, "basic", materialize=True)
+
+
+@query
+def match_exact_plain(spark, d):
+    return matched(spark, d, SET_A, companions=False)
+
+
+@query
+def match_kernel(spark, d):
+    return matched(spark, d, SET_A, refine="kernel")
+
+
+@query
+def match_udtf(spark, d):
+    """The SQL route: a table function over pairs partitioned by trajectory pair."""
+    sqlapi.register(spark)
+    pts = events(spark, d, True)
+    pointjoin.joining_pairs(pts, None, SET_A).where("r_traj < s_traj").select("r_traj", "s_traj", "r_seq", "s_seq").createOrReplaceTempView("pairs_of_trajectories")
+    return spark.sql("select * from subtrajectory_pairs(table(pairs_of_trajectories) partition by (r_traj, s_traj)) where r_to > r_from and s_to > s_from")
+
+
+@query
+def match_brute_force(spark, d):
+    pts = events(spark, d, True, "pmod(traj, 1000000) < 60")
+    return semantics.brute_force(pointjoin.joining_pairs(pts, None, SET_A).where("r_traj < s_traj"), pts, SET_A)
+
+
+@query
+def match_binding(spark, d):
+    return matched(spark, d, SET_B)
+
+
+@query
+def match_directed(spark, d):
+    return refine.mirrored(matched(spark, d, SET_A))
+
+
+@query
+def match_two_relation(spark, d):
+    pts = points.companions(raw(spark, d))
+    return SubtrajectoryJoin(SET_A, "indexed").run(points.with_sequence(pts.where("traj < 1000000")), points.with_sequence(pts.where("traj >= 1000000")))
+
+
+@query
+def match_windowed_span(spark, d):
+    return matched(spark, d, SET_B, refine="windowed_span")
+
+
+@query
+def match_windowed_lifespan(spark, d):
+    return matched(spark, d, SET_B, refine="windowed_lifespan")
+
+
+@query
+def match_delta_zero_grid(spark, d):
+    return matched(spark, d, SET_C, "gridtile")
+
+
+@query
+def match_whole(spark, d):
+    pts = events(spark, d, True)
+    return baselines.whole_trajectory(SubtrajectoryJoin(SET_A, "indexed").run(pts), pts)
+
+
+@query
+def match_fixed_duration(spark, d):
+    pts = events(spark, d, True)
+    return baselines.fixed_duration(pointjoin.joining_pairs(pts, None, SET_A), pts, SET_A)
+
+
+@query
+def match_jp_only_errors(spark, d):
+    """How often the answer from pairs alone differs from the exact one."""
+    jp = pointjoin.joining_pairs(events(spark, d, True), None, SET_B).where("r_traj < s_traj")
+    columns = ["r_traj", "s_traj", "r_from", "r_to", "s_from", "s_to"]
+    return metrics.compare(baselines.jp_only_runs(jp, SET_B), refine.maximal_matches(jp, SET_B).select(*columns))
+
+
+@query
+def compare_methods(spark, d):
+    """Missing, extra and repeated pairs of basic against indexed."""
+    return metrics.compare(pairs(spark, d, "basic"), pairs(spark, d, "indexed"))
+
+
+@query
+def check_matching(spark, d):
+    """Every match of the engine passes the definition's matching and maximality tests."""
+    pts = events(spark, d, True)
+    jp = pointjoin.joining_pairs(pts, None, SET_A).where("r_traj < s_traj")
+    m = refine.maximal_matches(jp, SET_A)
+    top = semantics.is_maximal(m).select("r_traj", "s_traj", "r_from", "r_to", "s_from", "s_to", F.lit(True).alias("top"))
+    tested = semantics.is_matching(jp, m, SET_A).join(top, ["r_traj", "s_traj", "r_from", "r_to", "s_from", "s_to"], "left")
+    return tested.agg(F.count("*").alias("n"), F.count_if("matching").alias("n_matching"), F.count_if(F.coalesce("top", F.lit(False))).alias("n_maximal"))
+
+
+@query
+def warped_distance_join(spark, d):
+    """Whole trajectories within a time-warping distance."""
+    return baselines.warped_join(raw(spark, d).where("traj < 30"), 4000.0, 240 * HOUR)
+
+
+def _tree(spark, d, cap: float = 0.03):
+    pts = raw(spark, d)
+    return pts, quadtree.build(pts, cap)
+
+
+@query
+def quad_cells(spark, d):
+    _, tree = _tree(spark, d)
+    return spark.createDataFrame([row[:3] for row in tree.as_rows()], "depth long, ix long, iy long")
+
+
+@query
+def quad_home_counts(spark, d):
+    pts, tree = _tree(spark, d)
+    cells = spark.createDataFrame([(k, *leaf) for leaf in tree.leaves for k in [quadtree._key(*leaf)]], "cell long, depth long, ix long, iy long")
+    n = pts.groupBy(tree.home_cell(F.col("x"), F.col("y")).alias("cell")).agg(F.count("*").alias("n"))
+    return cells.join(n, "cell", "left").select("depth", "ix", "iy", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
+
+
+@query
+def quad_replication(spark, d):
+    pts, tree = _tree(spark, d)
+    k = F.size(tree.touched_cells(F.col("x"), F.col("y"), 4.6875)).cast("long")
+    return pts.agg(F.count("*").alias("n_points"), F.sum(k).alias("n_rows"), F.max(k).alias("most_cells"))
+
+
+@query
+def slab_uniform_sizes(spark, d):
+    pts = raw(spark, d)
+    return metrics.slab_sizes(pts, partitioning.uniform(pts, 16), 2 * HOUR)
+
+
+@query
+def slab_equidepth_sizes(spark, d):
+    return partitioning.equi_depth_exact(raw(spark, d), 16)
+
+
+@query
+def slab_balance(spark, d):
+    pts = raw(spark, d)
+    return metrics.balance(metrics.slab_sizes(pts, partitioning.uniform(pts, 16)))
+
+
+@query
+def slab_balance_warped(spark, d):
+    """Uniform against equi-depth slabs on time-skewed points."""
+    pts = points.warped(raw(spark, d))
+    one = lambda s, name: metrics.balance(metrics.slab_sizes(pts, s)).withColumn("kind", F.lit(name))
+    return one(partitioning.uniform(pts, 16), "uniform").unionByName(one(partitioning.equi_depth(pts, 16), "equi-depth"))
+
+
+@query
+def slab_replication(spark, d):
+    pts = raw(spark, d)
+    return metrics.replication(pts, partitioning.uniform(pts, 16), 2 * HOUR)
+
+
+@query
+def slab_plan(spark, d):
+    cases = [(56_000, 128, 48), (1000, 128, 48), (1, 128, 4)]
+    return spark.createDataFrame([(*c, *partitioning.plan_slabs(c[0], c[1], c[2])) for c in cases], "total_mb long, block_mb long, nodes long, slabs long, per_node long")
+
+
+@query
+def cost_candidates(spark, d):
+    return metrics.selectivities(events(spark, d), P10)
+
+
+@query
+def cost_intermediate(spark, d):
+    pts = events(spark, d)
+    return metrics.intermediate(pts, pointjoin.joining_pairs(pts, None, P10))
+
+
+@query
+def cost_index_size(spark, d):
+    pts, tree = _tree(spark, d)
+    return metrics.index_size(pts, tree, 4.6875)
+
+
+@query
+def cost_index_vs_eps(spark, d):
+    pts, tree = _tree(spark, d)
+    sizes = [F.sum(F.size(tree.touched_cells(F.col("x"), F.col("y"), e)).cast("long")).alias(f"e{i}") for i, e in enumerate(workloads.EPS_SP)]
+    rows = F.array(*[F.struct(F.lit(float(e)).alias("eps_sp"), F.col(f"e{i}").alias("spatial_rows")) for i, e in enumerate(workloads.EPS_SP)])
+    return pts.agg(*sizes).select(F.explode(rows).alias("r")).select("r.*")
+
+
+@query
+def cost_model(spark, d):
+    return SubtrajectoryJoin(P10).explain_cost(events(spark, d))
+
+
+@query
+def gap_definition_window(spark, d):
+    return metrics.gap(matched(spark, d, SET_B), SET_B)
+
+
+@query
+def sweep_eps_t(spark, d):
+    return workloads.vary_eps_t(events(spark, d))
+
+
+@query
+def sweep_eps_sp(spark, d):
+    return workloads.vary_eps_sp(events(spark, d))
+
+
+@query
+def sweep_delta_t(spark, d):
+    return workloads.vary_delta_t(events(spark, d, True))
+
+
+@query
+def sweep_capacity(spark, d):
+    return workloads.vary_capacity(raw(spark, d))
+
+
+@query
+def size_portions(spark, d):
+    return workloads.vary_size(raw(spark, d), P10)
+
+
+@query
+def balance_portions(spark, d):
+    return workloads.portion_balance(raw(spark, d))
+
+
+@query
+def app_neighbour_count(spark, d):
+    pts = events(spark, d)
+    return apps.neighbour_count(pts, pointjoin.joining_pairs(pts, None, P10))
+
+
+@query
+def app_rideshare(spark, d):
+    return apps.rideshare(matched(spark, d, SET_A), 3 * HOUR)
+
+
+@query
+def app_suspicious(spark, d):
+    return apps.suspicious(matched(spark, d, SET_B), 3 * HOUR, 2)
+
+
+@query
+def app_groups(spark, d):
+    return apps.groups(refine.mirrored(matched(spark, d, SET_B)), 3)
+
+
+@query
+def app_topk_partners(spark, d):
+    return apps.top_partners(refine.mirrored(matched(spark, d, SET_B)), 3)
+
+
+@query
+def app_longest(spark, d):
+    return apps.longest(matched(spark, d, SET_B), 20)
+
+
+@query
+def app_network(spark, d):
+    pts = events(spark, d, True)
+    return apps.shared_segments(SubtrajectoryJoin(SET_A, "indexed").run(pts), pts, 20.0)
+
+
+@query
+def op_band(spark, d):
+    pts = events(spark, d, where="traj < 40")
+    r, s = pts.selectExpr("traj r_traj", "pid r_pid", "t r_t"), pts.selectExpr("traj s_traj", "pid s_pid", "t s_t")
+    return general.band_join(r, s, "r_t", "s_t", HOUR).where("r_traj < s_traj").drop("r_t", "s_t")
+
+
+@query
+def op_overlap(spark, d):
+    s = points.summary(raw(spark, d).where("pmod(pid, 7) = 0"))
+    r = s.selectExpr("traj r_traj", "t_min r_lo", "t_max r_hi")
+    o = s.selectExpr("traj s_traj", "t_min s_lo", "t_max s_hi")
+    return general.overlap_join(r, o, ("r_lo", "r_hi"), ("s_lo", "s_hi"), 240 * HOUR).where("r_traj < s_traj").select("r_traj", "s_traj")
+
+
+@query
+def op_asof(spark, d):
+    pts = raw(spark, d).select("traj", "t", "pid")
+    return general.asof_join(pts.where("pmod(pid, 3) <> 0"), pts.where("pmod(pid, 3) = 0"), "traj", "t", "pid")
+
+
+@query
+def op_knn(spark, d):
+    pts = events(spark, d, where="traj < 40")
+    return general.knn(pts, pts, 3, 6 * HOUR)
+
+
+@query
+def op_semi(spark, d):
+    pts = events(spark, d)
+    jp = pointjoin.joining_pairs(pts, None, P10).selectExpr("r_traj traj", "r_seq seq").distinct()
+    return pts.join(jp, ["traj", "seq"], "left_semi").groupBy("traj").agg(F.count("*").alias("n"))
+
+
+@query
+def op_anti(spark, d):
+    pts = events(spark, d)
+    return classify.breaking_points(pts, pointjoin.joining_pairs(pts, None, P10)).groupBy("traj").agg(F.count("*").alias("n"))
+
+
+@query
+def op_full_outer(spark, d):
+    e = table(spark, d, "events").select(F.col("user_id").alias("traj"), "event_type")
+    first, last = e.agg(F.min("event_type"), F.max("event_type")).first()
+    a = e.where(F.col("event_type") == first).groupBy("traj").agg(F.count("*").alias("n_click"))
+    b = e.where(F.col("event_type") == last).groupBy("traj").agg(F.count("*").alias("n_other"))
+    return a.join(b, "traj", "full")
+
+
+@query
+def op_rollup(spark, d):
+    nation = table(spark, d, "nation").join(table(spark, d, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select("n_nationkey", "n_name", "r_name")
+    supplier = table(spark, d, "supplier").join(nation, F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "n_name", "r_name")
+    per = table(spark, d, "lineitem").groupBy("l_suppkey").agg(F.count("*").alias("k"), F.sum("l_quantity").alias("q"))
+    return per.join(supplier, F.col("l_suppkey") == F.col("s_suppkey")).rollup("r_name", "n_name").agg(F.sum("k").alias("n"), F.sum("q").cast("double").alias("quantity"))
+
+
+def _days(spark, d):
+    e = table(spark, d, "events")
+    return e.select(F.floor(points.unix_micros_ntz("ts") / F.lit(24 * HOUR)).alias("day"), F.floor(F.col("value") / 50).alias("cell"), "event_type")
+
+
+@query
+def op_cube(spark, d):
+    return _days(spark, d).cube("day", "event_type").agg(F.count("*").alias("n"))
+
+
+@query
+def op_grouping_sets(spark, d):
+    return _days(spark, d).groupingSets([["day", "cell"], ["event_type"], []], "day", "cell", "event_type").agg(F.count("*").alias("n"), F.grouping_id().alias("gid"))
+
+
+@query
+def op_ranks(spark, d):
+    w = Window.partitionBy("traj").orderBy(F.floor("x"))
+    full = Window.partitionBy("traj").orderBy("x", "pid")
+    whole = full.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return raw(spark, d).where("traj < 30").select(
+        "traj", "pid", F.rank().over(w).cast("long").alias("rnk"), F.dense_rank().over(w).cast("long").alias("dense"), F.ntile(4).over(full).cast("long").alias("quarter"),
+        F.round(F.percent_rank().over(w), 9).alias("pct"), F.round(F.cume_dist().over(w), 9).alias("cume"), F.nth_value("pid", 2).over(whole).alias("second"),
+    )
+
+
+@query
+def op_range_frame(spark, d):
+    return general.local_density(raw(spark, d), 12 * HOUR)
+
+
+@query
+def op_rows_frame(spark, d):
+    last3 = Window.partitionBy("traj").orderBy("t", "pid").rowsBetween(-2, 0)
+    return general.speed(raw(spark, d)).select("traj", "pid", F.round("step", 6).alias("step"), F.max("x").over(last3).alias("max3"))
+
+
+@query
+def op_setops(spark, d):
+    t = raw(spark, d)
+    a, b = t.where("pmod(pid, 2) = 0").select("traj"), t.where("pmod(pid, 3) = 0").select("traj")
+    kinds = {"except": a.subtract(b), "intersect": a.intersect(b), "except_all": a.exceptAll(b), "intersect_all": a.intersectAll(b), "union": a.union(b).distinct()}
+    out = [df.agg(F.lit(name).alias("op"), F.count("*").alias("n")) for name, df in kinds.items()]
+    return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3]).unionByName(out[4])
+
+
+@query
+def op_arrays(spark, d):
+    """Common partners of pairs that share one: joined on the partner, so no pair without any is looked at."""
+    jp = pairs(spark, d).where("r_traj < 40").select("r_traj", "s_traj").distinct()
+    lists = jp.groupBy("r_traj").agg(F.array_sort(F.collect_set("s_traj")).alias("p"))
+    meet = jp.selectExpr("r_traj a", "s_traj").join(jp.selectExpr("r_traj b", "s_traj"), "s_traj").where("a < b").select("a", "b").distinct()
+    both = meet.join(lists.selectExpr("r_traj a", "p pa"), "a").join(lists.selectExpr("r_traj b", "p pb"), "b")
+    return both.select("a", "b", F.size(F.array_intersect("pa", "pb")).cast("long").alias("common"))
+
+
+@query
+def op_maps(spark, d):
+    m = general.partner_map(matched(spark, d, SET_B))
+    long_ones = F.map_filter("partners", lambda k, v: v >= 5 * HOUR)
+    seconds = F.aggregate(F.map_values(F.transform_values("partners", lambda k, v: F.floor(v / 1_000_000))), F.lit(0).cast("long"), lambda s, v: s + v)
+    return m.select("r_traj", F.size("partners").cast("long").alias("partners"), F.size(long_ones).cast("long").alias("long_partners"), seconds.alias("seconds"))
+
+
+@query
+def op_json(spark, d):
+    e = table(spark, d, "events")
+    k = F.from_json("props", "k long")["k"]
+    return e.select("event_id", k.alias("k"), F.to_json(F.struct(F.col("user_id").alias("traj"), k.alias("k"))).alias("js"))
+
+
+@query
+def op_dates(spark, d):
+    e = table(spark, d, "events")
+    return e.select(
+        "event_id", F.date_trunc("hour", F.col("ts").cast("timestamp")).cast("timestamp_ntz").alias("hour"), F.dayofweek("ts").alias("dow"), F.year("ts").alias("y"),
+        F.upper("event_type").alias("kind"), F.lpad(F.col("user_id").cast("string"), 8, "0").alias("code"),
+    )
+
+
+@query
+def op_morton(spark, d):
+    pts = raw(spark, d)
+    x0, x1, y0, y1 = pts.agg(F.min("x"), F.max("x"), F.min("y"), F.max("y")).first()
+    at = pts.select("pid", axis_cell(F.col("x"), x0, x1, 4).alias("ix"), axis_cell(F.col("y"), y0, y1, 4).alias("iy"))
+    return at.select("pid", "ix", "iy", morton(F.col("ix"), F.col("iy"), 4).alias("code"), cell_path(F.col("ix"), F.col("iy"), 4).alias("path"))
+
+
+@query
+def op_histogram(spark, d):
+    return raw(spark, d).groupBy(F.least(F.floor(F.col("x") / 50), F.lit(9)).cast("long").alias("bx"), F.floor(F.col("y") / 10).cast("long").alias("by")).agg(F.count("*").alias("n"))
+
+
+@query
+def op_pivot(spark, d):
+    e = table(spark, d, "events").select("event_type", points.unix_micros_ntz("ts").alias("t"))
+    slab = partitioning.uniform(e, 16).of(F.col("t"))
+    wide = e.withColumn("slab", slab).groupBy("event_type").pivot("slab", [0, 5, 10, 15]).count()
+    return wide.select("event_type", *[F.coalesce(F.col(f"`{k}`"), F.lit(0)).cast("long").alias(f"slab_{k}") for k in (0, 5, 10, 15)])
+
+
+@query
+def stream_jp_batch_equiv(spark, d):
+    return joins.run_available(joins.joining_pairs_stream(joins.event_stream(spark, d), P10), "stream-jp")
+
+
+@query
+def stream_bp(spark, d):
+    """Breaking points that the watermark has ruled out by the end of the input."""
+    out = joins.run_available(joins.breaking_points_stream(joins.event_stream(spark, d), P10), "stream-bp")
+    top = raw(spark, d).agg(F.max("t")).first()[0] or 0
+    pts = raw(spark, d).where(F.col("t") < top - 6 * HOUR).select("traj", "pid")
+    joined = out.where("s_traj is not null").select(F.col("r_traj").alias("traj"), F.col("r_pid").alias("pid")).distinct()
+    emitted = out.where("s_traj is null").select(F.col("r_traj").alias("traj"), F.col("r_pid").alias("pid")).distinct()
+    return emitted.join(pts, ["traj", "pid"], "left_semi").join(joined, ["traj", "pid"], "left_anti")
+
+
+@query
+def stream_windows(spark, d):
+    return joins.run_available(joins.copresence_windows(joins.event_stream(spark, d), "1 day"), "stream-win").select("start_us", "n_points")
+
+
+@query
+def stream_sessions(spark, d):
+    return joins.run_available(joins.trips_stream(joins.event_stream(spark, d), "12 hours"), "stream-trips")
