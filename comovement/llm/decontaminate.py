@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .licenses import WORD_BYTES
-from .shared import WordHashes, mix, pick, shingle_hashes
+from .shared import WordHashes, map_texts, mix, pick, shingle_hashes
 
 WIDTH, THRESHOLD, RADIUS = 5, 0.8, 28
 BLOCK_BYTES = 32 << 20
@@ -132,7 +132,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_co
     for block in range(blocks):
         own = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == block)
         index = Index([(r["item_id"], r["text"]) for r in own.orderBy("item_id", "text").toLocalIterator()], width)
-        part = pick(docs, doc_id=id_col, text=text_col).mapInPandas(
+        part = map_texts(
+            pick(docs, doc_id=id_col, text=text_col),
             _scan(spark.sparkContext.broadcast(cloudpickle.dumps(index)), width, threshold, radius),
             "doc_id long, item_id long, similarity double, first_word long, n_words long, distance long",
         )

@@ -19,7 +19,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import pick
+from .shared import map_texts, pick
 
 SAMPLE, BITS, PENALTY, FLOOR = 6000, 18, 6.0, -6.0
 CHUNK = 400_000
@@ -127,7 +127,7 @@ def fit(docs: DataFrame, sample: int = SAMPLE, bits: int = BITS) -> dict:
     languages, total = sorted(per_lang), sum(per_lang.values())
     share = min(1.0, sample / max(1, total))
     chosen = labelled.where(F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(1_000_000)) < F.lit(int(np.ceil(share * 1_000_000))))
-    counts = chosen.select("lang", "text").mapInPandas(_count(languages, bits), "kind string, k long, slot long, n long").groupBy("kind", "k", "slot").agg(F.sum("n").alias("n")).toPandas()
+    counts = map_texts(chosen.select("lang", "text"), _count(languages, bits), "kind string, k long, slot long, n long").groupBy("kind", "k", "slot").agg(F.sum("n").alias("n")).toPandas()
     grams, scripts = np.zeros((len(languages), 1 << bits)), np.zeros((len(languages), len(_NAMES)))
     for kind, table in (("gram", grams), ("script", scripts)):
         own = counts[counts["kind"] == kind]
@@ -209,7 +209,7 @@ def predict(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str
     own = pick(docs, doc_id=id_col, text=text_col, **{c: c for c in carried})
     back = own.schema.fields[1:] if carried else []
     more = "".join(f", {f.name} {f.dataType.simpleString()}" for f in back)
-    return own.mapInPandas(_predict(shared, penalty, [f.name for f in back]), "doc_id long, lang_pred string, score double, spans array<struct<lang:string,first_word:long,n_words:long>>" + more)
+    return map_texts(own, _predict(shared, penalty, [f.name for f in back]), "doc_id long, lang_pred string, score double, spans array<struct<lang:string,first_word:long,n_words:long>>" + more)
 
 
 def identify(docs: DataFrame, labelled: DataFrame, carried: tuple[str, ...] = ()) -> DataFrame:

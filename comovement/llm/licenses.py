@@ -19,7 +19,7 @@ import ahocorasick
 import pandas as pd
 from pyspark.sql import DataFrame
 
-from .shared import pick
+from .shared import map_texts, pick
 
 # Phrases and their labels.
 BASE_PHRASES = {
@@ -145,7 +145,8 @@ def scanner(base: dict[str, str], notices: dict[str, str]):
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", base: dict[str, str] = BASE_PHRASES, notices: dict[str, str] = NOTICES) -> DataFrame:
     """One row per document: word count, base places, labels, score, expression and all spans."""
-    return pick(docs, doc_id=id_col, text=text_col).mapInPandas(
+    return map_texts(
+        pick(docs, doc_id=id_col, text=text_col),
         scanner(base, notices),
         "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, "
         "expression string, permissive boolean, spans array<struct<label:string,first_word:long,n_words:long>>",

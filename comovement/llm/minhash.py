@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import WordHashes, among, components, contract, mix, pick, shingle_hashes, signed, space_words, written
+from .shared import WordHashes, among, components, contract, map_texts, mix, pick, shingle_hashes, signed, space_words, written
 
 COORDINATES, MATCHES, WIDTH, PERCENT = 48, 26, 5, 85
 TILE = 512
@@ -149,7 +149,7 @@ def _linked(matches: int, percent: int):
 
 def _sets_of(ids: DataFrame, docs: DataFrame, width: int) -> DataFrame:
     """(id, items): the shingle set of each document named in ids (_id)."""
-    return among(docs, "doc_id", ids, "_id").mapInPandas(_sets(width), "id long, items array<long>").dropDuplicates(["id"])
+    return map_texts(among(docs, "doc_id", ids, "_id"), _sets(width), "id long, items array<long>").dropDuplicates(["id"])
 
 
 def _agreeing(matches: int):
@@ -211,7 +211,7 @@ def links(docs: DataFrame, classes: DataFrame, matches: int, width: int, percent
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, width: int = WIDTH, coordinates: int = COORDINATES, matches: int = MATCHES) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of each row of docs."""
     own = pick(docs, doc_id=id_col, text=text_col)
-    sketches = written(own.mapInPandas(sketcher(coordinates, matches, width), "doc_id long, n_shingles long, fp1 long, fp2 long, posted array<int>, sig binary"), "sketches")
+    sketches = written(map_texts(own, sketcher(coordinates, matches, width), "doc_id long, n_shingles long, fp1 long, fp2 long, posted array<int>, sig binary"), "sketches")
     full = sketches.where("fp1 is not null and doc_id is not null")
     classes = written(full.groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.min("posted").alias("posted"), F.min("sig").alias("sig")), "classes")
     same = full.select(F.concat_ws(":", "fp1", "fp2").alias("k"), "doc_id")

@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import pick, written
+from .shared import map_texts, pick, written
 
 SIZE, END = 2048, 1
 
@@ -101,7 +101,8 @@ def slots(patterns: list[tuple[int, tuple[int, ...]]]) -> list[tuple[int, int, i
 def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, end: int = END, ranks_path: str | None = None, pattern: str | None = None) -> DataFrame:
     """One row per piece with its sequence and offset; ``ranks_path`` names another vocabulary file."""
     spark = docs.sparkSession
-    pieces = written(pick(docs, doc_id=id_col, text=text_col).mapInPandas(
+    pieces = written(map_texts(
+        pick(docs, doc_id=id_col, text=text_col),
         _pieces(ranks_path, pattern, size, end),
         "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, part int, rank_there long",
     ), "pieces")

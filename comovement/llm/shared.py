@@ -8,9 +8,12 @@ import uuid
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 ASCII_LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 """bytes.translate table that lower-cases A-Z only."""
@@ -70,10 +73,32 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(33))
 
 
+SLICE_BYTES = 1 << 20
+
+
+def map_texts(df: DataFrame, run, schema: str) -> DataFrame:
+    """df.mapInPandas(run, schema) for rows that hold texts: run gets slices of about a megabyte of each
+    Arrow batch, so a worker holds one batch as Arrow buffers and never all its texts as objects."""
+    arrow = to_arrow_schema(StructType.fromDDL(schema))
+
+    def slices(batches):
+        for batch in batches:
+            step = max(1, min(batch.num_rows, int(batch.num_rows * SLICE_BYTES / max(1, batch.nbytes))))
+            for at in range(0, batch.num_rows, step):
+                yield batch.slice(at, step).to_pandas()
+
+    def arrow_run(batches):
+        for out in run(slices(batches)):
+            if len(out):
+                yield pa.RecordBatch.from_pandas(out, schema=arrow, preserve_index=False)
+
+    return df.mapInArrow(arrow_run, schema)
+
+
 class WordHashes(dict):
     """word (bytes) -> 64-bit hash; forgets all when it holds ``most`` words, so memory is bounded."""
 
-    def __init__(self, most: int = 500_000):
+    def __init__(self, most: int = 150_000):
         super().__init__()
         self.most = most
 

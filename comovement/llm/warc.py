@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import pick, scratch, written
+from .shared import map_texts, pick, scratch, written
 
 LEAST, GAP, READ = 1000, 64 << 10, 8 << 20
 FILE_BYTES = 256 << 20
@@ -127,7 +127,7 @@ def write(pages: DataFrame, folder: str, least: int = LEAST) -> DataFrame:
     repeated = keyed.where("large is not null").groupBy("large").agg(F.count("*").alias("n")).where("n > 1")
     many = many.join(repeated, "large", "left_semi").select(F.concat("large", F.lit("")).alias("_k"), "first")
     dealt = keyed.join(many, F.concat(F.coalesce("large", F.concat(F.lit("-"), "digest")), F.lit("")) == F.col("_k"), "left").select("page_id", "url", "html", "digest", "first")
-    return written(dealt.mapInPandas(_writer(folder), INDEX), "warc-index")
+    return written(map_texts(dealt, _writer(folder), INDEX), "warc-index")
 
 
 def _reader(folder: str, with_payload: bool):
