@@ -329,7 +329,7 @@ def _merge(length: int, gram: int):
             for row in pdf.itertuples(index=False):
                 runs.append(decoded(row.shared, row.sizes, row.rests))
                 ends = np.cumsum(np.frombuffer(row.left_sizes, np.uint8).astype(np.int64)).tolist()
-                lefts = (row.lefts[a:b] for a, b in zip([0, *ends], ends))
+                lefts = [row.lefts[a:b] for a, b in zip([0, *ends], ends)]
                 tails.append(zip(lefts, np.frombuffer(row.places, np.int64).reshape(-1, 3).tolist()))
         block, near, rows = [], [], []
         for i, suffix, shared in merged(runs):
