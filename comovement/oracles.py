@@ -115,7 +115,7 @@ ORACLES: dict[str, str] = {
     "jp_metric_chebyshev": f"with {base()} {pairs(P10, space='greatest(abs(a.x - b.x), abs(a.y - b.y)) <= 10.0')}",
     "jp_embeddings": "select a.vec_id as r_id, b.vec_id as s_id from embeddings a join embeddings b on b.vec_id between a.vec_id - 25 and a.vec_id + 25 and a.label <> b.label and list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: (z[1]::double - z[2]::double) * (z[1]::double - z[2]::double))) <= 120.5",
     "jp_cross_slab": f"{_jp()}, {_BOUNDS} select jp.* from jp, span where (r_t - lo) // {_WIDTH} <> (s_t - lo) // {_WIDTH}",
-    "jp_lineitem_narrow": f"with src as (select l_suppkey::bigint as traj, epoch_us(l_shipdate) as t, min(l_quantity)::double as x, min(l_discount * 1000)::double as y, epoch_us(l_shipdate) as pid from lineitem where l_shipdate >= timestamp '1994-01-01' and l_shipdate < timestamp '1995-01-01' group by l_suppkey, l_shipdate), pts as ({_NUMBERED} from src) select r_traj, s_traj, count(*) as n_jp from ({pairs(JoinParams(2.0, 24 * HOUR))}) group by 1, 2",
+    "jp_lineitem_narrow": f"with src as (select l_suppkey::bigint as traj, epoch_us(l_shipdate) as t, min(l_quantity)::double as x, min(l_discount * 1000)::double as y, epoch_us(l_shipdate) as pid from lineitem where l_shipdate >= timestamp '1996-01-01' and l_shipdate < timestamp '1997-01-01' group by l_suppkey, l_shipdate), pts as ({_NUMBERED} from src) select r_traj, s_traj, count(*) as n_jp from ({pairs(JoinParams(3.0, 48 * HOUR))}) group by 1, 2",
     "bp_points": f"{_jp()} select traj, seq, t from pts where (traj, seq) not in (select r_traj, r_seq from jp)",
     "jp_bp_outer": f"{_jp()} select p.traj as r_traj, p.seq as r_seq, p.t as r_t, s_traj, s_seq, s_t, case when s_traj is null then 'BP' else 'JP' end as kind from pts p left join jp on r_traj = p.traj and r_seq = p.seq",
     "njp_pairs": f"{_jp(where=FEW)}, {_LIVE} select a.traj as r_traj, a.seq as r_seq, b.traj as s_traj, b.seq as s_seq from live a, live b where a.traj <> b.traj except select r_traj, r_seq, s_traj, s_seq from jp",
@@ -186,7 +186,7 @@ select (select count(*) from (from z except from x)) as only_left, (select count
     "op_full_outer": f"with {base()}, a as (select traj, count(*) as n_click from ev where event_type = (select min(event_type) from events) group by 1), b as (select traj, count(*) as n_other from ev where event_type = (select max(event_type) from events) group by 1) select coalesce(a.traj, b.traj) as traj, n_click, n_other from a full join b on a.traj = b.traj",
     "op_rollup": "select r_name, n_name, count(*) as n, sum(l_quantity)::double as quantity from lineitem join supplier on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by rollup (r_name, n_name)",
     "op_cube": f"with {base()} select (t // {24 * HOUR})::bigint as day, event_type, count(*) as n from ev group by cube (day, event_type)",
-    "op_grouping_sets": f"with {base()} select (t // {24 * HOUR})::bigint as day, floor(x / 50)::bigint as cell, event_type, count(*) as n, grouping_id(day, cell, event_type)::bigint as gid from (select *, (t // {24 * HOUR})::bigint as day, floor(x / 50)::bigint as cell from ev) group by grouping sets ((day, cell), (event_type), ())",
+    "op_grouping_sets": f"with {base()} select day, cell, event_type, count(*) as n, grouping_id(day, cell, event_type)::bigint as gid from (select *, (t // {24 * HOUR})::bigint as day, floor(x / 50)::bigint as cell from ev) group by grouping sets ((day, cell), (event_type), ())",
     "op_ranks": f"with {base(where='traj < 30')} select traj, pid, rank() over w as rnk, dense_rank() over w as dense, ntile(4) over w2 as quarter, round(percent_rank() over w, 9) as pct, round(cume_dist() over w, 9) as cume, nth_value(pid, 2) over (partition by traj order by x, pid rows between unbounded preceding and unbounded following) as second from pts window w as (partition by traj order by floor(x)), w2 as (partition by traj order by x, pid)",
     "op_range_frame": f"with {base()} select traj, pid, count(*) over (partition by traj order by t range between {12 * HOUR} preceding and {12 * HOUR} following) as n_near from src",
     "op_rows_frame": f"with {base()}, s as (select traj, pid, t, x, coalesce(sqrt((x - lag(x) over w) * (x - lag(x) over w) + (y - lag(y) over w) * (y - lag(y) over w)), 0) as step from src window w as (partition by traj order by t, pid)) select traj, pid, round(step, 6) as step, max(x) over (partition by traj order by t, pid rows between 2 preceding and current row) as max3 from s",

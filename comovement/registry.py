@@ -176,9 +176,9 @@ def jp_cross_slab(spark, d):
 
 @query
 def jp_lineitem_narrow(spark, d):
-    year = table(spark, d, "lineitem").where("l_shipdate >= timestamp_ntz'1994-01-01' and l_shipdate < timestamp_ntz'1995-01-01'")
+    year = table(spark, d, "lineitem").where("l_shipdate >= timestamp_ntz'1996-01-01' and l_shipdate < timestamp_ntz'1997-01-01'")
     pts = points.with_sequence(points.from_lineitem(year))
-    return pointjoin.joining_pairs(pts, None, JoinParams(2.0, 24 * HOUR), "prepart").groupBy("r_traj", "s_traj").agg(F.count("*").alias("n_jp"))
+    return pointjoin.joining_pairs(pts, None, JoinParams(3.0, 48 * HOUR), "prepart").groupBy("r_traj", "s_traj").agg(F.count("*").alias("n_jp"))
 
 
 @query

@@ -39,7 +39,7 @@ def _sides(stream: DataFrame, params: JoinParams, lateness: str) -> tuple[DataFr
 
 
 def _on(params: JoinParams):
-    eps = F.expr(f"make_dt_interval(0, 0, 0, {params.eps_t_us / 1e6:.6f})")
+    eps = F.expr(f"interval {params.eps_t_us} microseconds")
     band = F.col("s_ts").between(F.col("r_ts") - eps, F.col("r_ts") + eps) & (F.abs(F.col("r_t") - F.col("s_t")) <= params.eps_t_us)
     near = sq_euclid(F.col("r_x"), F.col("r_y"), F.col("s_x"), F.col("s_y")) <= F.lit(float(params.eps_sp) ** 2)
     return (F.col("r_b") == F.col("s_b")) & band & near & (F.col("r_traj") != F.col("s_traj"))
