@@ -86,7 +86,7 @@ class OpenRuns(StatefulProcessor):
         self.handle = handle
         self.run = handle.getValueState("run", "first long, last long, n long")
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N803
         times = sorted(t for pdf in rows for t in pdf["t"].tolist())
         run = list(self.run.get()) if self.run.exists() else None
         closed = []
@@ -102,7 +102,7 @@ class OpenRuns(StatefulProcessor):
             self.handle.registerTimer((run[1] + self.gap_us) // 1000 + 1)
         yield pd.DataFrame(closed, columns=["a", "b", "first", "last", "n"])
 
-    def handleExpiredTimer(self, key, timers, expired) -> Iterator[pd.DataFrame]:
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:  # noqa: N803
         if self.run.exists():
             out = (*key, *self.run.get())
             self.run.clear()

@@ -101,3 +101,47 @@ def timings(pts: DataFrame, params: JoinParams, path: str, methods: Iterable[str
 def _kept(df: DataFrame, path: str) -> DataFrame:
     df.write.parquet(path)
     return df.sparkSession.read.parquet(path)
+
+
+def slowdown(pts: DataFrame, params: JoinParams, path: str, fifths: Iterable[int] = (1, 2, 3, 4, 5), methods: Iterable[str] = ("basic", "prepart", "indexed")) -> list[dict]:
+    """timings() of nested portions; slow_down is the time over that of the smallest portion."""
+    rows, first = [], {}
+    for i in fifths:
+        for row in timings(points.portion(pts, i), params, f"{path}/{i}", methods):
+            total = row["join_s"] + row["refine_s"]
+            first.setdefault(row["method"], total)
+            rows.append(row | {"fifths": i, "slow_down": total / first[row["method"]]})
+    return rows
+
+
+def versus_grid(pts: DataFrame, params: JoinParams, path: str, fifths: Iterable[int] = (1, 2, 3, 4, 5)) -> list[dict]:
+    """Join seconds of indexed and of the tile grid (which deals all points anew each time), delta_t = 0."""
+    rows = slowdown(pts, JoinParams(params.eps_sp, params.eps_t_us), path, fifths, ("indexed", "gridtile"))
+    return [{k: row[k] for k in ("method", "fifths", "join_s", "n_jp")} for row in rows]
+
+
+def amortised(pts: DataFrame, params: JoinParams, path: str, queries: int = 5) -> list[dict]:
+    """Cumulated seconds after each of several queries: basic pays none up front, prepart and indexed the preparation."""
+    out = []
+    for row in timings(pts, params, path):
+        once, each = row.get("prepare_s", 0.0), row["join_s"] + row["refine_s"]
+        out += [{"method": row["method"], "queries": q, "total_s": once + q * each} for q in range(1, queries + 1)]
+    return out
+
+
+def speedup(seconds_by_cores: dict[int, float]) -> list[dict]:
+    """The falling ratio T(N) / T(least N), and its reciprocal."""
+    base = seconds_by_cores[min(seconds_by_cores)]
+    return [{"cores": n, "seconds": s, "ratio": s / base, "speed_up": base / s} for n, s in sorted(seconds_by_cores.items())]
+
+
+def index_cost(pts: DataFrame, params: JoinParams, percents: Iterable[int] = CAPACITY_PERCENT) -> list[dict]:
+    """Seconds to build the tree and Join seconds for each capacity, with the index's size over the points."""
+    numbered, out = points.with_sequence(pts), []
+    for c in percents:
+        build_s, _ = metrics.timed(lambda: vary_capacity(pts, (c,)))  # noqa: B023
+        tree = quadtree.build(pts, c / 100)
+        join_s, _ = metrics.timed(lambda: pointjoin.joining_pairs(numbered, None, params, "indexed", tree=tree))  # noqa: B023
+        size = metrics.index_size(pts, tree, params.eps_sp).first()
+        out.append({"capacity_pct": c, "build_s": build_s, "join_s": join_s, "share": build_s / join_s, "spatial_rows": size["spatial_rows"], "ratio": size["ratio"]})
+    return out
