@@ -139,39 +139,43 @@ def fit(docs: DataFrame, sample: int = SAMPLE, bits: int = BITS) -> dict:
 
 
 def viterbi(s: np.ndarray, penalty: float = PENALTY) -> np.ndarray:
-    """Best label of each word (rows of s: scores by language) when each change costs ``penalty``."""
-    n, k = s.shape
+    """Best label of each word (rows of s: scores by language) when each change costs ``penalty``.
+
+    The lattice runs over plain lists, which are faster than arrays for a few languages; the way back
+    looks at the totals again instead of keeping a pointer for each label."""
     best = s.sum(axis=0).argmax()
-    gain = (s - s[:, [best]])
+    gain = s - s[:, [best]]
     gain[:, best] = -np.inf
-    run = np.concatenate([[0.0], np.cumsum(gain.max(axis=1))]) if k > 1 else np.zeros(1)
+    run = np.concatenate([[0.0], np.cumsum(gain.max(axis=1))]) if s.shape[1] > 1 else np.zeros(1)
     if (run - np.minimum.accumulate(run)).max() <= penalty:
-        return np.full(n, best)
-    back = np.empty((n, k), np.int64)
-    total = s[0].copy()
-    own = np.arange(k)
-    for i in range(1, n):
-        top = total.argmax()
-        change = total[top] - penalty > total
-        back[i] = np.where(change, top, own)
-        total = np.where(change, total[top] - penalty, total) + s[i]
-    labels = np.empty(n, np.int64)
-    labels[-1] = total.argmax()
-    for i in range(n - 1, 0, -1):
-        labels[i - 1] = back[i, labels[i]]
-    return labels
+        return np.full(len(s), best)
+    rows = s.tolist()
+    total, totals = rows[0], []
+    for row in rows[1:]:
+        totals.append(total)
+        changed = max(total) - penalty
+        total = [(v if v >= changed else changed) + x for v, x in zip(total, row)]
+    label = total.index(max(total))
+    labels = [label]
+    for total in reversed(totals):
+        top = max(total)
+        if total[label] < top - penalty:
+            label = total.index(top)
+        labels.append(label)
+    return np.array(labels[::-1])
 
 
 def _predict(shared, penalty: float, returned: list[str]):
     def run(batches):
         model = shared.value
         words, languages = Words(), model["languages"]
+        by_language = np.ascontiguousarray(model["logs"].T)
         for pdf in batches:
             rows = []
             for ids, texts in _chunks(pdf["doc_id"], pdf["text"]):
                 h, first, script, owner = words.of(texts, model["bits"])
                 if len(first) and languages:
-                    scores = np.add.reduceat(model["logs"][h], first, axis=0)
+                    scores = np.stack([np.add.reduceat(logs[h], first) for logs in by_language], axis=1)
                     may = model["uses"][:, script].T
                     scores = np.where(may | ~may.any(axis=1, keepdims=True), scores, -np.inf)
                     scores -= scores.max(axis=1, keepdims=True)
