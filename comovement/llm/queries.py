@@ -54,4 +54,4 @@ def op10_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_warc, op2_preference, op3_hilbert, op4_decontaminate, op5_language, op6_vectors, op7_packing, op8_licenses, op9_minhash, op10_suffixes)}
-ORACLES = {"op1_warc": warc.ORACLE, "op2_preference": preference.ORACLE}
+ORACLES = {"op1_warc": warc.ORACLE, "op2_preference": preference.ORACLE, "op6_vectors": vectors.ORACLE, "op9_minhash": minhash.ORACLE, "op10_suffixes": suffixes.ORACLE}

@@ -393,3 +393,15 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     out = map_texts(joined, _cut(list(carried), with_text), "d long, j int, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept string" + more)
     columns = [F.when(F.col("d") != NO_ID, F.col("d")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256", *["kept"] * with_text, *carried]
     return out.select(*columns)
+
+
+ORACLE = """
+with d as (select doc_id, hex(encode(coalesce(text, ''))) as h, strlen(coalesce(text, '')) as n from documents),
+w as (select doc_id, i, hash(substr(h, 2 * i + 1, 200)) as k from (select doc_id, h, unnest(range(0, n - 99)) as i from d where n >= 100)),
+f as (select doc_id, i from (select doc_id, i, row_number() over (partition by k order by doc_id, i) as r from w) where r > 1),
+g as (select doc_id, i, sum(new) over (partition by doc_id order by i) as g from (select doc_id, i, case when i <= lag(i) over (partition by doc_id order by i) + 100 then 0 else 1 end as new from f)),
+s as (select doc_id, min(i) as lo, max(i) + 100 as hi from g group by doc_id, g),
+b as (select *, coalesce(lag(hi) over (partition by doc_id order by lo), 0) as since from s),
+x as (select b.doc_id, sum(hi - lo) as gone, count(*) as spans, string_agg(substr(h, 2 * since + 1, 2 * (lo - since)), '' order by lo) || substr(any_value(h), 2 * max(hi) + 1) as kept
+  from b join d using (doc_id) group by b.doc_id)
+select d.doc_id, d.n as n_bytes, coalesce(x.gone, 0)::bigint as n_removed, coalesce(x.spans, 0) as n_spans, sha256(unhex(coalesce(x.kept, d.h))) as kept_sha256 from d left join x using (doc_id)"""

@@ -132,3 +132,13 @@ def near_duplicates(table: DataFrame, id_col: str = "vec_id", vector_col: str =
     joined = rows.join(state, F.concat("key", F.lit("")) == F.col("_k"), "left")
     component = F.coalesce("component_id", "vec_id")
     return joined.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(True)).alias("kept"))
+
+
+ORACLE = """
+with recursive g as (select vec_id, e, sqrt(list_dot_product(e, e)) as n from (select vec_id, list_transform(embedding, lambda x: x::double) as e from embeddings
+  where vec_id is not null and len(embedding) > 0 and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0) where list_dot_product(e, e) > 0),
+l as (select a.vec_id as a, b.vec_id as b from g a join g b on a.vec_id <> b.vec_id and len(a.e) = len(b.e) where list_dot_product(a.e, b.e) >= 0.9 * a.n * b.n),
+r(a, b) as (select vec_id, vec_id from embeddings union select r.a, l.b from r join l on r.b = l.a),
+c as (select a, min(b) as component_id from r group by 1), k as (select a, count(*) as n_links from l group by 1)
+select e.vec_id, coalesce(k.n_links, 0) as n_links, c.component_id, e.vec_id = c.component_id as kept
+from embeddings e join c on c.a = e.vec_id left join k on k.a = e.vec_id"""
