@@ -72,35 +72,43 @@ def _deal(blocks: int, least: float, tile: int):
 
 def _join(blocks: int, least: float):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("rep", ignore_index=True)
-        k, n = int(pdf["block"].iloc[0]), len(pdf)
-        given = np.stack([np.asarray(v, np.float64) for v in pdf["v"]])
-        length = np.sqrt((given * given).sum(axis=1))
+        k = int(pdf["block"].iloc[0])
         turn = rotated(_unit(pdf["v"]))
         wide, share = _shares(turn.shape[1], blocks, least)
+        # own rows first, then the halo, each by the block's second coordinate: a row's partners are a range of it
+        second = turn[:, k * wide + min(1, wide - 1)]
+        order = np.lexsort((pdf["rep"].to_numpy(), second, pdf["halo"].to_numpy()))
+        pdf, turn, second, n = pdf.iloc[order], turn[order], second[order], len(pdf)
+        given = np.stack([np.asarray(v, np.float64) for v in pdf["v"]])
+        length = np.sqrt((given * given).sum(axis=1))
         near = turn[:, k * wide : (k + 1) * wide]
-        norm = (near * near).sum(axis=1)
-        halo, weight = pdf["halo"].to_numpy(), pdf["m"].to_numpy()
-        home, side = np.flatnonzero(~halo), pdf["side"].to_numpy()
+        half = (near * near).sum(axis=1, keepdims=True) / 2
+        ones = np.ones_like(half)
+        # one product gives half the squared distance, in single precision with room for its rounding
+        left, right = np.hstack([-near, half, ones]).astype(np.float32), np.ascontiguousarray(np.hstack([near, ones, half]).astype(np.float32).T)
+        weight, side = pdf["m"].to_numpy(), pdf["side"].to_numpy()
+        n_own, reach = int((~pdf["halo"].to_numpy()).sum()), np.sqrt(share[k]) * (1 + 1e-9) + 1e-9
         links, label = np.zeros(n, np.int64), np.arange(n)
-        for at in range(0, len(home), 512):
-            own = home[at : at + 512]
-            apart = norm[own][:, None] + norm[None, :] - 2.0 * near[own] @ near.T
-            x, y = np.nonzero(apart <= share[k] + 1e-9)
-            x = own[x]
-            ok = (halo[y] | (x < y)) & (x != y) & (side[x] | side[y] == 3)
-            x, y = x[ok], y[ok]
-            for j in range(0, len(x), 65536):
-                p, q = x[j : j + 65536], y[j : j + 65536]
-                parts = ((turn[p] - turn[q]) ** 2).reshape(len(p), -1, wide).sum(axis=2)
-                first = (parts <= share).argmax(axis=1) == k
-                first &= parts[:, k] <= share[k]
-                p, q = p[first], q[first]
-                close = np.einsum("ij,ij->i", given[p], given[q]) >= least * length[p] * length[q]
-                p, q = p[close], q[close]
-                np.add.at(links, p, weight[q])
-                np.add.at(links, q, weight[p])
-                label = contract(p, q, label)
+        for at in range(0, n_own, 256):
+            end = min(at + 256, n_own)
+            low, high = second[at] - reach, second[end - 1] + reach
+            ranges = ((at, int(np.searchsorted(second[:n_own], high, "right"))), tuple(n_own + np.searchsorted(second[n_own:], [low, high]) + [0, 1]))
+            for first_col, last_col in ranges:
+                apart = left[at:end] @ right[:, first_col : min(n, last_col)]
+                x, y = np.divmod(np.flatnonzero(apart.ravel() <= np.float32(share[k] / 2 + 1e-5)), max(1, apart.shape[1]))
+                x, y = x + at, y + first_col
+                ok = (x < y) & (side[x] | side[y] == 3)
+                x, y = x[ok], y[ok]
+                for j in range(0, len(x), 65536):
+                    p, q = x[j : j + 65536], y[j : j + 65536]
+                    parts = ((turn[p] - turn[q]) ** 2).reshape(len(p), -1, wide).sum(axis=2)
+                    first = ((parts <= share).argmax(axis=1) == k) & (parts[:, k] <= share[k])
+                    p, q = p[first], q[first]
+                    close = np.einsum("ij,ij->i", given[p], given[q]) >= least * length[p] * length[q]
+                    p, q = p[close], q[close]
+                    np.add.at(links, p, weight[q])
+                    np.add.at(links, q, weight[p])
+                    label = contract(p, q, label)
         rep = pdf["rep"].to_numpy()
         out = pd.DataFrame({"rep": rep, "links": links, "root": rep[label]})
         return out[(links > 0) | (label != np.arange(n))]
