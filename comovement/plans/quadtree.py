@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.cells import axis_cell
 
-MAX_DEPTH, MOST_LEAVES = 10, 4096
+MAX_DEPTH, MOST_LEAVES, TABLE_DEPTH = 10, 4096, 8
 
 
 @dataclass(frozen=True)
@@ -35,9 +35,22 @@ class Quadtree:
         pairs = [F.lit(v) for d, ix, iy in self.leaves for v in (_key(d, ix, iy), _key(d, ix, iy))]
         return F.create_map(*pairs)
 
+    def _table(self) -> Column:
+        """The leaf of every finest cell as one literal array."""
+        d = self.depth
+        at = [0] * (1 << 2 * d)
+        for depth, ix, iy in self.leaves:
+            step = 1 << (d - depth)
+            for i in range(ix * step, (ix + 1) * step):
+                at[(i << d) + iy * step : (i << d) + (iy + 1) * step] = [_key(depth, ix, iy)] * step
+        return F.expr(f"cast(split('{','.join(map(str, at))}', ',') as array<bigint>)")  # folded into a literal
+
     def _leaf(self, ix: Column, iy: Column) -> Column:
-        """Leaf of a finest cell: probes the prefixes of every depth that has leaves."""
-        leaves, finest = self._map(), self.depth
+        """Leaf of a finest cell: one array access, or for deep trees the prefixes of every depth that has leaves."""
+        finest = self.depth
+        if finest <= TABLE_DEPTH:
+            return F.get(self._table(), (F.shiftleft(ix, finest) + iy).cast("int"))
+        leaves = self._map()
         keys = [F.lit(d).cast("long") * (1 << 52) + F.shiftright(ix, finest - d) * (1 << 26) + F.shiftright(iy, finest - d) for d in sorted({d for d, _, _ in self.leaves}, reverse=True)]
         return F.coalesce(*[F.try_element_at(leaves, k) for k in keys])
 
