@@ -1,11 +1,11 @@
 """Benchmark decontamination: SimHash of item-sized windows, multi-index Hamming search, exact check.
 
-A window can reach the threshold only if it holds a shingle of some item, so the windows looked at
-are those of an item's length that are aligned with a shared shingle; all others are ruled out
-exactly. Each window's 64-bit weighted SimHash is looked up in eight blocks of eight bits: a
-fingerprint within ``RADIUS`` differs in at most RADIUS // 8 bits in some block, so probing all
-block values that near finds every one. Pairs found are confirmed by the exact weighted share of the
-item's shingles found in the window, each weighted by how often it occurs.
+For each item that shares enough shingles with a text, the exact weighted share of the item's
+shingles, each weighted by how often it occurs, is counted in the item-sized window at every start;
+windows below the threshold go. The 64-bit weighted SimHash of those left, best share first, is
+looked up in eight blocks of eight bits until the item is found: a fingerprint within ``RADIUS``
+differs in at most RADIUS // 8 bits in some block, so probing all block values that near finds every
+one.
 
 Documents are scanned map-side against the benchmark, in blocks of at most ``BLOCK_BYTES`` of item
 text, so what is sent to executors is bounded however large the benchmark grows.
@@ -54,16 +54,16 @@ class Index:
             w = words.of(words_of(text))
             if len(w):
                 self.items.append((item_id, len(w), shingle_hashes(w, width)))
-        self.places = defaultdict(list)
+        self.holders = defaultdict(list)
         self.blocks = defaultdict(list)
         self.prints = [simhash(sh) for _, _, sh in self.items]
         self.counts = [Counter(sh.tolist()) for _, _, sh in self.items]
         for k, (_, _, sh) in enumerate(self.items):
-            for q, s in enumerate(sh.tolist()):
-                self.places[s].append((k, q))
+            for s in self.counts[k]:
+                self.holders[s].append(k)
             for b in range(8):
                 self.blocks[b, self.prints[k] >> 8 * b & 255].append(k)
-        self.known = np.sort(np.fromiter(self.places, np.uint64, len(self.places)))
+        self.known = np.sort(np.fromiter(self.holders, np.uint64, len(self.holders)))
         self.short = sorted({n for _, n, _ in self.items if n < width})
 
     def near(self, fingerprint: int, radius: int):
@@ -77,6 +77,24 @@ class Index:
                             yield k, distance
 
 
+def shared_counts(sh: np.ndarray, at: list[int], counts: Counter, size: int) -> np.ndarray:
+    """How many of an item's shingles (each as often as it occurs) the ``size`` shingles from each start hold.
+
+    at: places in ``sh`` of the item's shingles. An occurrence counts in the windows that hold it and less
+    than ``counts`` of the same shingle before it, which are consecutive starts."""
+    last = max(0, len(sh) - size)
+    steps, before = np.zeros(last + 2, np.int64), defaultdict(list)
+    for p in at:
+        s = int(sh[p])
+        earlier, most = before[s], counts[s]
+        lo, hi = max(0, p - size + 1, earlier[-most] + 1 if len(earlier) >= most else 0), min(p, last)
+        if lo <= hi:
+            steps[lo] += 1
+            steps[hi + 1] -= 1
+        earlier.append(p)
+    return np.cumsum(steps[:-1])
+
+
 def matches(index: Index, words: np.ndarray, width: int, threshold: float, radius: int):
     """(item, similarity, first word, words, distance) of each window of the text that meets the threshold."""
     found = {}
@@ -87,22 +105,28 @@ def matches(index: Index, words: np.ndarray, width: int, threshold: float, radiu
         sh = shingle_hashes(words, w) if w == width else _short(words, w)
         at = np.minimum(np.searchsorted(index.known, sh), len(index.known) - 1)
         hits = np.flatnonzero(index.known[at] == sh)
-        windows = set()
+        places = defaultdict(list)
         for p in hits.tolist():
-            for k, q in index.places[int(sh[p])]:
+            for k in index.holders[int(sh[p])]:
                 size = index.items[k][1]
                 if (size < width) == (w < width) and (w == width or size == w) and size <= len(words):
-                    windows.add((min(max(0, p - q), len(words) - size), size))
-        for start, size in windows:
-            part = sh[start : start + max(1, size - width + 1)]
-            own = Counter(part.tolist())
-            for k, distance in index.near(simhash(part), radius):
-                item_id, n, shingles = index.items[k]
-                if n == size:
-                    similarity = sum((index.counts[k] & own).values()) / len(shingles)
-                    if similarity >= threshold - 1e-12 and (similarity, -start) > found.get(item_id, (0.0, 0))[:2]:
-                        found[item_id] = (similarity, -start, size, distance)
-    return [(item_id, min(1.0, s), -start, size, distance) for item_id, (s, start, size, distance) in found.items()]
+                    places[k].append(p)
+        for k, own in places.items():
+            item_id, size, shingles = index.items[k]
+            least = (threshold - 1e-12) * len(shingles)
+            if len(own) < least:
+                continue
+            counts = shared_counts(sh, own, index.counts[k], len(shingles))
+            starts = np.flatnonzero(counts >= least)
+            for start in starts[np.argsort(-counts[starts], kind="stable")].tolist():
+                similarity = float(counts[start] / len(shingles))
+                if (similarity, -start) <= found.get(item_id, (0.0, 0))[:2]:
+                    break
+                distance = dict(index.near(simhash(sh[start : start + len(shingles)]), radius)).get(k)
+                if distance is not None:
+                    found[item_id] = (similarity, -start, size, distance)
+                    break
+    return [(item_id, s, -start, size, distance) for item_id, (s, start, size, distance) in found.items()]
 
 
 def _short(words: np.ndarray, w: int) -> np.ndarray:

@@ -191,6 +191,34 @@ def test_decontamination_finds_planted_items(spark, docs, nothing):
     assert decontaminate.clean(docs, bench).count() == docs.count()
 
 
+def shares(index, k, words):
+    """Share of item k in its window at each start, by plain counting."""
+    _, size, shingles = index.items[k]
+    rows = [decontaminate.shingle_hashes(words[a : a + size], 5).tolist() for a in range(max(1, len(words) - size + 1))]
+    return [sum((Counter(shingles.tolist()) & Counter(r)).values()) / len(shingles) for r in rows]
+
+
+def test_decontamination_looks_at_every_start():
+    item = prose(40, 40).split()
+    index = decontaminate.Index([(1, " ".join(item))])
+    swapped = f"{prose(41, 50)} {' '.join(item[20:] + item[:20])} {prose(42, 50)}"
+    found = decontaminate.matches(index, decontaminate.WordHashes().of(decontaminate.words_of(swapped)), 5, 0.8, 28)
+    assert [(m[0], m[1], m[2], m[3]) for m in found] == [(1, 32 / 36, 50, 40)]
+    rng = np.random.default_rng(12)
+    items = [" ".join(f"w{x}" for x in rng.integers(0, 3, int(n))) for n in rng.integers(5, 30, 20)]
+    index = decontaminate.Index(list(enumerate(items)))
+    met = 0
+    for _ in range(40):
+        # few different words, so that shingles repeat and their counts matter
+        text = [f"w{x}" for k in rng.permutation(20)[:3] for x in [*rng.integers(0, 3, 4), *np.roll([int(y[1:]) for y in items[k].split()], int(rng.integers(0, 9)))]]
+        words = decontaminate.WordHashes().of([t.encode() for t in text])
+        best = {k: max(shares(index, k, words)) for k in range(20) if index.items[k][1] <= len(words)}
+        expected = {k: (s, shares(index, k, words).index(s)) for k, s in best.items() if s >= 0.8}
+        assert {m[0]: m[1:3] for m in decontaminate.matches(index, words, 5, 0.8, 64)} == expected
+        met += len(expected)
+    assert met > 20
+
+
 def test_hamming_index_is_complete():
     rng = np.random.default_rng(4)
     index = decontaminate.Index([(i, prose(100 + i, 20)) for i in range(30)])
