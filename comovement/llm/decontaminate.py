@@ -2,7 +2,8 @@
 
 For each item that shares enough shingles with a text, the exact weighted share of the item's
 shingles, each weighted by how often it occurs, is counted in the item-sized window at every start;
-windows below the threshold go. The 64-bit weighted SimHash of those left, best share first, is
+windows below the threshold go. A text shorter than the item is one window, judged by the same share
+of the item's shingles. The 64-bit weighted SimHash of those left, best share first, is
 looked up in eight blocks of eight bits until the item is found: a fingerprint within ``RADIUS``
 differs in at most RADIUS // 8 bits in some block, so probing all block values that near finds every
 one.
@@ -109,7 +110,7 @@ def matches(index: Index, words: np.ndarray, width: int, threshold: float, radiu
         for p in hits.tolist():
             for k in index.holders[int(sh[p])]:
                 size = index.items[k][1]
-                if (size < width) == (w < width) and (w == width or size == w) and size <= len(words):
+                if (size < width) == (w < width) and (w == width or size == w):
                     places[k].append(p)
         for k, own in places.items():
             item_id, size, shingles = index.items[k]
@@ -124,7 +125,7 @@ def matches(index: Index, words: np.ndarray, width: int, threshold: float, radiu
                     break
                 distance = dict(index.near(simhash(sh[start : start + len(shingles)]), radius)).get(k)
                 if distance is not None:
-                    found[item_id] = (similarity, -start, size, distance)
+                    found[item_id] = (similarity, -start, min(size, len(words)), distance)
                     break
     return [(item_id, s, -start, size, distance) for item_id, (s, start, size, distance) in found.items()]
 

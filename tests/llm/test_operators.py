@@ -219,6 +219,16 @@ def test_decontamination_looks_at_every_start():
     assert met > 20
 
 
+def test_decontamination_of_texts_shorter_than_the_item():
+    item = prose(43, 30).split()
+    index, words = decontaminate.Index([(1, " ".join(item))]), decontaminate.WordHashes()
+    found = {n: decontaminate.matches(index, words.of(decontaminate.words_of(" ".join(item[:n]))), 5, 0.8, 28) for n in (30, 27, 25, 24, 4, 0)}
+    assert [m[:4] for m in found[30]] == [(1, 1.0, 0, 30)] and [m[:4] for m in found[27]] == [(1, 23 / 26, 0, 27)]
+    assert [m[:4] for m in found[25]] == [(1, 21 / 26, 0, 25)] and not found[24] and not found[4] and not found[0]
+    middle = decontaminate.matches(index, words.of(decontaminate.words_of(" ".join(item[2:28]))), 5, 0.8, 28)
+    assert [m[:4] for m in middle] == [(1, 22 / 26, 0, 26)]
+
+
 def test_hamming_index_is_complete():
     rng = np.random.default_rng(4)
     index = decontaminate.Index([(i, prose(100 + i, 20)) for i in range(30)])
