@@ -261,6 +261,16 @@ def test_packing_is_whole_and_tight(docs, nothing):
         assert end <= 2048
 
 
+def test_packing_takes_special_token_strings_as_text():
+    import public_tokenizers as tokens
+    from tokenizers import Tokenizer
+
+    t, own = Tokenizer.from_file(tokens.path("byte_bpe_50k.json")), packing.encoder(tokens.path("byte_bpe_50k.tiktoken"), tokens.PATTERN)
+    t.encode_special_tokens = True
+    for text in ("a<|endoftext|>b", "<|endoftext|>", " <|endoftext|><|endoftext|> end"):
+        assert own.encode_ordinary(text) == t.encode(text, add_special_tokens=False).ids and 50256 not in own.encode_ordinary(text)
+
+
 def test_packing_plan_uses_every_length():
     rng = np.random.default_rng(6)
     for _ in range(20):
