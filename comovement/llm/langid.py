@@ -1,9 +1,10 @@
 """Language identification by spans: script ranges, word scores, Viterbi with a switching penalty.
 
 The model holds log-probabilities of hashed letter trigrams (word borders included) by language, and
-which scripts each language uses. It is fitted on at most about ``SAMPLE`` labelled documents (a
-stated bound, chosen by a hash of doc_id; whole texts), which are held to the training part of the
-split. A word (run of letters) is scored only for languages of its script; Viterbi over a text's
+which scripts each language uses. It is fitted on at most about ``SAMPLE`` labelled documents of each
+language (a stated bound, chosen by a hash of doc_id; whole texts; one document at least), which are
+held to the training part of the split. All languages are learned; the model takes 2^BITS numbers for
+each. A word (run of letters) is scored only for languages of its script; Viterbi over a text's
 words then labels spans. Where no run of words favours other languages by more than the penalty, one
 span is optimal, which a maximum-subarray test shows without running the lattice.
 
@@ -24,6 +25,8 @@ from .shared import map_texts, pick
 SAMPLE, BITS, PENALTY, FLOOR = 6000, 18, 6.0, -6.0
 CHUNK = 400_000
 """Characters scored at a time."""
+HELD = 64
+"""Languages whose counts a task holds at a time."""
 
 # First code points of script ranges (letters below the first are Latin).
 SCRIPTS = {
@@ -100,18 +103,29 @@ def _chunks(ids, texts):
 
 
 def _count(languages: list[str], bits: int):
+    number = {lang: k for k, lang in enumerate(languages)}
+
+    def counted(grams, scripts):
+        for kind, tables in (("gram", grams), ("script", scripts)):
+            for k, table in tables.items():
+                slot = np.flatnonzero(table)
+                yield pd.DataFrame({"kind": kind, "k": k, "slot": slot, "n": table[slot]})
+            tables.clear()
+
     def run(batches):
-        words = Words()
-        grams, scripts = np.zeros((len(languages), 1 << bits), np.int64), np.zeros((len(languages), len(_NAMES)), np.int64)
+        words, grams, scripts = Words(), {}, {}
         for pdf in batches:
-            for k, lang in enumerate(languages):
-                for _, texts in _chunks(*[pdf.loc[pdf["lang"] == lang, "text"]] * 2):
+            for lang, own in pdf.groupby("lang")["text"]:
+                k = number[lang]
+                if k not in grams:
+                    if len(grams) >= HELD:
+                        yield from counted(grams, scripts)
+                    grams[k], scripts[k] = np.zeros(1 << bits, np.int64), np.zeros(len(_NAMES), np.int64)
+                for _, texts in _chunks(own, own):
                     h, _, script, _ = words.of(texts, bits)
                     grams[k] += np.bincount(h, minlength=1 << bits)
                     scripts[k] += np.bincount(script, minlength=len(_NAMES))
-        for kind, table in (("gram", grams), ("script", scripts)):
-            k, slot = np.nonzero(table)
-            yield pd.DataFrame({"kind": kind, "k": k, "slot": slot, "n": table[k, slot]})
+        yield from counted(grams, scripts)
 
     return run
 
@@ -123,10 +137,13 @@ def training_part(id_col: str = "doc_id"):
 def fit(docs: DataFrame, sample: int = SAMPLE, bits: int = BITS) -> dict:
     """Model from documents (doc_id, text, lang); rows of the held-out part are never read into it."""
     labelled = docs.where("text is not null and lang is not null and doc_id is not null").where(training_part())
-    per_lang = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(1000).collect()}
-    languages, total = sorted(per_lang), sum(per_lang.values())
-    share = min(1.0, sample / max(1, total))
-    chosen = labelled.where(F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(1_000_000)) < F.lit(int(np.ceil(share * 1_000_000))))
+    slot = F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(1_000_000))
+    found = labelled.groupBy("lang").agg(F.count("*").alias("n"), F.min(slot).alias("least")).collect()
+    per_lang = {r["lang"]: r["n"] for r in found}
+    languages = sorted(per_lang)
+    # documents of a language below its cut are taken; the one of the least hash always is
+    cuts = [(r["lang"], max(int(np.ceil(min(1.0, sample / r["n"]) * 1_000_000)), r["least"] + 1)) for r in found]
+    chosen = labelled.join(F.broadcast(docs.sparkSession.createDataFrame(cuts, "lang string, cut long")), "lang").where(slot < F.col("cut"))
     counts = map_texts(chosen.select("lang", "text"), _count(languages, bits), "kind string, k long, slot long, n long").groupBy("kind", "k", "slot").agg(F.sum("n").alias("n")).toPandas()
     grams, scripts = np.zeros((len(languages), 1 << bits)), np.zeros((len(languages), len(_NAMES)))
     for kind, table in (("gram", grams), ("script", scripts)):

@@ -167,6 +167,26 @@ def test_language_by_held_out_accuracy_and_spans(spark, docs, nothing, sf_dir):
     assert langid.identify(nothing, nothing).count() == 0 and langid.identify(docs, nothing).where("lang_pred <> 'und'").count() == 0
 
 
+def test_language_sample_has_every_language(spark):
+    greek = "και το είναι που δεν θα για με τον στην από"
+    rows = [(i, prose(i, 8), "en") for i in range(3000)] + [(5000 + i, greek, "el") for i in range(5)]
+    model = langid.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"), sample=30, bits=10)
+    found = langid.predict(spark.createDataFrame([(1, greek), (2, prose(9999, 8))], "doc_id long, text string"), model).collect()
+    assert {r.doc_id: r.lang_pred for r in found} == {1: "el", 2: "en"} and all(r.score > 0.9 for r in found)
+    # rows of one doc_id share a hash, and so stand or fall together
+    trained = next(i for i in range(7000, 7100) if zlib.crc32(str(i).encode()) % 3 != 1)
+    one = langid.fit(spark.createDataFrame([(i, prose(i, 8), "en") for i in range(20)] + [(trained, greek, "el")] * 500, "doc_id long, text string, lang string"), sample=1, bits=10)
+    assert one["languages"] == ["el", "en"] and one["uses"].any(axis=1).all()
+
+
+def test_language_learns_more_than_a_thousand(spark):
+    rows = [(3 * k + i, f"{WORDS[k % 20]}", f"l{k:04}") for k in range(1100) for i in range(3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    labelled = {r.lang for r in docs.where(langid.training_part()).select("lang").distinct().collect()}
+    model = langid.fit(docs, bits=8)
+    assert len(labelled) > 1000 and set(model["languages"]) == labelled and model["uses"].any(axis=1).all()
+
+
 def test_viterbi_equals_plain_lattice():
     rng = np.random.default_rng(2)
     texts = [np.minimum(0, rng.normal(-2, 3, (int(rng.integers(1, 60)), 3))) for _ in range(300)]
