@@ -29,6 +29,17 @@ def query(f: Query) -> Query:
     return f
 
 
+def compared(part: str):
+    """Registers a query twice: over the part of its table that its SQL compares, and as NAME_all over all of it."""
+
+    def register(f: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+        QUERIES[f.__name__] = lambda spark, d: f(spark, d, part)
+        QUERIES[f"{f.__name__}_all"] = lambda spark, d: f(spark, d, "true")
+        return f
+
+    return register
+
+
 def events(spark: SparkSession, d: str, companions: bool = False, where: str = "true") -> DataFrame:
     """Points of events, with twins or not, filtered, numbered."""
     pts = points.from_events(table(spark, d, "events"))
@@ -87,9 +98,9 @@ def traj_sessions(spark, d):
     return points.split_on_gap(raw(spark, d), 24 * HOUR).groupBy("traj", "trip").agg(F.count("*").alias("n"), F.min("t").alias("t_from"), F.max("t").alias("t_to"))
 
 
-@query
-def lifespan_pairs(spark, d):
-    s = points.summary(raw(spark, d).where("traj < 50"))
+@compared("traj < 50")
+def lifespan_pairs(spark, d, where):
+    s = points.summary(raw(spark, d).where(where))
     return points.common_lifespans(s, s, 480 * HOUR, 240 * HOUR).where("r_traj < s_traj")
 
 
@@ -99,10 +110,10 @@ def traj_nested(spark, d):
     return nested.select("traj", F.size("points").cast("long").alias("n"), F.element_at("points", 1)["t"].alias("first_t"), F.element_at("points", -1)["t"].alias("last_t"))
 
 
-@query
-def traj_slice(spark, d):
+@compared("traj < 20")
+def traj_slice(spark, d, where):
     pts = events(spark, d)
-    pieces = pts.where("traj < 20").select("traj").distinct().selectExpr("traj", "3L seq_from", "7L seq_to")
+    pieces = pts.where(where).select("traj").distinct().selectExpr("traj", "3L seq_from", "7L seq_to")
     return points.cut(pts, pieces).select("traj", "seq", "t", "pid")
 
 
@@ -111,9 +122,9 @@ def traj_clean(spark, d):
     return points.clean(raw(spark, d), box=(float("-inf"), 5.0, 300.0, float("inf")), min_points=40)
 
 
-@query
-def jp_naive(spark, d):
-    return pairs(spark, d, "naive", where="traj < 40")
+@compared("traj < 40")
+def jp_naive(spark, d, where):
+    return pairs(spark, d, "naive", where=where)
 
 
 for _name, _method, _options in (
@@ -174,10 +185,9 @@ def jp_cross_slab(spark, d):
     return pointjoin.joining_pairs(pts, None, P10, "basic", slabs=slabs).where(slabs.of(F.col("r_t")) != slabs.of(F.col("s_t")))
 
 
-@query
-def jp_lineitem_narrow(spark, d):
-    year = table(spark, d, "lineitem").where("l_shipdate >= timestamp_ntz'1996-01-01' and l_shipdate < timestamp_ntz'1997-01-01'")
-    pts = points.with_sequence(points.from_lineitem(year))
+@compared("l_shipdate >= timestamp_ntz'1996-01-01' and l_shipdate < timestamp_ntz'1997-01-01'")
+def jp_lineitem_narrow(spark, d, where):
+    pts = points.with_sequence(points.from_lineitem(table(spark, d, "lineitem").where(where)))
     return pointjoin.joining_pairs(pts, None, JoinParams(3.0, 48 * HOUR), "prepart").groupBy("r_traj", "s_traj").agg(F.count("*").alias("n_jp"))
 
 
@@ -193,34 +203,34 @@ def jp_bp_outer(spark, d):
     return classify.pairs_and_breaks(pts, pointjoin.joining_pairs(pts, None, P10)).select(*pointjoin.OUT, "kind")
 
 
-def _few(spark, d):
-    pts = events(spark, d, where="traj < 40")
+def _joined(spark, d, where):
+    pts = events(spark, d, where=where)
     return pts, pointjoin.joining_pairs(pts, None, P10)
 
 
-@query
-def njp_pairs(spark, d):
-    return classify.non_joining(*_few(spark, d))
+@compared("traj < 40")
+def njp_pairs(spark, d, where):
+    return classify.non_joining(*_joined(spark, d, where))
 
 
-@query
-def njp_counts(spark, d):
-    return classify.cover_counts(*_few(spark, d))
+@compared("traj < 40")
+def njp_counts(spark, d, where):
+    return classify.cover_counts(*_joined(spark, d, where))
 
 
-@query
-def miss_effective(spark, d):
-    return classify.effective_misses(*_few(spark, d))
+@compared("traj < 40")
+def miss_effective(spark, d, where):
+    return classify.effective_misses(*_joined(spark, d, where))
 
 
-@query
-def miss_literal(spark, d):
-    return classify.literal_misses(*_few(spark, d))
+@compared("traj < 40")
+def miss_literal(spark, d, where):
+    return classify.literal_misses(*_joined(spark, d, where))
 
 
-@query
-def miss_candidates(spark, d):
-    return classify.candidate_misses(*_few(spark, d))
+@compared("traj < 40")
+def miss_candidates(spark, d, where):
+    return classify.candidate_misses(*_joined(spark, d, where))
 
 
 for _method in ("basic", "prepart", "indexed", "auto"):
@@ -252,9 +262,9 @@ def match_udtf(spark, d):
     return spark.sql("select * from subtrajectory_pairs(table(pairs_of_trajectories) partition by (r_traj, s_traj)) where r_to > r_from and s_to > s_from")
 
 
-@query
-def match_brute_force(spark, d):
-    pts = events(spark, d, True, "pmod(traj, 1000000) < 60")
+@compared("pmod(traj, 1000000) < 60")
+def match_brute_force(spark, d, where):
+    pts = events(spark, d, True, where)
     return semantics.brute_force(pointjoin.joining_pairs(pts, None, SET_A).where("r_traj < s_traj"), pts, SET_A)
 
 
@@ -329,7 +339,7 @@ def check_matching(spark, d):
 @query
 def warped_distance_join(spark, d):
     """Whole trajectories within a time-warping distance."""
-    return baselines.warped_join(raw(spark, d).where("traj < 30"), 4000.0, 240 * HOUR)
+    return baselines.warped_join(raw(spark, d), 4000.0, 240 * HOUR)
 
 
 def _tree(spark, d, cap: float = 0.03):
@@ -497,16 +507,16 @@ def app_network(spark, d):
     return apps.shared_segments(SubtrajectoryJoin(SET_A, "indexed").run(pts), pts, 20.0)
 
 
-@query
-def op_band(spark, d):
-    pts = events(spark, d, where="traj < 40")
+@compared("traj < 40")
+def op_band(spark, d, where):
+    pts = events(spark, d, where=where)
     r, s = pts.selectExpr("traj r_traj", "pid r_pid", "t r_t"), pts.selectExpr("traj s_traj", "pid s_pid", "t s_t")
     return general.band_join(r, s, "r_t", "s_t", HOUR).where("r_traj < s_traj").drop("r_t", "s_t")
 
 
-@query
-def op_overlap(spark, d):
-    s = points.summary(raw(spark, d).where("pmod(pid, 7) = 0"))
+@compared("pmod(pid, 7) = 0")
+def op_overlap(spark, d, where):
+    s = points.summary(raw(spark, d).where(where))
     r = s.selectExpr("traj r_traj", "t_min r_lo", "t_max r_hi")
     o = s.selectExpr("traj s_traj", "t_min s_lo", "t_max s_hi")
     return general.overlap_join(r, o, ("r_lo", "r_hi"), ("s_lo", "s_hi"), 240 * HOUR).where("r_traj < s_traj").select("r_traj", "s_traj")
@@ -518,9 +528,9 @@ def op_asof(spark, d):
     return general.asof_join(pts.where("pmod(pid, 3) <> 0"), pts.where("pmod(pid, 3) = 0"), "traj", "t", "pid")
 
 
-@query
-def op_knn(spark, d):
-    pts = events(spark, d, where="traj < 40")
+@compared("traj < 40")
+def op_knn(spark, d, where):
+    pts = events(spark, d, where=where)
     return general.knn(pts, pts, 3, 6 * HOUR)
 
 
@@ -569,12 +579,12 @@ def op_grouping_sets(spark, d):
     return _days(spark, d).groupingSets([["day", "cell"], ["event_type"], []], "day", "cell", "event_type").agg(F.count("*").alias("n"), F.grouping_id().alias("gid"))
 
 
-@query
-def op_ranks(spark, d):
+@compared("traj < 30")
+def op_ranks(spark, d, where):
     w = Window.partitionBy("traj").orderBy(F.floor("x"))
     full = Window.partitionBy("traj").orderBy("x", "pid")
     whole = full.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    return raw(spark, d).where("traj < 30").select(
+    return raw(spark, d).where(where).select(
         "traj", "pid", F.rank().over(w).cast("long").alias("rnk"), F.dense_rank().over(w).cast("long").alias("dense"), F.ntile(4).over(full).cast("long").alias("quarter"),
         F.round(F.percent_rank().over(w), 9).alias("pct"), F.round(F.cume_dist().over(w), 9).alias("cume"), F.nth_value("pid", 2).over(whole).alias("second"),
     )
@@ -600,10 +610,10 @@ def op_setops(spark, d):
     return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3]).unionByName(out[4])
 
 
-@query
-def op_arrays(spark, d):
+@compared("r_traj < 40")
+def op_arrays(spark, d, where):
     """Common partners of pairs that share one: joined on the partner, so no pair without any is looked at."""
-    jp = pairs(spark, d).where("r_traj < 40").select("r_traj", "s_traj").distinct()
+    jp = pairs(spark, d).where(where).select("r_traj", "s_traj").distinct()
     lists = jp.groupBy("r_traj").agg(F.array_sort(F.collect_set("s_traj")).alias("p"))
     meet = jp.selectExpr("r_traj a", "s_traj").join(jp.selectExpr("r_traj b", "s_traj"), "s_traj").where("a < b").select("a", "b").distinct()
     both = meet.join(lists.selectExpr("r_traj a", "p pa"), "a").join(lists.selectExpr("r_traj b", "p pb"), "b")
