@@ -65,7 +65,7 @@ _KIND = np.array([_NAMES.index(s) for s in SCRIPTS.values()])
 
 
 def _letters() -> np.ndarray:
-    return np.array([chr(c).isalpha() for c in range(0x10000)])
+    return np.array([chr(c).isalpha() for c in range(0x20000)])
 
 
 class Words:
@@ -79,7 +79,7 @@ class Words:
         low = [t.lower() for t in texts]
         codes = np.frombuffer(("\n" + "\n".join(low) + "\n").encode("utf-32-le", "surrogatepass"), np.uint32)
         ends = np.cumsum([len(t) + 1 for t in low])  # position of the newline after each text
-        letter = np.where(codes < 0x10000, self.is_letter[np.minimum(codes, 0xFFFF)], codes >= 0x20000)
+        letter = np.where(codes < 0x20000, self.is_letter[np.minimum(codes, 0x1FFFF)], True)
         plain = np.where(letter, codes, np.uint32(32))
         at = np.flatnonzero(letter)
         h = plain[at - 1] * np.uint32(0x85EBCA6B) + plain[at] * np.uint32(0xC2B2AE35) + plain[at + 1] * np.uint32(0x27D4EB2F)

@@ -187,6 +187,15 @@ def test_language_learns_more_than_a_thousand(spark):
     assert len(labelled) > 1000 and set(model["languages"]) == labelled and model["uses"].any(axis=1).all()
 
 
+def test_language_knows_letters_of_the_second_plane(spark):
+    gothic, bold = "\U00010330\U00010331 \U00010332\U00010333\U00010334 " * 5, "\U0001d400\U0001d401 \U0001d402"
+    rows = [(i, gothic, "got") for i in range(9)] + [(20 + i, prose(i, 8), "en") for i in range(9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    found = {r.doc_id: r for r in langid.predict(spark.createDataFrame([(1, gothic), (2, bold), (3, "\U0001f600 \U0001f600")], "doc_id long, text string"), langid.fit(docs, bits=10)).collect()}
+    assert found[1].lang_pred == "got" and found[1].score > 0.9
+    assert found[2].lang_pred != "und" and found[2].score > 0 and (found[3].lang_pred, found[3].score) == ("und", 0.0)
+
+
 def test_viterbi_equals_plain_lattice():
     rng = np.random.default_rng(2)
     texts = [np.minimum(0, rng.normal(-2, 3, (int(rng.integers(1, 60)), 3))) for _ in range(300)]
