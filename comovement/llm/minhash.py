@@ -8,7 +8,8 @@ hence by at most one class, and other lists are skipped. Every list is first joi
 member only, links found so join components, and only lists that still hold several components are
 compared pair by pair, in tiles, among members of different components. All links are confirmed on
 the full shingle sets, so none is false; one at exactly the threshold is missed with probability
-about 1e-8 (binomial tail below ``matches``). A tile first names the members that have a pair to
+at most ``MISS`` (binomial tail below ``matches``, which is chosen by the threshold: 7.3e-8 for 26 at
+0.85, 3.4e-8 for 22 at 0.80). A tile first names the members that have a pair to
 confirm, gets their sets, and then confirms its pairs itself and returns a spanning forest, so what
 is written grows with the members of a list and not with their pairs.
 
@@ -29,7 +30,18 @@ from pyspark.sql import functions as F
 from .shared import WordHashes, among, components, contract, map_texts, mix, pick, shingle_hashes, signed, space_words, written
 
 COORDINATES, MATCHES, WIDTH, PERCENT = 48, 26, 5, 85
-TILE = 512
+TILE, MISS = 512, 1e-7
+
+
+def miss_rate(percent: int, coordinates: int, matches: int) -> float:
+    """Probability that a pair at exactly the threshold agrees in fewer than ``matches`` coordinates."""
+    p = percent / 100
+    return sum(math.comb(coordinates, k) * p**k * (1 - p) ** (coordinates - k) for k in range(matches))
+
+
+def matches_for(percent: int, coordinates: int = COORDINATES) -> int:
+    """The most agreements to ask for while the miss rate is at most ``MISS``; one at least."""
+    return max([1, *(m for m in range(1, coordinates + 1) if miss_rate(percent, coordinates, m) <= MISS)])
 
 
 def _coefficients(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -39,7 +51,7 @@ def _coefficients(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 def sketcher(coordinates: int = COORDINATES, matches: int = MATCHES, width: int = WIDTH):
     """mapInPandas body: (doc_id, text) -> shingle count, 128-bit set fingerprint, the coordinates to
-    post, and 16 bits of every coordinate to count agreements by."""
+    post, and every coordinate to count agreements by."""
     prefix = coordinates - matches + 1
 
     def run(batches):
@@ -57,7 +69,7 @@ def sketcher(coordinates: int = COORDINATES, matches: int = MATCHES, width: int
                     np.minimum(low, (part[None, :] * a[:, None] + b[:, None]).min(axis=1), out=low)
                 sig = (low >> np.uint64(32)).astype(np.uint32)
                 fp = np.array([h.sum(dtype=np.uint64), mix(h ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)]).view(np.int64)
-                rows.append((doc_id, len(h), int(fp[0]), int(fp[1]), sig[:prefix].view(np.int32), sig.astype("<u2").tobytes()))
+                rows.append((doc_id, len(h), int(fp[0]), int(fp[1]), sig[:prefix].view(np.int32), sig.astype("<u4").tobytes()))
             yield pd.DataFrame(rows, columns=["doc_id", "n_shingles", "fp1", "fp2", "posted", "sig"]).astype({"doc_id": "Int64", "fp1": "Int64", "fp2": "Int64"})
 
     return run
@@ -94,7 +106,7 @@ def _pairs(t: pd.DataFrame, matches: int, percent: int):
 
     Rows are sorted by size within a tile pair, so a row is compared with the next ones while sizes fit."""
     group, n = t["g"].to_numpy(), t["n"].to_numpy()
-    sig = np.stack([np.frombuffer(x, "<u2") for x in t["sig"]])
+    sig = np.stack([np.frombuffer(x, "<u4") for x in t["sig"]])
     comp, coord, guest, side = (t[c].to_numpy() for c in ("comp", "coord", "guest", "side"))
     alive, step = np.arange(len(t)), 1
     while len(alive):
@@ -155,7 +167,7 @@ def _sets_of(ids: DataFrame, docs: DataFrame, width: int) -> DataFrame:
 def _agreeing(matches: int):
     def run(batches):
         for pdf in batches:
-            same = np.stack([np.frombuffer(x, "<u2") for x in pdf["sa"]]) == np.stack([np.frombuffer(x, "<u2") for x in pdf["sb"]]) if len(pdf) else np.zeros((0, 1), bool)
+            same = np.stack([np.frombuffer(x, "<u4") for x in pdf["sa"]]) == np.stack([np.frombuffer(x, "<u4") for x in pdf["sb"]]) if len(pdf) else np.zeros((0, 1), bool)
             yield pdf.loc[same.sum(axis=1) >= matches, ["a", "b"]]
 
     return run
@@ -208,8 +220,9 @@ def links(docs: DataFrame, classes: DataFrame, matches: int, width: int, percent
     return found.unionByName(more)
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, width: int = WIDTH, coordinates: int = COORDINATES, matches: int = MATCHES) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept of each row of docs."""
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, width: int = WIDTH, coordinates: int = COORDINATES, matches: int | None = None) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept of each row of docs; ``matches`` follows from percent if not given."""
+    matches = matches_for(percent, coordinates) if matches is None else matches
     own = pick(docs, doc_id=id_col, text=text_col)
     sketches = written(map_texts(own, sketcher(coordinates, matches, width), "doc_id long, n_shingles long, fp1 long, fp2 long, posted array<int>, sig binary"), "sketches")
     full = sketches.where("fp1 is not null and doc_id is not null")

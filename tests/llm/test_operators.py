@@ -95,6 +95,22 @@ def test_minhash_large_group_of_near_copies(spark):
     assert [got[i] for i in range(700)] == label
 
 
+def test_minhash_asks_for_agreements_by_the_threshold():
+    assert minhash.matches_for(85) == minhash.MATCHES == 26 and minhash.matches_for(80) == 22
+    assert minhash.miss_rate(80, 48, 22) < minhash.MISS < minhash.miss_rate(80, 48, 26)
+
+
+def test_minhash_first_common_coordinate_is_that_of_whole_values():
+    import pandas as pd
+
+    a = np.arange(48, dtype="<u4") + 70_000
+    b = a.copy()
+    b[0] ^= np.uint32(1 << 20)  # differs, but not in its low 16 bits
+    rows = [(0, 100, x.tobytes(), k, 1, False, 3) for k, x in enumerate((a, b))]
+    t = pd.DataFrame(rows, columns=["g", "n", "sig", "comp", "coord", "guest", "side"])
+    assert [(x.tolist(), y.tolist()) for x, y in minhash._pairs(t, 26, 85)] == [([0], [1])]
+
+
 def removed(texts: list[bytes], length: int = 100):
     seen, out = set(), []
     for b in texts:
