@@ -286,7 +286,6 @@ def test_packing_is_whole_and_tight(docs, nothing):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(tokens.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
     assert packing.pack(nothing).count() == 0
     got = packing.pack(docs).collect()
     expected = Counter()
@@ -306,14 +305,18 @@ def test_packing_is_whole_and_tight(docs, nothing):
         assert end <= 2048
 
 
-def test_packing_takes_special_token_strings_as_text():
+def test_packing_gives_the_ids_of_the_json_form(spark):
     import public_tokenizers as tokens
     from tokenizers import Tokenizer
 
-    t, own = Tokenizer.from_file(tokens.path("byte_bpe_50k.json")), packing.encoder(tokens.path("byte_bpe_50k.tiktoken"), tokens.PATTERN)
-    t.encode_special_tokens = True
-    for text in ("a<|endoftext|>b", "<|endoftext|>", " <|endoftext|><|endoftext|> end"):
-        assert own.encode_ordinary(text) == t.encode(text, add_special_tokens=False).ids and 50256 not in own.encode_ordinary(text)
+    t = Tokenizer.from_file(tokens.path("byte_bpe_50k.json"))
+    texts = ["a<|endoftext|>b", "<|endoftext|>", " <|endoftext|><|endoftext|> end", "hello <|endoftext|> world", "x  \n <|endoftext|>\n\n  y", "<|endoftext|", "plain  text 123's", "é\u00a0ü \U0001f600"]
+    ids = {i: np.array([*t.encode(x, add_special_tokens=False).ids, 1], "<u4") for i, x in enumerate(texts)}
+    assert 50256 in ids[0]
+    got = packing.pack(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert {r.doc_id: (r.doc_tokens, r.ids_crc32) for r in got} == {i: (len(x), zlib.crc32(x.tobytes())) for i, x in ids.items()}
+    plain = packing.encoder(tokens.path("byte_bpe_50k.tiktoken"), tokens.PATTERN)
+    assert 50256 not in plain(texts[0])
 
 
 def test_packing_plan_uses_every_length():
@@ -421,3 +424,20 @@ def test_components(spark):
                 changed = True
     got = {r.node: r.component for r in components(spark.createDataFrame(edges, "u long, v long").repartition(7)).collect()}
     assert got == {k: v for k, v in label.items() if k in got} and set(got) == {x for u, v in edges if u != v for x in (u, v)}
+
+
+def test_minhash_links_every_text_of_a_repeated_id(spark):
+    first, second, far = prose(50, 80), prose(51, 80).split(), prose(52, 300)
+    near = " ".join([*second[:-2], "tail"])
+    rows = [(1, first), (1, " ".join(second)), (3, near), (4, first + " end"), (5, far), (2, far), (2, None)]
+    got = minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert {(r.doc_id, r.component_id) for r in got} == {(1, 1), (3, 1), (4, 1), (5, 2), (2, 2)} and len(got) == len(rows)
+    # the tile join alone, as when a list's least member links nothing
+    pairs = [(k, t) for k, t in enumerate([prose(60, 400), *(prose(61, 60) + f" x{i}" for i in range(4))])] + [(2, prose(62, 50))]
+    for tile in (512, 1):
+        minhash.TILE, kept = tile, minhash.TILE
+        try:
+            got = minhash.near_duplicates(spark.createDataFrame(pairs, "doc_id long, text string")).collect()
+        finally:
+            minhash.TILE = kept
+        assert {(r.doc_id, r.component_id) for r in got} == {(0, 0), (1, 1), (2, 1), (3, 1), (4, 1)}
