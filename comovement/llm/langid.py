@@ -3,8 +3,8 @@
 The model holds log-probabilities of hashed letter trigrams (word borders included) by language, and
 which scripts each language uses. It is fitted on at most about ``SAMPLE`` labelled documents of each
 language (a stated bound, chosen by a hash of doc_id; whole texts; one document at least), which are
-held to the training part of the split. All languages are learned; the model takes 2^BITS numbers for
-each. A word (run of letters) is scored only for languages of its script; Viterbi over a text's
+held to the training part of the split. All languages are learned; the model takes 2^bits numbers for
+each, with bits = BITS or fewer so that all languages together take at most ``MODEL_NUMBERS``. A word (run of letters) is scored only for languages of its script; Viterbi over a text's
 words then labels spans. Where no run of words favours other languages by more than the penalty, one
 span is optimal, which a maximum-subarray test shows without running the lattice.
 
@@ -15,6 +15,8 @@ all texts are ``und``; repeated rows are treated alike; extra columns are ignore
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -23,6 +25,8 @@ from pyspark.sql import functions as F
 from .shared import map_texts, pick
 
 SAMPLE, BITS, PENALTY, FLOOR = 6000, 18, 6.0, -6.0
+MODEL_NUMBERS = 1 << 26
+"""Numbers in the model, 4 bytes each: what is broadcast stays under 256 MB however many languages there are."""
 CHUNK = 400_000
 """Characters scored at a time."""
 HELD = 64
@@ -64,8 +68,14 @@ _NAMES = sorted(set(SCRIPTS.values()))
 _KIND = np.array([_NAMES.index(s) for s in SCRIPTS.values()])
 
 
+@functools.cache
 def _letters() -> np.ndarray:
-    return np.array([chr(c).isalpha() for c in range(0x20000)])
+    """For every code point whether it is a letter."""
+    return np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
+
+
+def bits_for(languages: int, most: int = BITS) -> int:
+    return max(8, min(most, (MODEL_NUMBERS // max(1, languages)).bit_length() - 1))
 
 
 class Words:
@@ -79,7 +89,7 @@ class Words:
         low = [t.lower() for t in texts]
         codes = np.frombuffer(("\n" + "\n".join(low) + "\n").encode("utf-32-le", "surrogatepass"), np.uint32)
         ends = np.cumsum([len(t) + 1 for t in low])  # position of the newline after each text
-        letter = np.where(codes < 0x20000, self.is_letter[np.minimum(codes, 0x1FFFF)], True)
+        letter = self.is_letter[codes]
         plain = np.where(letter, codes, np.uint32(32))
         at = np.flatnonzero(letter)
         h = plain[at - 1] * np.uint32(0x85EBCA6B) + plain[at] * np.uint32(0xC2B2AE35) + plain[at + 1] * np.uint32(0x27D4EB2F)
@@ -134,25 +144,27 @@ def training_part(id_col: str = "doc_id"):
     return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(3)) != 1
 
 
-def fit(docs: DataFrame, sample: int = SAMPLE, bits: int = BITS) -> dict:
+def fit(docs: DataFrame, sample: int = SAMPLE, bits: int | None = None) -> dict:
     """Model from documents (doc_id, text, lang); rows of the held-out part are never read into it."""
     labelled = docs.where("text is not null and lang is not null and doc_id is not null").where(training_part())
     slot = F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(1_000_000))
     found = labelled.groupBy("lang").agg(F.count("*").alias("n"), F.min(slot).alias("least")).collect()
     per_lang = {r["lang"]: r["n"] for r in found}
     languages = sorted(per_lang)
+    bits = bits_for(len(languages)) if bits is None else bits
     # documents of a language below its cut are taken; the one of the least hash always is
     cuts = [(r["lang"], max(int(np.ceil(min(1.0, sample / r["n"]) * 1_000_000)), r["least"] + 1)) for r in found]
     chosen = labelled.join(F.broadcast(docs.sparkSession.createDataFrame(cuts, "lang string, cut long")), "lang").where(slot < F.col("cut"))
     counts = map_texts(chosen.select("lang", "text"), _count(languages, bits), "kind string, k long, slot long, n long").groupBy("kind", "k", "slot").agg(F.sum("n").alias("n")).toPandas()
-    grams, scripts = np.zeros((len(languages), 1 << bits)), np.zeros((len(languages), len(_NAMES)))
-    for kind, table in (("gram", grams), ("script", scripts)):
+    logs, scripts, smooth = np.zeros((len(languages), 1 << bits), np.float32), np.zeros((len(languages), len(_NAMES))), 0.1
+    for kind, table in (("gram", logs), ("script", scripts)):
         own = counts[counts["kind"] == kind]
         table[own["k"].to_numpy(int), own["slot"].to_numpy(int)] = own["n"].to_numpy()
-    smooth = 0.1
-    logs = np.log((grams + smooth) / (grams.sum(axis=1, keepdims=True) + smooth * (1 << bits)))
+    for row in logs:
+        total = row.sum(dtype=np.float64)
+        row[:] = np.log((row + smooth) / (total + smooth * (1 << bits)))
     uses = scripts >= np.maximum(1, 0.01 * scripts.sum(axis=1, keepdims=True))
-    return {"languages": languages, "logs": np.ascontiguousarray(logs.T.astype(np.float32)), "uses": uses, "commonest": max(per_lang, key=lambda k: (per_lang[k], k), default=None), "bits": bits}
+    return {"languages": languages, "logs": logs, "uses": uses, "commonest": max(per_lang, key=lambda k: (per_lang[k], k), default=None), "bits": bits}
 
 
 def viterbi(s: np.ndarray, penalty: float = PENALTY) -> np.ndarray:
@@ -186,13 +198,12 @@ def _predict(shared, penalty: float, returned: list[str]):
     def run(batches):
         model = shared.value
         words, languages = Words(), model["languages"]
-        by_language = np.ascontiguousarray(model["logs"].T)
         for pdf in batches:
             rows = []
             for ids, texts in _chunks(pdf["doc_id"], pdf["text"]):
                 h, first, script, owner = words.of(texts, model["bits"])
                 if len(first) and languages:
-                    scores = np.stack([np.add.reduceat(logs[h], first) for logs in by_language], axis=1)
+                    scores = np.stack([np.add.reduceat(logs[h], first) for logs in model["logs"]], axis=1)
                     may = model["uses"][:, script].T
                     scores = np.where(may | ~may.any(axis=1, keepdims=True), scores, -np.inf)
                     scores -= scores.max(axis=1, keepdims=True)
