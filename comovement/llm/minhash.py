@@ -14,8 +14,8 @@ confirm, gets their sets, and then confirms its pairs itself and returns a spann
 is written grows with the members of a list and not with their pairs.
 
 Defined results: a null text and a text without words have an empty set and no links; a null doc_id
-is a document of its own (component null); rows that repeat a doc_id keep their own row, their link
-set is that of the doc_id's rows together; empty input gives no rows; extra columns are ignored.
+is a document of its own (component null); rows that repeat a doc_id keep their own row, their links
+are those of any of the doc_id's texts; empty input gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -30,7 +30,8 @@ from pyspark.sql import functions as F
 from .shared import WordHashes, among, components, contract, map_texts, mix, pick, shingle_hashes, signed, space_words, written
 
 COORDINATES, MATCHES, WIDTH, PERCENT = 48, 26, 5, 85
-TILE, MISS = 512, 1e-7
+TILE, TILE_SHINGLES, MISS = 512, 1 << 20, 1e-7
+"""Most rows of a tile and, as the members of a list are of like size, most shingles in their sets together."""
 
 
 def miss_rate(percent: int, coordinates: int, matches: int) -> float:
@@ -49,6 +50,11 @@ def _coefficients(n: int) -> tuple[np.ndarray, np.ndarray]:
     return (rng.integers(0, 2**63, n, dtype=np.uint64) << np.uint64(1)) | np.uint64(1), rng.integers(0, 2**63, n, dtype=np.uint64)
 
 
+def _fingerprint(h: np.ndarray) -> tuple[int, int]:
+    """128 bits of a set of hashes, in halves."""
+    return tuple(np.array([h.sum(dtype=np.uint64), mix(h ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)]).view(np.int64).tolist())
+
+
 def sketcher(coordinates: int = COORDINATES, matches: int = MATCHES, width: int = WIDTH):
     """mapInPandas body: (doc_id, text) -> shingle count, 128-bit set fingerprint, the coordinates to
     post, and every coordinate to count agreements by."""
@@ -68,8 +74,7 @@ def sketcher(coordinates: int = COORDINATES, matches: int = MATCHES, width: int
                     part = h[k : k + 2048]
                     np.minimum(low, (part[None, :] * a[:, None] + b[:, None]).min(axis=1), out=low)
                 sig = (low >> np.uint64(32)).astype(np.uint32)
-                fp = np.array([h.sum(dtype=np.uint64), mix(h ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)]).view(np.int64)
-                rows.append((doc_id, len(h), int(fp[0]), int(fp[1]), sig[:prefix].view(np.int32), sig.astype("<u4").tobytes()))
+                rows.append((doc_id, len(h), *_fingerprint(h), sig[:prefix].view(np.int32), sig.astype("<u4").tobytes()))
             yield pd.DataFrame(rows, columns=["doc_id", "n_shingles", "fp1", "fp2", "posted", "sig"]).astype({"doc_id": "Int64", "fp1": "Int64", "fp2": "Int64"})
 
     return run
@@ -79,8 +84,8 @@ def _sets(width: int):
     def run(batches):
         words = WordHashes()
         for pdf in batches:
-            sets = [signed(np.unique(shingle_hashes(words.of(space_words(t)), width))) for t in pdf["text"]]
-            yield pd.DataFrame({"id": pdf["doc_id"], "items": sets})
+            sets = [np.unique(shingle_hashes(words.of(space_words(t)), width)) for t in pdf["text"]]
+            yield pd.DataFrame({"id": pdf["doc_id"], "fp": [_fingerprint(h)[0] for h in sets], "items": list(map(signed, sets))})
 
     return run
 
@@ -160,8 +165,8 @@ def _linked(matches: int, percent: int):
 
 
 def _sets_of(ids: DataFrame, docs: DataFrame, width: int) -> DataFrame:
-    """(id, items): the shingle set of each document named in ids (_id)."""
-    return map_texts(among(docs, "doc_id", ids, "_id"), _sets(width), "id long, items array<long>").dropDuplicates(["id"])
+    """(id, fp, items): the different shingle sets of each document named in ids (_id)."""
+    return map_texts(among(docs, "doc_id", ids, "_id"), _sets(width), "id long, fp long, items array<long>").dropDuplicates(["id", "fp"])
 
 
 def _agreeing(matches: int):
@@ -177,7 +182,7 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> D
     """The pairs (a, b) of document ids that are linked on their full shingle sets."""
     ids = pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct()
     sets = written(_sets_of(ids, docs, width), "sets")
-    left, right = sets.selectExpr("id a", "items x"), sets.selectExpr("id b", "items y")
+    left, right = sets.selectExpr("id a", "items x"), sets.selectExpr("id b", "items y")  # a pair of ids holds if any two of their sets do
     common = F.size(F.array_intersect("x", "y"))
     return pairs.join(left, "a").join(right, "b").where(100 * common >= percent * (F.size("x") + F.size("y") - common)).select("a", "b")
 
@@ -185,14 +190,15 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> D
 def links(docs: DataFrame, classes: DataFrame, matches: int, width: int, percent: int) -> DataFrame:
     """Edges (u, v) between class representatives, enough to connect all that similarity links connect.
 
-    classes: rep, n, posted, sig of each distinct shingle set."""
+    classes: rep, n, posted, sig, fp of each distinct shingle set."""
     reps = classes.withColumn("cls", F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(100 / percent)) + F.lit(1e-9)).cast("int"))
     posts = reps.select("rep", "n", "cls", F.posexplode("posted").alias("coord", "value"))
     posts = posts.select("rep", "n", "coord", F.explode(F.array(F.struct(F.col("cls").alias("c"), F.lit(False).alias("guest")), F.struct((F.col("cls") + 1).alias("c"), F.lit(True).alias("guest")))).alias("at"), "value")
-    posts = posts.select(F.xxhash64("coord", "value", "at.c").alias("key"), "rep", "coord", "at.guest")
-    lists = posts.groupBy("key").agg(F.min(F.when(~F.col("guest"), F.col("rep"))).alias("hub"), F.count("*").alias("size"), F.max("guest").alias("guests"), F.max("rep").alias("most"), F.min("rep").alias("least"))
-    lists = written(lists.where("hub is not null and most <> least").select((F.col("key") + F.lit(0)).alias("_k"), "hub", "size"), "lists")
-    members = written(posts.join(lists, F.col("key") + F.lit(0) == F.col("_k")).select("key", "rep", "coord", "guest", "hub", "size"), "members")
+    posts = posts.select(F.xxhash64("coord", "value", "at.c").alias("key"), "rep", "n", "coord", "at.guest")
+    lists = posts.groupBy("key").agg(F.min(F.when(~F.col("guest"), F.col("rep"))).alias("hub"), F.count("*").alias("size"), F.max("guest").alias("guests"), F.max("rep").alias("most"), F.min("rep").alias("least"), F.max("n").alias("widest"))
+    rows_of_tile = F.greatest(F.lit(1), F.least(F.lit(TILE), F.expr(f"{TILE_SHINGLES} div widest")))
+    lists = written(lists.where("hub is not null and most <> least").select((F.col("key") + F.lit(0)).alias("_k"), "hub", F.ceil(F.col("size") / rows_of_tile).cast("int").alias("tiles")), "lists")
+    members = written(posts.join(lists, F.col("key") + F.lit(0) == F.col("_k")).select("key", "rep", "coord", "guest", "hub", "tiles"), "members")
 
     signature = reps.select("rep", "n", "sig")
 
@@ -205,18 +211,21 @@ def links(docs: DataFrame, classes: DataFrame, matches: int, width: int, percent
     found = written(_confirmed(written(agreeing(hubs), "pairs"), docs, width, percent).selectExpr("a u", "b v"), "links")
 
     comp = components(found)
-    known = members.join(comp, F.col("rep") == F.col("node"), "left").select("key", "rep", "coord", "guest", "size", F.coalesce("component", "rep").alias("comp"))
+    known = members.join(comp, F.col("rep") == F.col("node"), "left").select("key", "rep", "coord", "guest", "tiles", F.coalesce("component", "rep").alias("comp"))
     open_lists = known.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select((F.col("key") + F.lit(0)).alias("_k"))
     left = known.join(open_lists, F.col("key") + F.lit(0) == F.col("_k"), "left_semi")
-    tiles = F.ceil(F.col("size") / F.lit(TILE)).cast("int")
+    tiles = F.col("tiles")
     left = left.withColumn("t", F.pmod(F.xxhash64("rep"), tiles).cast("int"))
     pairs_of_tiles = F.transform(F.sequence(F.lit(0), tiles - 1), lambda o: F.struct(F.least("t", o).alias("i"), F.greatest("t", o).alias("j")))
     left = left.withColumn("p", F.explode(pairs_of_tiles)).select("key", F.col("p.i").alias("i"), F.col("p.j").alias("j"), "rep", "coord", "guest", "comp", F.when(F.col("p.i") == F.col("p.j"), 3).when(F.col("t") == F.col("p.i"), 1).otherwise(2).alias("side"))
-    left = left.join(signature, "rep").select("key", "i", "j", "rep", "coord", "guest", "comp", "side", "n", "sig")
+    # a doc_id with several sets has several signatures: its own is the one that was posted under the key
+    own = F.xxhash64("coord", F.element_at("posted", F.col("coord") + 1), F.col("cls") + F.col("guest").cast("int")) == F.col("key")
+    left = left.join(reps.select("rep", "n", "sig", "fp", "posted", "cls"), "rep").where(own).select("key", "i", "j", "rep", "coord", "guest", "comp", "side", "n", "sig", "fp")
     together = lambda df: df.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "rep")
     involved = written(together(left).mapInPandas(_involved(matches, percent), left.schema), "involved")
     sets = _sets_of(involved.select(F.col("rep").alias("_id")).distinct(), docs, width)
-    more = together(involved.join(sets, F.col("rep") == F.col("id")).drop("id")).mapInPandas(_linked(matches, percent), "u long, v long")
+    sets = sets.withColumnRenamed("fp", "_fp")
+    more = together(involved.join(sets, (F.col("rep") == F.col("id")) & (F.col("fp") == F.col("_fp"))).drop("id", "_fp")).mapInPandas(_linked(matches, percent), "u long, v long")
     return found.unionByName(more)
 
 
@@ -230,7 +239,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     same = full.select(F.concat_ws(":", "fp1", "fp2").alias("k"), "doc_id")
     dealt = classes.select(F.concat_ws(":", "fp1", "fp2").alias("k"), "rep")
     equal = same.join(dealt, "k").where("doc_id <> rep").selectExpr("doc_id u", "rep v")
-    between = links(own, classes.select("rep", "n", "posted", "sig"), matches, width, percent)
+    between = links(own, classes.select("rep", "n", "posted", "sig", F.col("fp1").alias("fp")), matches, width, percent)
     comp = components(equal.unionByName(between))
     joined = sketches.join(comp, F.col("doc_id") == F.col("node"), "left")
     component = F.coalesce("component", "doc_id")
