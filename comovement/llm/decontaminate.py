@@ -1,25 +1,29 @@
 """Benchmark decontamination: SimHash of item-sized windows, multi-index Hamming search, exact check.
 
-For each item that shares enough shingles with a text, the exact weighted share of the item's
-shingles, each weighted by how often it occurs, is counted in the item-sized window at every start;
-windows below the threshold go. A text shorter than the item is one window, judged by the same share
-of the item's shingles. The 64-bit weighted SimHash of those left, best share first, is
-looked up in eight blocks of eight bits until the item is found: a fingerprint within ``RADIUS``
-differs in at most RADIUS // 8 bits in some block, so probing all block values that near finds every
-one.
+A window of a text has as many words as an item. It is fingerprinted where enough of its shingles occur
+in items of that size at all (a window below that count cannot reach the threshold): 128 bits, the
+majority of each bit over its shingles, each counted as often as it occurs. The fingerprints of items
+of one size stand in an index of four blocks of 32 bits, each in two halves of 16: by the pigeonhole
+(``shares``) a fingerprint within ``RADIUS`` = 37 differs in at most 9, 9, 8 or 8 bits in one of the
+blocks, and so in at most 4 or 3 in one of its halves. Half values that near are enumerated, or
+compared one by one where the index has fewer of them; that gives every item within the radius and
+about 3 % of the others. Those are verified: the exact share of the item's shingles, each weighted by
+how often it occurs, that the window holds. A text shorter than the item is one window. A pair at
+exactly the threshold lies beyond the radius with probability 0.007, and a window is one of several.
 
 Documents are scanned map-side against the benchmark, in blocks of at most ``BLOCK_BYTES`` of item
-text, so what is sent to executors is bounded however large the benchmark grows.
+text (an index of about 40 bytes for each byte of short words, in flat arrays), so what is sent to
+executors is bounded however large the benchmark grows; each block is a scan of the documents.
 
 Defined results: texts or items that are null or without words match nothing; items under five words
-count as one shingle; a doc_id on several rows, or an item_id, keeps its best row; extra columns are
-ignored.
+count as one shingle; a doc_id on several rows, or an item_id, keeps its best row; columns of any
+other name are ignored or, by ``clean``, kept.
 """
 
 from __future__ import annotations
 
+import functools
 import itertools
-from collections import Counter, defaultdict
 
 import numpy as np
 import pandas as pd
@@ -30,103 +34,175 @@ from pyspark.sql import functions as F
 from .licenses import WORD_BYTES
 from .shared import WordHashes, map_texts, mix, pick, shingle_hashes
 
-WIDTH, THRESHOLD, RADIUS = 5, 0.8, 28
-BLOCK_BYTES = 32 << 20
-_FLIPS = {r: [sum(1 << b for b in bits) for n in range(r + 1) for bits in itertools.combinations(range(8), n)] for r in range(9)}
+WIDTH, THRESHOLD, RADIUS = 5, 0.8, 37
+BLOCK_BYTES = 8 << 20
+BLOCKS, HALVES = 4, 8
+"""A fingerprint of 128 bits is four blocks of 32 bits, or eight halves of 16."""
 
 
 def words_of(text: str | None) -> list[bytes]:
     return text.encode("utf-8", "surrogatepass").translate(WORD_BYTES).split() if text else []
 
 
-def simhash(hashes: np.ndarray) -> int:
-    """64-bit fingerprint: majority of each bit of the shingle hashes, each counted as often as it occurs."""
-    bits = np.unpackbits(mix(hashes).view(np.uint8).reshape(-1, 8), axis=1)
-    return int.from_bytes(np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > len(hashes)).tobytes(), "big")
+def _planes(hashes: np.ndarray) -> np.ndarray:
+    """The 128 bits of each shingle hash, one row for each."""
+    wide = np.stack([mix(hashes), mix(hashes ^ np.uint64(0x9E3779B97F4A7C15))], axis=1)
+    return np.unpackbits(wide.view(np.uint8), axis=1)
+
+
+def simhashes(hashes: np.ndarray, starts: np.ndarray, size: int) -> np.ndarray:
+    """Fingerprints, as rows of eight 16-bit halves, of the ``size`` shingles from each start."""
+    low, high = int(starts.min()), int(starts.max()) + size
+    sums = np.zeros((high - low + 1, 128), np.int32)
+    np.cumsum(_planes(hashes[low:high]), axis=0, dtype=np.int32, out=sums[1:])
+    bits = 2 * (sums[starts - low + size] - sums[starts - low]) > size
+    return np.packbits(bits, axis=1).view(np.uint16)
+
+
+def simhash(hashes: np.ndarray) -> np.ndarray:
+    return simhashes(hashes, np.zeros(1, np.int64), len(hashes))[0]
+
+
+@functools.cache
+def _flips(most: int) -> np.ndarray:
+    """All 16-bit numbers with at most ``most`` bits set."""
+    return np.array([sum(1 << b for b in bits) for n in range(most + 1) for bits in itertools.combinations(range(16), n)], np.uint16)
+
+
+def shares(most: int, parts: int) -> list[int]:
+    """Budgets of parts: a total of at most ``most`` keeps to the budget in some part."""
+    return [(most + 1) // parts + (i < (most + 1) % parts) - 1 for i in range(parts)]
+
+
+def distances(prints: np.ndarray, a: np.ndarray, others: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(prints[a] ^ others[b]).sum(axis=1, dtype=np.int64)
+
+
+class HammingIndex:
+    """Multi-index over fingerprints: for each half the different values, sorted, and who has them."""
+
+    def __init__(self, prints: np.ndarray):
+        self.prints = prints
+        self.tables = []
+        for h in range(HALVES):
+            order = np.argsort(prints[:, h], kind="stable")
+            values, first = np.unique(prints[order, h], return_index=True)
+            self.tables.append((values, np.append(first, len(prints)), order))
+
+    def candidates(self, prints: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+        """(fingerprint, item) pairs of which some block keeps to its share of the radius."""
+        out = [np.empty((2, 0), np.int64)]
+        for h, (values, first, order) in enumerate(self.tables):
+            in_block = shares(radius, BLOCKS)[h // 2]
+            in_half = shares(in_block, 2)[h % 2]
+            if in_half < 0:
+                continue
+            codes, flips = prints[:, h], _flips(min(16, in_half))
+            if len(values) <= len(flips):
+                x, v = np.nonzero(np.bitwise_count(codes[:, None] ^ values[None]) <= in_half)
+            else:
+                near = codes[:, None] ^ flips[None]
+                at = np.minimum(np.searchsorted(values, near), len(values) - 1)
+                x, f = np.nonzero(values[at] == near)
+                v = at[x, f]
+            counts = first[v + 1] - first[v]
+            x = np.repeat(x, counts)
+            k = order[np.repeat(first[v] - np.cumsum(counts) + counts, counts) + np.arange(len(x))]
+            block = slice(h // 2 * 2, h // 2 * 2 + 2)
+            ok = np.bitwise_count(prints[x, block] ^ self.prints[k, block]).sum(axis=1) <= in_block
+            out.append(np.stack([x[ok], k[ok]]))
+        pairs = np.unique(np.concatenate(out, axis=1), axis=1)
+        return pairs[0], pairs[1]
+
+    def near(self, prints: np.ndarray, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(fingerprint, item, distance) of every pair within the radius."""
+        x, k = self.candidates(prints, radius)
+        apart = distances(prints, x, self.prints, k)
+        return x[apart <= radius], k[apart <= radius], apart[apart <= radius]
 
 
 class Index:
-    """Items of the benchmark: shingles, weights, fingerprints and their multi-index."""
+    """Items of the benchmark by size: shingles, fingerprints and their multi-index, in flat arrays."""
 
     def __init__(self, items: list[tuple[int, str]], width: int = WIDTH):
-        words = WordHashes()
-        self.items = []
+        words, by_size = WordHashes(), {}
         for item_id, text in items:
             w = words.of(words_of(text))
             if len(w):
-                self.items.append((item_id, len(w), shingle_hashes(w, width)))
-        self.holders = defaultdict(list)
-        self.blocks = defaultdict(list)
-        self.prints = [simhash(sh) for _, _, sh in self.items]
-        self.counts = [Counter(sh.tolist()) for _, _, sh in self.items]
-        for k, (_, _, sh) in enumerate(self.items):
-            for s in self.counts[k]:
-                self.holders[s].append(k)
-            for b in range(8):
-                self.blocks[b, self.prints[k] >> 8 * b & 255].append(k)
-        self.known = np.sort(np.fromiter(self.holders, np.uint64, len(self.holders)))
-        self.short = sorted({n for _, n, _ in self.items if n < width})
-
-    def near(self, fingerprint: int, radius: int):
-        seen = set()
-        for b in range(8):
-            for flip in _FLIPS[radius // 8]:
-                for k in self.blocks.get((b, (fingerprint >> 8 * b & 255) ^ flip), ()):
-                    if k not in seen:
-                        seen.add(k)
-                        if (distance := (fingerprint ^ self.prints[k]).bit_count()) <= radius:
-                            yield k, distance
-
-
-def shared_counts(sh: np.ndarray, at: list[int], counts: Counter, size: int) -> np.ndarray:
-    """How many of an item's shingles (each as often as it occurs) the ``size`` shingles from each start hold.
-
-    at: places in ``sh`` of the item's shingles. An occurrence counts in the windows that hold it and less
-    than ``counts`` of the same shingle before it, which are consecutive starts."""
-    last = max(0, len(sh) - size)
-    steps, before = np.zeros(last + 2, np.int64), defaultdict(list)
-    for p in at:
-        s = int(sh[p])
-        earlier, most = before[s], counts[s]
-        lo, hi = max(0, p - size + 1, earlier[-most] + 1 if len(earlier) >= most else 0), min(p, last)
-        if lo <= hi:
-            steps[lo] += 1
-            steps[hi + 1] -= 1
-        earlier.append(p)
-    return np.cumsum(steps[:-1])
+                by_size.setdefault(len(w), []).append((item_id, shingle_hashes(w, width)))
+        self.sizes = sorted(by_size)
+        self.groups = [([i for i, _ in by_size[n]], [np.sort(sh) for _, sh in by_size[n]], HammingIndex(np.stack([simhash(sh) for _, sh in by_size[n]]))) for n in self.sizes]
+        owned = [np.unique(np.concatenate(shingles)) for _, shingles, _ in self.groups]
+        every = np.concatenate(owned) if owned else np.empty(0, np.uint64)
+        group = np.repeat(np.arange(len(owned)), [len(x) for x in owned])
+        order = np.argsort(every, kind="stable")
+        self.known, first = np.unique(every[order], return_index=True)
+        self.first, self.group = np.append(first, len(every)), group[order].astype(np.int32)  # groups that use a known shingle
+        self.short = [n for n in self.sizes if n < width]
+
+    def hits(self, sh: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place, group) of every shingle that items of the group use, by group and place."""
+        at = np.minimum(np.searchsorted(self.known, sh), len(self.known) - 1)
+        places = np.flatnonzero(self.known[at] == sh)
+        at = at[places]
+        counts = self.first[at + 1] - self.first[at]
+        places = np.repeat(places, counts)
+        groups = self.group[np.repeat(self.first[at] - np.cumsum(counts) + counts, counts) + np.arange(len(places))]
+        order = np.argsort(groups, kind="stable")
+        return places[order], groups[order]
+
+
+def dense_starts(at: np.ndarray, need: int, size: int, last: int) -> np.ndarray:
+    """Starts up to ``last`` of windows of ``size`` that hold at least ``need`` of the sorted places ``at``."""
+    if last == 0:
+        return np.zeros(int(len(at) >= need), np.int64)
+    low, high = at[need - 1 :] - size + 1, at[: len(at) - need + 1]
+    low, high = np.maximum(low, 0), np.minimum(high, last)
+    ok = low <= high
+    low, high = low[ok], high[ok]
+    low = np.maximum(low, np.append(0, high[:-1] + 1))  # both rise, so cut each run where the one before ends
+    counts = np.maximum(high - low + 1, 0)
+    return np.repeat(low - np.cumsum(counts) + counts, counts) + np.arange(counts.sum())
+
+
+def shared_counts(window: np.ndarray, item: np.ndarray) -> int:
+    """How many of an item's sorted shingles, each as often as it occurs, the window's sorted shingles hold."""
+    values, mine = np.unique(item, return_counts=True)
+    theirs = np.searchsorted(window, values, "right") - np.searchsorted(window, values, "left")
+    return int(np.minimum(mine, theirs).sum())
 
 
 def matches(index: Index, words: np.ndarray, width: int, threshold: float, radius: int):
-    """(item, similarity, first word, words, distance) of each window of the text that meets the threshold."""
+    """(item, similarity, first word, words, distance) of the best window of each item that meets the threshold."""
     found = {}
     for w in [*index.short, width]:
         if len(words) < w or not len(index.known):
             continue
         # a short item's shingle is its whole sequence, hashed with its length
         sh = shingle_hashes(words, w) if w == width else _short(words, w)
-        at = np.minimum(np.searchsorted(index.known, sh), len(index.known) - 1)
-        hits = np.flatnonzero(index.known[at] == sh)
-        places = defaultdict(list)
-        for p in hits.tolist():
-            for k in index.holders[int(sh[p])]:
-                size = index.items[k][1]
-                if (size < width) == (w < width) and (w == width or size == w):
-                    places[k].append(p)
-        for k, own in places.items():
-            item_id, size, shingles = index.items[k]
-            least = (threshold - 1e-12) * len(shingles)
-            if len(own) < least:
+        places, groups = index.hits(sh)
+        cuts = np.flatnonzero(np.append(True, groups[1:] != groups[:-1])) if len(groups) else []
+        for a, b in zip(cuts, np.append(cuts[1:], len(groups)).astype(int)):
+            g, at = int(groups[a]), places[a:b]
+            n = index.sizes[g]
+            if (n < width) != (w < width) or (w < width and n != w):
+                continue
+            size = max(1, n - width + 1)
+            need = max(1, int(np.ceil((threshold - 1e-12) * size)))
+            if len(at) < need:
                 continue
-            counts = shared_counts(sh, own, index.counts[k], len(shingles))
-            starts = np.flatnonzero(counts >= least)
-            for start in starts[np.argsort(-counts[starts], kind="stable")].tolist():
-                similarity = float(counts[start] / len(shingles))
-                if (similarity, -start) <= found.get(item_id, (0.0, 0))[:2]:
-                    break
-                distance = dict(index.near(simhash(sh[start : start + len(shingles)]), radius)).get(k)
-                if distance is not None:
-                    found[item_id] = (similarity, -start, min(size, len(words)), distance)
-                    break
+            here = min(size, len(sh))
+            starts = dense_starts(at, need, here, len(sh) - here)
+            ids, shingles, hamming = index.groups[g]
+            for k in range(0, len(starts), 4096):
+                part = starts[k : k + 4096]
+                x, item, apart = hamming.near(simhashes(sh, part, here), radius)
+                windows = {s: np.sort(sh[s : s + here]) for s in set(part[x].tolist())}
+                for s, i, distance in zip(part[x].tolist(), item.tolist(), apart.tolist()):
+                    similarity = shared_counts(windows[s], shingles[i]) / size
+                    if similarity >= threshold - 1e-12:
+                        best = (similarity, -s, min(n, len(words)), distance)
+                        found[ids[i]] = max(best, found.get(ids[i], best))
     return [(item_id, s, -start, size, distance) for item_id, (s, start, size, distance) in found.items()]
 
 
@@ -169,6 +245,6 @@ def leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_co
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The rows of docs without any leak, all columns kept."""
-    bad = leaks(docs, benchmark, id_col=id_col).select(F.col("doc_id").alias("_leak")).distinct()
-    return docs.join(bad, F.col(id_col).eqNullSafe(F.col("_leak")), "left_anti")
+    """The rows of docs without any leak, all columns kept; rows with a null id go or stay together."""
+    bad = leaks(docs, benchmark, id_col=id_col).select(F.col("doc_id").alias("leak")).distinct().alias("_leaks")
+    return docs.alias("_docs").join(bad, F.col(f"_docs.{id_col}").eqNullSafe(F.col("_leaks.leak")), "left_anti")

@@ -236,49 +236,85 @@ def test_decontamination_finds_planted_items(spark, docs, nothing):
     assert decontaminate.clean(docs, bench).count() == docs.count()
 
 
-def shares(index, k, words):
-    """Share of item k in its window at each start, by plain counting."""
-    _, size, shingles = index.items[k]
-    rows = [decontaminate.shingle_hashes(words[a : a + size], 5).tolist() for a in range(max(1, len(words) - size + 1))]
-    return [sum((Counter(shingles.tolist()) & Counter(r)).values()) / len(shingles) for r in rows]
+def hashed(text: str) -> np.ndarray:
+    return decontaminate.WordHashes().of(decontaminate.words_of(text))
+
+
+def shares(item: str, text: str) -> list[float]:
+    """Share of an item in its window at each start, by plain counting."""
+    w, t = hashed(item), hashed(text)
+    shingles = Counter(decontaminate.shingle_hashes(w, 5).tolist())
+    rows = [Counter(decontaminate.shingle_hashes(t[a : a + len(w)], 5).tolist()) for a in range(max(1, len(t) - len(w) + 1))] if len(t) >= min(5, len(w)) else []
+    return [sum((shingles & r).values()) / sum(shingles.values()) for r in rows]
+
+
+def found(index, text: str) -> dict:
+    return {m[0]: m[1:4] for m in decontaminate.matches(index, hashed(text), 5, 0.8, decontaminate.RADIUS)}
 
 
 def test_decontamination_looks_at_every_start():
     item = prose(40, 40).split()
     index = decontaminate.Index([(1, " ".join(item))])
-    swapped = f"{prose(41, 50)} {' '.join(item[20:] + item[:20])} {prose(42, 50)}"
-    found = decontaminate.matches(index, decontaminate.WordHashes().of(decontaminate.words_of(swapped)), 5, 0.8, 28)
-    assert [(m[0], m[1], m[2], m[3]) for m in found] == [(1, 32 / 36, 50, 40)]
+    assert found(index, f"{prose(41, 50)} {' '.join(item[20:] + item[:20])} {prose(42, 50)}") == {1: (32 / 36, 50, 40)}
+
+
+def test_decontamination_against_brute_force():
+    """Recall and precision over all windows and items; texts of few words too, so that shingles repeat and count."""
     rng = np.random.default_rng(12)
-    items = [" ".join(f"w{x}" for x in rng.integers(0, 3, int(n))) for n in rng.integers(5, 30, 20)]
-    index = decontaminate.Index(list(enumerate(items)))
-    met = 0
-    for _ in range(40):
-        # few different words, so that shingles repeat and their counts matter
-        text = [f"w{x}" for k in rng.permutation(20)[:3] for x in [*rng.integers(0, 3, 4), *np.roll([int(y[1:]) for y in items[k].split()], int(rng.integers(0, 9)))]]
-        words = decontaminate.WordHashes().of([t.encode() for t in text])
-        best = {k: max(shares(index, k, words)) for k in range(20) if index.items[k][1] <= len(words)}
-        expected = {k: (s, shares(index, k, words).index(s)) for k, s in best.items() if s >= 0.8}
-        assert {m[0]: m[1:3] for m in decontaminate.matches(index, words, 5, 0.8, 64)} == expected
-        met += len(expected)
-    assert met > 20
+    caught = due = 0
+    for few in (3, 400):
+        items = [" ".join(f"w{x}" for x in rng.integers(0, few, int(n))) for n in rng.integers(5, 45, 60)]
+        index = decontaminate.Index(list(enumerate(items)))
+        for _ in range(60):
+            text = []
+            for k in rng.permutation(60)[:3]:
+                copy = items[k].split()
+                for at in rng.integers(0, len(copy), int(rng.integers(0, 3))):
+                    copy[at] = f"w{rng.integers(0, few)}"
+                text += [*(f"w{x}" for x in rng.integers(0, few, 6)), *np.roll(copy, int(rng.integers(0, 2)) * int(rng.integers(0, 9))).tolist()]
+            got = found(index, " ".join(text))
+            best = {k: s for k, item in enumerate(items) for s in [shares(item, " ".join(text))] if s}
+            expected = {k: (max(s), s.index(max(s))) for k, s in best.items() if max(s) >= 0.8}
+            assert set(got) <= set(expected)
+            caught += sum(got.get(k, (0, 0))[:2] == v for k, v in expected.items())
+            due += len(expected)
+    assert due > 150 and caught / due > 0.97
+
+
+def test_decontamination_compares_few_items_of_a_random_window():
+    rng = np.random.default_rng(3)
+    index = decontaminate.HammingIndex(np.stack([decontaminate.simhash(rng.integers(0, 2**63, 40, dtype=np.uint64)) for _ in range(6000)]))
+    asked = np.stack([decontaminate.simhash(rng.integers(0, 2**63, 40, dtype=np.uint64)) for _ in range(50)])
+    assert len(index.candidates(asked, decontaminate.RADIUS)[0]) < 0.05 * 50 * 6000
+
+
+def test_hamming_index_is_complete():
+    rng = np.random.default_rng(4)
+    for n in (30, 6000):  # few values are compared one by one, of many the near ones are enumerated
+        prints = rng.integers(0, 2**16, (n, 8)).astype(np.uint16)
+        asked = prints[rng.integers(0, n, 60)].copy()
+        for row, flips in zip(asked, rng.integers(0, 45, 60)):
+            for bit in rng.permutation(128)[:flips]:
+                row[bit // 16] ^= np.uint16(1 << bit % 16)
+        apart = np.bitwise_count(asked[:, None] ^ prints[None]).sum(axis=2)
+        for radius in (0, 3, 20, 37):
+            x, k, distance = decontaminate.HammingIndex(prints).near(asked, radius)
+            assert set(zip(x.tolist(), k.tolist())) == set(zip(*map(np.ndarray.tolist, np.nonzero(apart <= radius)))) and (distance == apart[x, k]).all()
 
 
 def test_decontamination_of_texts_shorter_than_the_item():
     item = prose(43, 30).split()
-    index, words = decontaminate.Index([(1, " ".join(item))]), decontaminate.WordHashes()
-    found = {n: decontaminate.matches(index, words.of(decontaminate.words_of(" ".join(item[:n]))), 5, 0.8, 28) for n in (30, 27, 25, 24, 4, 0)}
-    assert [m[:4] for m in found[30]] == [(1, 1.0, 0, 30)] and [m[:4] for m in found[27]] == [(1, 23 / 26, 0, 27)]
-    assert [m[:4] for m in found[25]] == [(1, 21 / 26, 0, 25)] and not found[24] and not found[4] and not found[0]
-    middle = decontaminate.matches(index, words.of(decontaminate.words_of(" ".join(item[2:28]))), 5, 0.8, 28)
-    assert [m[:4] for m in middle] == [(1, 22 / 26, 0, 26)]
+    index = decontaminate.Index([(1, " ".join(item))])
+    got = {n: found(index, " ".join(item[:n])) for n in (30, 27, 25, 24, 4, 0)}
+    assert got[30] == {1: (1.0, 0, 30)} and got[27] == {1: (23 / 26, 0, 27)} and got[25] == {1: (21 / 26, 0, 25)}
+    assert not got[24] and not got[4] and not got[0]
+    assert found(index, " ".join(item[2:28])) == {1: (22 / 26, 0, 26)}
 
 
-def test_hamming_index_is_complete():
-    rng = np.random.default_rng(4)
-    index = decontaminate.Index([(i, prose(100 + i, 20)) for i in range(30)])
-    for fingerprint in rng.integers(0, 2**63, 50).tolist() + [p ^ 0xFFF for p in index.prints]:
-        assert {k for k, _ in index.near(fingerprint, 28)} == {k for k, p in enumerate(index.prints) if (p ^ fingerprint).bit_count() <= 28}
+def test_decontamination_keeps_clashing_columns(spark):
+    docs = spark.createDataFrame([(1, prose(20, 30), 7, "a", 1), (2, prose(30, 30), 7, "b", 2), (None, prose(20, 30), 7, "c", 3), (None, None, 7, "d", 4)], "doc_id long, text string, _leak int, leak string, item_id long")
+    bench = spark.createDataFrame([(1, prose(20, 30), "x", 5), (1, prose(20, 30), "x", 5), (None, prose(23, 30), "y", 5)], "item_id long, text string, similarity string, doc_id long")
+    assert [r.doc_id for r in decontaminate.clean(docs, bench).collect()] == [2] and decontaminate.clean(docs, bench).columns == docs.columns
 
 
 def test_packing_is_whole_and_tight(docs, nothing):
