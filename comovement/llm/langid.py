@@ -9,7 +9,7 @@ words then labels spans. Where no run of words favours other languages by more t
 span is optimal, which a maximum-subarray test shows without running the lattice.
 
 Defined results: ``und`` with score 0 and no spans for a null text or one without letters; a text
-without evidence gets the commonest learned language at a low score; without any labelled document
+in scripts that no language uses gets the commonest learned language at a low score; without any labelled document
 all texts are ``und``; repeated rows are treated alike; extra columns are ignored.
 """
 
@@ -205,10 +205,11 @@ def _predict(shared, penalty: float, returned: list[str]):
                 if len(first) and languages:
                     scores = np.stack([np.add.reduceat(logs[h], first) for logs in model["logs"]], axis=1)
                     may = model["uses"][:, script].T
-                    scores = np.where(may | ~may.any(axis=1, keepdims=True), scores, -np.inf)
+                    known = may.any(axis=1)
+                    scores = np.where(may | ~known[:, None], scores, -np.inf)
                     scores -= scores.max(axis=1, keepdims=True)
                     scores = np.maximum(scores, FLOOR).astype(np.float64)
-                    scores[~may.any(axis=1)] = 0.0
+                    scores[~known] = 0.0
                     sizes = np.diff(np.append(first, len(h)))
                 bounds = np.searchsorted(owner, np.arange(len(texts) + 1))
                 for i, doc_id in enumerate(ids):
@@ -217,7 +218,7 @@ def _predict(shared, penalty: float, returned: list[str]):
                         rows.append((doc_id, "und", 0.0, []))
                         continue
                     s, size = scores[lo:hi], sizes[lo:hi]
-                    if not s.any():
+                    if not known[lo:hi].any():
                         rows.append((doc_id, model["commonest"], 0.05, []))
                         continue
                     labels = viterbi(s, penalty)

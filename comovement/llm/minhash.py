@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import WordHashes, among, components, contract, map_texts, mix, pick, shingle_hashes, signed, space_words, written
+from .shared import WordHashes, among, components, contract, map_rows, map_texts, mix, pick, shingle_hashes, signed, space_words, written
 
 COORDINATES, MATCHES, WIDTH, PERCENT = 48, 26, 5, 85
 TILE, TILE_SHINGLES, MISS = 512, 1 << 20, 1e-7
@@ -205,7 +205,7 @@ def links(docs: DataFrame, classes: DataFrame, matches: int, width: int, percent
     def agreeing(p: DataFrame) -> DataFrame:
         x, y = signature.selectExpr("rep a", "n na", "sig sa"), signature.selectExpr("rep b", "n nb", "sig sb")
         sized = p.join(x, "a").join(y, "b").where(F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent)
-        return sized.select("a", "b", "sa", "sb").mapInPandas(_agreeing(matches), "a long, b long")
+        return map_rows(sized.select("a", "b", "sa", "sb"), _agreeing(matches), "a long, b long")
 
     hubs = members.where("rep <> hub").select(F.least("rep", "hub").alias("a"), F.greatest("rep", "hub").alias("b")).distinct()
     found = written(_confirmed(written(agreeing(hubs), "pairs"), docs, width, percent).selectExpr("a u", "b v"), "links")
@@ -222,11 +222,11 @@ def links(docs: DataFrame, classes: DataFrame, matches: int, width: int, percent
     own = F.xxhash64("coord", F.element_at("posted", F.col("coord") + 1), F.col("cls") + F.col("guest").cast("int")) == F.col("key")
     left = left.join(reps.select("rep", "n", "sig", "fp", "posted", "cls"), "rep").where(own).select("key", "i", "j", "rep", "coord", "guest", "comp", "side", "n", "sig", "fp")
     together = lambda df: df.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "rep")
-    involved = written(together(left).mapInPandas(_involved(matches, percent), left.schema), "involved")
+    involved = written(map_rows(together(left), _involved(matches, percent), left.schema), "involved")
     sets = _sets_of(involved.select(F.col("rep").alias("_id")).distinct(), docs, width)
     sets = sets.withColumnRenamed("fp", "_fp")
-    more = together(involved.join(sets, (F.col("rep") == F.col("id")) & (F.col("fp") == F.col("_fp"))).drop("id", "_fp")).mapInPandas(_linked(matches, percent), "u long, v long")
-    return found.unionByName(more)
+    whole = together(involved.join(sets, (F.col("rep") == F.col("id")) & (F.col("fp") == F.col("_fp"))).drop("id", "_fp"))
+    return found.unionByName(written(map_rows(whole, _linked(matches, percent), "u long, v long"), "more"))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, width: int = WIDTH, coordinates: int = COORDINATES, matches: int | None = None) -> DataFrame:

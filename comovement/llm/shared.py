@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
 
@@ -52,13 +55,37 @@ def _remove_all() -> None:
             remove(spark, path)
 
 
+@contextlib.contextmanager
+def small_batches(spark: SparkSession):
+    """Arrow batches of at most ``BATCH_BYTES`` between JVM and Python while what is inside runs."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, str(BATCH_BYTES))
+    try:
+        yield
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a table in the shared folder, read again: cuts the lineage and survives lost executors."""
     path = scratch(df.sparkSession, name)
-    df.write.parquet(path)
+    with small_batches(df.sparkSession):
+        df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def written_alone(spark: SparkSession, make, name: str) -> tuple[DataFrame, str]:
+    """(written(make(), name), its path); the tables that ``make`` wrote on the way are removed."""
+    since = len(_FOLDERS)
+    out = written(make(), name)
+    *on_the_way, own = _FOLDERS[since:]
+    for item in on_the_way:
+        remove(*item)
+    _FOLDERS[since:] = [own]
+    return out, own[1]
+
+
 def pick(df: DataFrame, **columns: str) -> DataFrame:
     """Only the named columns, under the operator's own names, whatever else df holds."""
     return df.select(*[F.col(f"`{old}`").alias(new) for new, old in columns.items()])
@@ -73,7 +100,32 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(33))
 
 
-SLICE_BYTES = 1 << 20
+SLICE_BYTES, BATCH_BYTES = 1 << 20, 8 << 20
+
+
+def _give_back() -> None:
+    """Hands memory that a kernel no longer uses back to the system; its worker may wait long for the next task."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def frugal(run):
+    """A kernel over batches that leaves its worker small."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            _give_back()
+
+    return wrapped
+
+
+def map_rows(df: DataFrame, run, schema) -> DataFrame:
+    return df.mapInPandas(frugal(run), schema)
 
 
 def map_texts(df: DataFrame, run, schema: str) -> DataFrame:
@@ -92,7 +144,7 @@ def map_texts(df: DataFrame, run, schema: str) -> DataFrame:
             if len(out):
                 yield pa.RecordBatch.from_pandas(out, schema=arrow, preserve_index=False)
 
-    return df.mapInArrow(arrow_run, schema)
+    return df.mapInArrow(frugal(arrow_run), schema)
 
 
 class WordHashes(dict):
@@ -193,7 +245,7 @@ def components(edges: DataFrame) -> DataFrame:
     """
 
     def shrunk(e: DataFrame) -> DataFrame:
-        return e.where("u <> v").mapInPandas(_forest, "u long, v long").where("u <> v")
+        return map_rows(e.where("u <> v"), _forest, "u long, v long").where("u <> v")
 
     e = written(shrunk(edges.selectExpr("greatest(u, v) u", "least(u, v) v")).distinct(), "edges")
     while True:

@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import map_texts, mix, pick, written
+from .shared import map_rows, map_texts, mix, pick, written
 
 LENGTH, GRAM = 100, 32
 SEGMENT, BATCH_BYTES = 1 << 20, 16 << 20
@@ -382,10 +382,10 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         own = single = own.withColumn("j", F.lit(0))
     source = single.select("d", "j", "text")
     blobs = map_texts(source, _reduce_texts(parts, length, gram), "part int, settled boolean, blob binary")
-    marks = written(blobs.repartitionById(parts, "part").mapInPandas(_settle(length), "d long, j int, lo long, hi long, before long"), "ranges")
+    marks = written(map_rows(blobs.repartitionById(parts, "part"), _settle(length), "d long, j int, lo long, hi long, before long"), "ranges")
     left = marks.where("before is not null").groupBy("d", "j").agg(F.collect_list(F.struct("lo", "hi", "before")).alias("ranges"))
     runs = map_texts(source.join(left, ["d", "j"]), _runs(parts, length, gram), "part int, shared binary, sizes binary, rests binary, left_sizes binary, lefts binary, places binary")
-    more = runs.repartitionById(parts, "part").mapInPandas(_merge(length, gram), "d long, j int, lo long, hi long")
+    more = map_rows(runs.repartitionById(parts, "part"), _merge(length, gram), "d long, j int, lo long, hi long")
     spans = marks.where("before is null").select("d", "j", "lo", "hi").unionByName(more)
     spans = spans.groupBy("d", "j").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
     more = "".join(f", {c} {own.schema[c].dataType.simpleString()}" for c in carried)

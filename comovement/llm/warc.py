@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import map_texts, pick, scratch, written
+from .shared import map_rows, map_texts, pick, scratch, written
 
 LEAST, GAP, READ = 1000, 64 << 10, 8 << 20
 FILE_BYTES = 256 << 20
@@ -168,7 +168,7 @@ def read(index: DataFrame, folder: str, with_payload: bool = False) -> DataFrame
     """The records that the index rows name; filter the index first to read some of them."""
     schema = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long, url string" + ", payload binary" * with_payload
     ordered = index.select("file", "offset", "length").repartitionByRange("file", "offset").sortWithinPartitions("file", "offset")
-    return ordered.mapInPandas(_reader(folder, with_payload), schema)
+    return map_rows(ordered, _reader(folder, with_payload), schema)
 
 
 def round_trip(pages: DataFrame) -> DataFrame:

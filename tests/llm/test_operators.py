@@ -183,6 +183,82 @@ def test_language_by_held_out_accuracy_and_spans(spark, docs, nothing, sf_dir):
     assert langid.identify(nothing, nothing).count() == 0 and langid.identify(docs, nothing).where("lang_pred <> 'und'").count() == 0
 
 
+def test_language_against_a_plain_version(spark, sf_dir):
+    """Counts, scores and the full lattice in plain Python, on every document."""
+    table = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = [(r.doc_id, r.text, r.lang) for r in table.collect()] + [(10**7 + i, t, None) for i, t in enumerate(["και το είναι", "ab" * 20, "1 2 3", "Straße — naïve façade", ""])]
+    got = {r.doc_id: r for r in langid.identify(spark.createDataFrame(docs, "doc_id long, text string, lang string"), table).collect()}
+
+    def words(text):
+        out, word = [], ""
+        for c in (text or "").lower() + " ":
+            if c.isalpha():
+                word += c
+            elif word:
+                out.append(f" {word} ")
+                word = ""
+        return out
+
+    def slots(word):
+        for a, b, c in zip(word, word[1:], word[2:]):
+            h = (ord(a) * 0x85EBCA6B + ord(b) * 0xC2B2AE35 + ord(c) * 0x27D4EB2F) % 2**32
+            yield ((h ^ h >> 15) * 0x2C1B3C6D % 2**32) >> 32 - langid.BITS
+
+    def script(word):
+        return [name for start, name in langid.SCRIPTS.items() if start <= ord(word[1])][-1]
+
+    grams, scripts = defaultdict(Counter), defaultdict(Counter)
+    for doc_id, text, lang in docs:
+        if lang is not None and text is not None and zlib.crc32(str(doc_id).encode()) % 3 != 1:
+            for w in words(text):
+                grams[lang].update(slots(w))
+                scripts[lang][script(w)] += 1
+    langs = sorted(grams)
+    total = {k: sum(grams[k].values()) for k in langs}
+    uses = {k: {s for s, n in scripts[k].items() if n >= max(1, 0.01 * sum(scripts[k].values()))} for k in langs}
+    for doc_id, text, _ in docs:
+        rows, known = [], []
+        for w in words(text):
+            may = [k for k in langs if script(w) in uses[k]]
+            known.append(bool(may))
+            s = {k: sum(np.log((grams[k][x] + 0.1) / (total[k] + 0.1 * 2**langid.BITS)) for x in slots(w)) for k in may}
+            top = max(s.values(), default=0)
+            rows.append([max(-6.0, s[k] - top) if k in s else -6.0 for k in langs] if may else [0.0] * len(langs))
+        r = got[doc_id]
+        assert r.held_out == (zlib.crc32(str(doc_id).encode()) % 3 == 1)
+        if not rows:
+            assert (r.lang_pred, r.score) == ("und", 0.0)
+            continue
+        if not any(known):
+            assert r.score == 0.05
+            continue
+        best, back = rows[0], []
+        for row in rows[1:]:
+            top = max(best)
+            back.append([k if v >= top - 6.0 else best.index(top) for k, v in enumerate(best)])
+            best = [max(v, top - 6.0) + x for v, x in zip(best, row)]
+        labels = [best.index(max(best))]
+        for step in reversed(back):
+            labels.append(step[labels[-1]])
+        labels.reverse()
+        letters = Counter()
+        for k, w in zip(labels, words(text)):
+            letters[k] += len(w) - 2
+        k = max(letters, key=lambda x: (letters[x], -x))
+        mine = [row for row, x in zip(rows, labels) if x == k]
+        rival = max(sum(row[j] for row in mine) for j in range(len(langs)) if j != k)
+        sure = 1 - np.exp(min(0.0, rival - sum(row[k] for row in mine)))
+        assert r.lang_pred == langs[k] and r.score == pytest.approx(letters[k] / sum(letters.values()) * (0.05 + 0.95 * sure), abs=1e-3)
+
+
+def test_language_with_one_language_and_private_code_points(spark):
+    docs = spark.createDataFrame([(i, prose(i, 8), "en") for i in range(9)], "doc_id long, text string, lang string")
+    asked = spark.createDataFrame([(1, prose(50, 8)), (2, "\U000f0000\U000f0001"), (3, "\U00020000\U00020001"), (4, "\U0001e900\U0001e901")], "doc_id long, text string")
+    found = {r.doc_id: (r.lang_pred, r.score) for r in langid.predict(asked, langid.fit(docs)).collect()}
+    assert found[1] == ("en", 1.0) and found[2] == ("und", 0.0) and found[3] == found[4] == ("en", 0.05)
+    assert langid.bits_for(4) == langid.BITS and langid.bits_for(2000) < langid.BITS
+
+
 def test_language_sample_has_every_language(spark):
     greek = "και το είναι που δεν θα για με τον στην από"
     rows = [(i, prose(i, 8), "en") for i in range(3000)] + [(5000 + i, greek, "el") for i in range(5)]
