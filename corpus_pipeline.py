@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from comovement.llm import decontaminate, langid, minhash, packing, suffixes
-from comovement.llm.shared import written
+from comovement.llm.shared import remove, written, written_alone
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 LEAST_SCORE = 0.2
@@ -18,20 +18,33 @@ LEAST_SCORE = 0.2
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps documents with a recognisable language."""
+    """Keeps documents with a recognisable language.
+
+    Null, empty and letterless texts go; a null lang, source or doc_id is kept as it is; repeated rows stand or
+    fall together; without a labelled document (an empty table, say) no language is known and all rows go."""
     found = langid.identify(docs, docs, carried=("lang", "source", "n_chars"))
     return found.where((F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SCORE)).select(*COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each near-duplicate group: the one with the least id."""
-    groups = minhash.near_duplicates(docs, percent=80)
-    gone = groups.where(~F.col("kept")).select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti").select(*COLUMNS)
+    """Keeps one document of each near-duplicate group: the one with the least id.
+
+    Null and empty texts have no duplicates and stay, as do rows with a null doc_id, which are in no group; of rows
+    that repeat a doc_id and text one stays, of different texts under one doc_id all or none; extra columns go."""
+    groups = written(minhash.near_duplicates(docs, percent=80), "groups")
+    gone = groups.where(~F.col("kept")).select("doc_id").distinct()
+    kept = docs.select(*COLUMNS).join(gone, "doc_id", "left_anti")
+    repeated = groups.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
+    if not repeated.limit(1).count():
+        return kept
+    once = kept.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
+    return kept.join(repeated, "doc_id", "left_anti").select(*COLUMNS).unionByName(once.select(*COLUMNS))
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Removes byte strings that also start earlier; documents left without text go."""
+    """Removes byte strings that also start earlier; documents left without text go.
+
+    Null and empty texts stay as empty ones; of rows that repeat doc_id and text each is cut alike; extra columns go."""
     kept = suffixes.remove_repeats(docs, with_text=True, carried=("lang", "source"))
     text = F.when(F.col("n_removed") > 0, F.trim("kept")).otherwise(F.col("kept"))
     kept = kept.withColumn("text", text).where((F.length("text") > 0) | (F.col("n_removed") == 0))
@@ -39,12 +52,14 @@ def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps documents that hold no benchmark item."""
+    """Keeps documents that hold no benchmark item.
+
+    Null and empty texts hold none; rows of one doc_id, or with a null one, go together; extra columns go."""
     return decontaminate.clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).select(*COLUMNS)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Packs what is left into sequences."""
+    """Packs what is left into sequences: null and empty texts as the end id alone, repeated rows one by one."""
     return packing.pack(docs)
 
 
@@ -54,10 +69,13 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages to documents; the rows of the last one."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for k, (_, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            docs = written(docs, "stage")
-    return docs
+    """Applies the stages to documents; the rows of the last one.
+
+    A stage's table is removed once the next one is written, with what the stages wrote on their way."""
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
+    for _, stage in STAGES[:-1]:
+        docs, path = written_alone(spark, lambda: stage(spark, docs, sf_dir), "stage")  # noqa: B023
+        if before:
+            remove(spark, before)
+        before = path
+    return STAGES[-1][1](spark, docs, sf_dir)
