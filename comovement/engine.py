@@ -5,9 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .functions.distance import CELL_SAFE
 from .operators import classify, pointjoin, refine
 from .params import JoinParams
-from .plans import partitioning, planner, quadtree
+from .plans import planner, quadtree
 from .points import with_sequence
 from .sources import store
 from .sources.scratch import written
@@ -17,51 +18,61 @@ class SubtrajectoryJoin:
     """All pairs of maximal matching subtrajectories.
 
     method: auto, naive, slab_nested_loop, sweep, basic, prepart, indexed or gridtile (the last for
-    delta_t = 0 unless complete=True). refine: exact, kernel, windowed_span or windowed_lifespan.
-    options: n_slabs, cap_fraction, dedupe, complete, materialize (write the pairs before refining,
-    as a chain of two jobs does)."""
+    delta_t = 0). refine: exact, rounds (exact, by window functions), windowed_span or windowed_lifespan.
+    options: n_slabs, cap_fraction, dedupe, n_parts, nx, ny, nt (grid tiles), materialize (write the pairs before
+    refining, as a chain of two jobs does), spatial_index and traj_index (False: indexed without one of its indexes,
+    on a prepared store)."""
 
     def __init__(self, params: JoinParams, method: str = "auto", refine: str = "exact", **options):
         self.params, self.method, self.refine, self.options = params, method, refine, options
 
     def prepare(self, pts: DataFrame, path: str) -> store.PreparedStore:
-        return store.prepare(pts, path, self.options.get("n_slabs", 16), self.options.get("cap_fraction", 0.03))
+        return store.prepare(pts, path, self.options.get("n_slabs"), self.options.get("cap_fraction", 0.03))
 
-    def pairs(self, left: DataFrame, right: DataFrame | None = None, prepared: store.PreparedStore | None = None) -> DataFrame:
-        """Directed joining pairs of numbered points."""
+    def pairs(self, left: DataFrame, right: DataFrame | None = None, prepared: store.PreparedStore | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
+        """Directed joining pairs of numbered points, with further columns of the reference (``carry``). With a
+        prepared store, prepart and indexed read the left points from it and join them where they lie."""
         method, tree, slabs = self.method, None, None
         if prepared is not None:
             slabs, tree = prepared.slabs, prepared.tree
         if method == "auto":
             tree = tree or quadtree.build(left, self.options.get("cap_fraction", 0.03))
             method = planner.choose_method(left, self.params, tree)
-        if method == "gridtile" and self.params.delta_t_us > 0 and not self.options.get("complete"):
+        if method == "gridtile" and self.params.delta_t_us > 0:
             raise ValueError("gridtile gives pairs only: it is valid for delta_t = 0")
-        known = {k: v for k, v in self.options.items() if k in ("n_slabs", "cap_fraction", "dedupe")}
-        jp = pointjoin.joining_pairs(left, right, self.params, method, slabs=slabs, tree=tree, **known)
+        if prepared is not None and right is None and not carry and method in ("prepart", "indexed") and self.params.metric in CELL_SAFE:
+            jp = pointjoin.stored(left.sparkSession, prepared, self.params, method == "indexed" and self.options.get("spatial_index", True), self.options.get("traj_index", True))
+        else:
+            known = {k: v for k, v in self.options.items() if k in ("n_slabs", "cap_fraction", "dedupe", "n_parts", "nx", "ny", "nt")}
+            jp = pointjoin.joining_pairs(left, right, self.params, method, slabs=slabs, tree=tree, carry=carry, **known)
         return written(jp, "pairs") if self.options.get("materialize") else jp
 
     def stages(self, pts: DataFrame) -> dict[str, DataFrame]:
         """Numbered points, joining pairs, breaking points, candidate misses and matches of a self-join."""
         numbered = pts if "seq" in pts.columns else with_sequence(pts)
         jp = self.pairs(numbered)
-        return {"points": numbered, "jp": jp, "bp": classify.breaking_points(numbered, jp), "misses": classify.candidate_misses(numbered, jp), "matches": self._refined(jp, numbered, True)}
+        return {"points": numbered, "jp": jp, "bp": classify.breaking_points(numbered, jp), "misses": classify.candidate_misses(numbered, jp), "matches": self._refined(jp, numbered, None)}
 
-    def _refined(self, jp: DataFrame, pts: DataFrame, same: bool) -> DataFrame:
+    def _refined(self, jp: DataFrame, left: DataFrame, right: DataFrame | None) -> DataFrame:
         if self.refine.startswith("windowed_"):
-            return refine.windowed(jp, pts, self.params, self.refine.removeprefix("windowed_"))
-        once = jp.where(F.col("r_traj") < F.col("s_traj")) if same else jp
-        return refine.by_kernel(once, self.params) if self.refine == "kernel" else refine.maximal_matches(once, self.params)
+            if "r_next_t" not in jp.columns:
+                jp = jp.join(left.select(F.col("traj").alias("r_traj"), F.col("seq").alias("r_seq"), F.col("next_t").alias("r_next_t")), ["r_traj", "r_seq"])
+            jp = written(jp, "pairs")  # read three times below
+            bp, misses = classify.breaking_points(left, jp), classify.miss_positions(left if right is None else right, jp)
+            return refine.windowed(jp, bp, misses, self.params, self.refine.removeprefix("windowed_"))
+        once = jp.where(F.col("r_traj") < F.col("s_traj")) if right is None else jp
+        return refine.by_rounds(once, self.params) if self.refine == "rounds" else refine.maximal_matches(once, self.params)
 
     def run(self, left: DataFrame, right: DataFrame | None = None, prepared: store.PreparedStore | None = None) -> DataFrame:
         """Matches; a self-join gives each unordered pair once (r_traj < s_traj), windowed forms both directions."""
         number = lambda p: p if "seq" in p.columns else with_sequence(p)
         left = number(left)
         right = None if right is None else number(right)
-        return self._refined(self.pairs(left, right, prepared), left, right is None)
+        carry = ("next_t",) if self.refine.startswith("windowed_") else ()
+        return self._refined(self.pairs(left, right, prepared, carry), left, right)
 
     def explain_cost(self, pts: DataFrame) -> DataFrame:
         from . import metrics
 
         numbered = pts if "seq" in pts.columns else with_sequence(pts)
-        return metrics.predicted_cost(numbered, self.params, partitioning.equi_depth(numbered, self.options.get("n_slabs", 16)), quadtree.build(numbered, self.options.get("cap_fraction", 0.03)))
+        return metrics.predicted_cost(numbered, self.params, quadtree.build(numbered, self.options.get("cap_fraction", 0.03)))

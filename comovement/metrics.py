@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .operators import classify, pointjoin
@@ -43,10 +43,18 @@ def replication(pts: DataFrame, slabs: Slabs, eps_t_us: int) -> DataFrame:
     return n.select("n", "n_expanded", F.round(F.col("n_expanded") / F.col("n"), 6).alias("factor"))
 
 
+POINT_BYTES, CELL_BYTES, SPATIAL_BYTES, TRAJECTORY_BYTES = 48, 48, 12, 16
+"""Bytes of a point; of a cell of the tree; of an entry of the spatial index (cell, place in time order) and of the
+trajectory index (trajectory, number)."""
+
+
 def index_size(pts: DataFrame, tree: Quadtree, eps_sp: float) -> DataFrame:
-    """Rows of the spatial index (a point for each cell it is near) and of the trajectory index, over the points."""
+    """Entries and bytes of the spatial index (a point for each cell it is near, and the cells) and of the trajectory
+    index (a number for each point), and their share of the points' own bytes."""
     n = pts.agg(F.sum(F.size(tree.touched_cells(F.col("x"), F.col("y"), eps_sp)).cast("long")).alias("spatial_rows"), F.count("*").alias("trajectory_rows"))
-    return n.select("spatial_rows", "trajectory_rows", F.round(F.col("spatial_rows") / F.col("trajectory_rows"), 6).alias("ratio"))
+    spatial = F.col("spatial_rows") * SPATIAL_BYTES + F.lit(len(tree.leaves) * CELL_BYTES)
+    sized = n.select("spatial_rows", "trajectory_rows", spatial.alias("spatial_bytes"), (F.col("trajectory_rows") * TRAJECTORY_BYTES).alias("trajectory_bytes"))
+    return sized.withColumn("ratio", F.round((F.col("spatial_bytes") + F.col("trajectory_bytes")) / (F.col("trajectory_rows") * POINT_BYTES), 6))
 
 
 def selectivities(pts: DataFrame, params: JoinParams) -> DataFrame:
@@ -79,16 +87,41 @@ def compare(a: DataFrame, b: DataFrame) -> DataFrame:
     return compare_bags(a, b)
 
 
-def predicted_cost(pts: DataFrame, params: JoinParams, slabs: Slabs, tree: Quadtree) -> DataFrame:
-    """Operation counts that the complexity analysis predicts, from measured selectivities: sweep a b n^2 + a n^2,
-    indexed n log P a b P^2, refine (pairs of trajectories) x window x lists."""
-    sel = selectivities(pts, params)
-    p = pts.groupBy(tree.home_cell(F.col("x"), F.col("y")).alias("cell")).agg(F.count("*").alias("p")).agg(F.avg("p").alias("p"))
-    both = sel.join(F.broadcast(p))  # one row each
-    n = F.col("n").cast("double")
-    return both.select(
-        "n", F.round(F.col("p"), 6).alias("points_per_cell"), F.lit(len(tree.leaves)).cast("long").alias("leaves"), F.lit(slabs.count).cast("long").alias("slabs"),
-        F.round(n * n * F.col("a") * (1 + F.col("b")), 3).alias("sweep_ops"),
-        F.round(n * F.log2(F.col("p") + 1) * F.col("a") * F.col("p") * (1 + F.col("b") * F.col("p")), 3).alias("indexed_ops"),
-        F.round(F.col("n_jp") * F.log2(F.col("n_jp") + F.lit(1.0)), 3).alias("refine_ops"),
+def scan_back(pts: DataFrame) -> DataFrame:
+    """One row: the mean number of points, in the order of time, from a point back to the one before on its trajectory.
+
+    The steps of a trajectory add up to the difference of its ends' ranks; ranks come from counts by day and within."""
+    day = F.floor(F.col("t") / F.lit(86_400_000_000))
+    days = pts.groupBy(day.alias("day")).agg(F.count("*").alias("n"))
+    before = days.select("day", F.coalesce(F.sum("n").over(Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    ranked = pts.select("traj", day.alias("day"), F.rank().over(Window.partitionBy(day).orderBy("t")).alias("r")).join(before, "day")
+    rank = F.col("before") + F.col("r")
+    ends = ranked.groupBy("traj").agg((F.max(rank) - F.min(rank)).alias("steps"), (F.count("*") - 1).alias("k"))
+    return ends.agg((F.sum("steps") / F.sum("k")).alias("back"), F.count("*").alias("trajectories"))
+
+
+def predicted_cost(pts: DataFrame, params: JoinParams, tree: Quadtree) -> DataFrame:
+    """Decimal logarithms of the operation counts that the complexity analysis predicts for the sweep, the indexed join
+    and the refine step, from measured quantities.
+
+    Sweep: n a ((1 - b) n + 2 b n (L + 2 a n)); indexed, over partitions i of n_i own points and P_i with those within
+    the radius: n_i h log2 P_i a P_i ((1 - b) P_i + 2 b P_i (2 log2 T + a T)); refine, for every trajectory:
+    T SW dt l. a and b are the selectivities in time and space, L the points to scan back to a trajectory's previous
+    one, h the tree's height, T the points of a trajectory, SW and dt those in a window of delta_t and of
+    delta_t - 2 eps_t, l the pairs of a point."""
+    sel = selectivities(pts, params).select("n", "n_jp", (F.col("candidates") / (F.col("n") * F.col("n"))).alias("a"), (F.col("n_jp") / F.col("candidates")).alias("b"))
+    span = lambda us: F.count("*").over(Window.partitionBy("traj").orderBy("t").rangeBetween(0, us))
+    windows = pts.select(span(params.delta_t_us).alias("sw"), span(params.inner_window_us).alias("dt")).agg(F.avg("sw").alias("sw"), F.avg("dt").alias("dt"))
+    home = pts.groupBy(tree.home_cell(F.col("x"), F.col("y")).alias("cell")).agg(F.count("*").cast("double").alias("own"))
+    near = pts.select(F.explode(tree.touched_cells(F.col("x"), F.col("y"), params.eps_sp)).alias("cell")).groupBy("cell").agg(F.count("*").cast("double").alias("p"))
+    one = sel.join(F.broadcast(scan_back(pts))).join(F.broadcast(windows))  # one row each
+    n, a, b, t = F.col("n").cast("double"), F.col("a"), F.col("b"), F.col("n") / F.col("trajectories")
+    p = F.col("p")
+    part = F.col("own") * tree.depth * F.log2(p) * a * p * ((1 - b) * p + 2 * b * p * (2 * F.log2(t) + a * t))
+    indexed = home.join(near, "cell").join(F.broadcast(one)).agg(F.sum(part).alias("indexed"))
+    log = lambda x, name: F.round(F.log10(x), 6).alias(name)
+    return one.join(F.broadcast(indexed)).select(
+        "n", F.lit(len(tree.leaves)).cast("long").alias("leaves"), F.round("back", 6).alias("scan_back"), F.round("sw", 6).alias("in_window"), F.round("dt", 6).alias("in_inner_window"),
+        log(n * a * ((1 - b) * n + 2 * b * n * (F.col("back") + 2 * a * n)), "sweep_log10"), log(F.col("indexed"), "indexed_log10"),
+        log(F.col("trajectories") * t * F.col("sw") * F.col("dt") * (F.col("n_jp") / n), "refine_log10"),
     )

@@ -85,3 +85,16 @@ def candidate_misses(pts: DataFrame, jp: DataFrame) -> DataFrame:
     beside = jp.select("r_traj", "r_seq", "s_traj", F.explode(F.array(F.col("s_seq") - 1, F.col("s_seq") + 1)).alias("s_seq")).distinct()
     inside = beside.join(ends, "s_traj").where("s_seq >= 1 and s_seq <= last").drop("last")
     return inside.join(_positions(jp), ["r_traj", "s_traj", "s_seq"], "left_anti").select("r_traj", "r_seq", "s_traj", "s_seq")
+
+
+def miss_positions(pts: DataFrame, jp: DataFrame) -> DataFrame:
+    """The candidate misses by partner alone: points (r_traj, s_traj, s_seq) beside a run of joined ones.
+
+    One sort of the joined positions; each hole is named once from the left and, if wider, once from the right."""
+    w = Window.partitionBy("r_traj", "s_traj").orderBy("s_seq")
+    ends = pts.groupBy("traj").agg(F.max("seq").alias("last")).select(F.col("traj").alias("s_traj"), "last")
+    here = _positions(jp).withColumn("before", F.lag("s_seq").over(w)).withColumn("after", F.lead("s_seq").over(w))
+    left = F.when(F.col("before").isNull() | (F.col("before") < F.col("s_seq") - 2), F.col("s_seq") - 1)
+    right = F.when(F.col("after").isNull() | (F.col("after") > F.col("s_seq") + 1), F.col("s_seq") + 1)
+    beside = here.select("r_traj", "s_traj", F.explode(F.array_compact(F.array(left, right))).alias("s_seq"))
+    return beside.join(ends, "s_traj").where("s_seq >= 1 and s_seq <= last").select("r_traj", "s_traj", "s_seq")

@@ -2,34 +2,42 @@
 
 Every method returns r_traj, r_seq, r_t, s_traj, s_seq, s_t, each directed pair once: the side that is
 the reference stands in its home slab (and bucket, and cell) alone, the other side is replicated to
-every key that its tolerance meets, and the band is the residual of an equi-join. No method but
-``naive`` plans a nested loop, and none needs a distinct.
+every key that its tolerance meets. basic, prepart and indexed are equi-joins with the band as residual;
+the sweep, the tile grid, and prepart and indexed on a prepared store sort by time and sweep in an
+Arrow kernel, which holds one batch and the rows within eps_t before it. No method but ``naive``
+plans a nested loop, and none needs a distinct.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.distance import CELL_SAFE, WITHIN
 from ..params import JoinParams
 from ..plans import partitioning, quadtree
 from ..plans.partitioning import Slabs
-from ..plans.quadtree import Quadtree
+from ..plans.quadtree import CellTable, Quadtree
+from ..sources import store
+from ..sources.store import PreparedStore
 
 OUT = ("r_traj", "r_seq", "r_t", "s_traj", "s_seq", "s_t")
 
 
-def _ref(pts: DataFrame) -> DataFrame:
-    return pts.select(*[F.col(c).alias(f"r_{c}") for c in ("traj", "seq", "t", "x", "y")])
+def _ref(pts: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
+    return pts.select(*[F.col(c).alias(f"r_{c}") for c in ("traj", "seq", "t", "x", "y", *carry)])
 
 
 def _other(pts: DataFrame) -> DataFrame:
     return pts.select(*[F.col(c).alias(f"s_{c}") for c in ("traj", "seq", "t", "x", "y")])
 
 
+def _out(carry: tuple[str, ...]) -> tuple[str, ...]:
+    return (*OUT, *(f"r_{c}" for c in carry))
+
+
 def close(params: JoinParams, same_set: bool = True) -> Column:
     """The residual: both tolerances, and different trajectories in a self-join."""
     near = (F.abs(F.col("r_t") - F.col("s_t")) <= params.eps_t_us) & WITHIN[params.metric](F.col("r_x"), F.col("r_y"), F.col("s_x"), F.col("s_y"), params.eps_sp)
@@ -52,13 +60,18 @@ def slab_nested_loop(left: DataFrame, right: DataFrame, params: JoinParams, same
     return a.join(b, "slab").where(close(params, same)).select(*OUT)
 
 
-def slabbed(left: DataFrame, right: DataFrame, params: JoinParams, same: bool, slabs: Slabs, tree: Quadtree | None = None) -> DataFrame:
-    """basic, prepart (by the slabs given) and indexed (with a tree): keys (slab, bucket[, cell])."""
-    b = _bucket(F.col("r_t"), params)
-    a = _ref(left).withColumn("slab", slabs.of(F.col("r_t"))).withColumn("bucket", b)
-    own = F.floor(F.col("s_t") / F.lit(max(1, params.eps_t_us))).cast("long")
-    wide = _other(right).withColumn("slab", F.explode(F.sequence(slabs.of(F.col("s_t") - params.eps_t_us), slabs.of(F.col("s_t") + params.eps_t_us))))
-    wide = wide.withColumn("bucket", F.explode(F.sequence(own - 1, own + 1)))
+def slabbed(left: DataFrame, right: DataFrame, params: JoinParams, same: bool, slabs: Slabs, tree: Quadtree | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
+    """basic, prepart (by the slabs given) and indexed (with a tree): keys (slab, bucket[, cell]).
+
+    The other side goes to the three time buckets around its own, and of each to the slabs only that both the
+    bucket and its tolerance meet, which is one but at slab borders."""
+    width = max(1, params.eps_t_us)
+    a = _ref(left, carry).withColumn("slab", slabs.of(F.col("r_t"))).withColumn("bucket", _bucket(F.col("r_t"), params))
+    own = _bucket(F.col("s_t"), params)
+    wide = _other(right).withColumn("bucket", F.explode(F.sequence(own - 1, own + 1)))
+    first = F.greatest(F.col("bucket") * width, F.col("s_t") - params.eps_t_us)
+    last = F.least(F.col("bucket") * width + (width - 1), F.col("s_t") + params.eps_t_us)
+    wide = wide.where(first <= last).withColumn("slab", F.explode(F.sequence(slabs.of(first), slabs.of(last))))
     keys = ["slab", "bucket"]
     if tree is not None:
         if params.metric not in CELL_SAFE:
@@ -67,85 +80,150 @@ def slabbed(left: DataFrame, right: DataFrame, params: JoinParams, same: bool, s
         a = a.withColumn("cell", fit.home_cell(F.col("r_x"), F.col("r_y")))
         wide = wide.withColumn("cell", F.explode(fit.touched_cells(F.col("s_x"), F.col("s_y"), params.eps_sp)))
         keys.append("cell")
-    return a.join(wide, keys).where(close(params, same)).select(*OUT)
-
-
-def gridtile(left: DataFrame, right: DataFrame, params: JoinParams, same: bool, box: tuple, dedupe: str = "home") -> DataFrame:
-    """Uniform space-time tiles of side twice the tolerances; both sides are replicated to every tile they
-    meet, and a pair is emitted in the tile where the reference is at home, or made distinct."""
-    x0, y0, t0 = box
-    side, span = max(2 * params.eps_sp, 1e-9), max(1, 2 * params.eps_t_us)
-
-    def tiled(df: DataFrame, p: str) -> DataFrame:
-        at = lambda c, low, w: F.floor((F.col(f"{p}_{c}") - F.lit(low)) / F.lit(w)).cast("long")
-        reach = lambda c, low, w, e: F.sequence(F.floor((F.col(f"{p}_{c}") - F.lit(e) - F.lit(low)) / F.lit(w)).cast("long"), F.floor((F.col(f"{p}_{c}") + F.lit(e) - F.lit(low)) / F.lit(w)).cast("long"))
-        homes = df.withColumn(f"{p}_hx", at("x", x0, side)).withColumn(f"{p}_hy", at("y", y0, side)).withColumn(f"{p}_ht", at("t", t0, span))
-        out = homes.withColumn("tx", F.explode(reach("x", x0, side, float(params.eps_sp)))).withColumn("ty", F.explode(reach("y", y0, side, float(params.eps_sp))))
-        return out.withColumn("tt", F.explode(reach("t", t0, span, params.eps_t_us)))
-
-    joined = tiled(_ref(left), "r").join(tiled(_other(right), "s"), ["tx", "ty", "tt"]).where(close(params, same))
-    if dedupe == "home":
-        return joined.where("tx = r_hx and ty = r_hy and tt = r_ht").select(*OUT)
-    return joined.select(*OUT).distinct()
-
-
-def sweep_slab(params: JoinParams, block: int = 65_536):
-    """Kernel over one expanded slab (pandas frame with is_home): a sweep over time-sorted points.
-
-    For each point the window of later points within eps_t is found by binary search; pairs are tested
-    in blocks. A directed pair is emitted when its reference is at home here, so a pair across a slab
-    border yields one direction in each slab."""
-    eps_sp, eps_t, metric = params.eps_sp, params.eps_t_us, params.metric
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        p = pdf.sort_values(["t", "pid"], ignore_index=True)
-        t, x, y, traj, seq, home = (p[c].to_numpy() for c in ("t", "x", "y", "traj", "seq", "is_home"))
-        last = np.searchsorted(t, t + eps_t, "right")
-        counts = last - np.arange(len(t)) - 1
-        found = []
-        bounds = np.concatenate([[0], np.cumsum(counts)])
-        start = 0
-        while start < len(t):
-            stop = max(start + 1, int(np.searchsorted(bounds, bounds[start] + block, "right")) - 1)
-            a = np.repeat(np.arange(start, stop), counts[start:stop])
-            b = a + 1 + np.arange(len(a)) - np.repeat(bounds[start:stop] - bounds[start], counts[start:stop])
-            dx, dy = x[a] - x[b], y[a] - y[b]
-            near = {"euclid": lambda: dx * dx + dy * dy <= eps_sp * eps_sp, "manhattan": lambda: np.abs(dx) + np.abs(dy) <= eps_sp, "chebyshev": lambda: np.maximum(np.abs(dx), np.abs(dy)) <= eps_sp}[metric]()  # noqa: B023
-            near &= traj[a] != traj[b]
-            a, b = a[near], b[near]
-            found += [np.stack([a[home[a]], b[home[a]]]), np.stack([b[home[b]], a[home[b]]])]
-            start = stop
-        r, s = np.concatenate(found, axis=1) if found else np.empty((2, 0), np.int64)
-        return pd.DataFrame({"r_traj": traj[r], "r_seq": seq[r], "r_t": t[r], "s_traj": traj[s], "s_seq": seq[s], "s_t": t[s]})
+    return a.join(wide, keys).where(close(params, same)).select(*_out(carry))
+
+
+_NEAR = {
+    "euclid": lambda dx, dy, eps: dx * dx + dy * dy <= eps * eps,
+    "manhattan": lambda dx, dy, eps: np.abs(dx) + np.abs(dy) <= eps,
+    "chebyshev": lambda dx, dy, eps: np.maximum(np.abs(dx), np.abs(dy)) <= eps,
+}
+_POINT = ("traj", "seq", "t", "x", "y")
+JP_SCHEMA = ", ".join(f"{c} long" for c in OUT)
+
+
+def _swept(rows: dict[str, np.ndarray], key: np.ndarray, fresh: np.ndarray, params: JoinParams, same: bool, block: int = 65_536):
+    """Frames of pairs among rows sorted by (key, t): each point meets the earlier ones of its key within eps_t, found
+    by binary search. A directed pair is given where its reference is at home, so each once; one side of it is fresh."""
+    t, x, y, traj, home = (rows[c] for c in ("t", "x", "y", "traj", "home"))
+    times = np.unique(t)
+    step = len(times) + 1  # (key, time) as one number, by the time's rank
+    low = np.searchsorted(key * step + np.searchsorted(times, t), key * step + np.searchsorted(times, t - params.eps_t_us))
+    counts = np.where(fresh, np.arange(len(t)) - low, 0)
+    bounds, start = np.concatenate([[0], np.cumsum(counts)]), 0
+    while start < len(t):
+        stop = max(start + 1, int(np.searchsorted(bounds, bounds[start] + block, "right")) - 1)
+        b = np.repeat(np.arange(start, stop), counts[start:stop])
+        a = np.arange(len(b)) - np.repeat(bounds[start:stop] - bounds[start], counts[start:stop]) + low[b]
+        near = _NEAR[params.metric](x[a] - x[b], y[a] - y[b], params.eps_sp)
+        near &= traj[a] != traj[b] if same else rows["side"][a] != rows["side"][b]
+        a, b = a[near], b[near]
+        r, s = np.append(a, b), np.append(b, a)
+        ok = home[r] if same else home[r] & (rows["side"][r] == 0)
+        r, s = r[ok], s[ok]
+        if len(r):
+            yield pd.DataFrame({"r_traj": traj[r], "r_seq": rows["seq"][r], "r_t": t[r], "s_traj": traj[s], "s_seq": rows["seq"][s], "s_t": t[s]})
+        start = stop
+
+
+def sweep_kernel(params: JoinParams, keys: tuple[str, ...], same: bool = True, cells: CellTable | None = None):
+    """mapInPandas body: rows (keys, t, x, y, traj, seq, home[, side]) sorted by (keys, t) to pairs.
+
+    A frame is a batch and, before it, the rows of its first key within eps_t; nothing else is kept. With ``cells``
+    the rows of a frame are dealt to every cell they are near, and swept cell by cell."""
+
+    def run(batches):
+        held: dict[str, np.ndarray] | None = None
+        for pdf in batches:
+            rows = {c: pdf[c].to_numpy() for c in pdf.columns}
+            old = 0 if held is None else len(held["t"])
+            if old:
+                rows = {c: np.concatenate([held[c], v]) for c, v in rows.items()}
+            n = len(rows["t"])
+            if not n:
+                continue
+            new = np.append(True, np.zeros(n - 1, bool))
+            for k in keys:
+                new[1:] |= rows[k][1:] != rows[k][:-1]
+            key, fresh = np.cumsum(new), np.arange(n) >= old
+            if cells is None:
+                yield from _swept(rows, key, fresh, params, same)
+            else:
+                point, cell = cells.touched(rows["x"], rows["y"], params.eps_sp)
+                order = np.lexsort((point, cell, key[point]))  # points come by time
+                point, cell = point[order], cell[order]
+                dealt = {c: v[point] for c, v in rows.items()}
+                dealt["home"] = dealt["home"] & (cells.home(dealt["x"], dealt["y"]) == cell)
+                yield from _swept(dealt, key[point] * cells.count + cell, fresh[point], params, same)
+            keep = (key == key[-1]) & (rows["t"] >= rows["t"][-1] - params.eps_t_us)
+            held = {c: v[keep] for c, v in rows.items()}
 
     return run
 
 
-def sweep(pts: DataFrame, params: JoinParams, slabs: Slabs) -> DataFrame:
-    """Self-join by the sweep kernel, one slab at a time; a slab must fit in a task's memory."""
-    wide = partitioning.expand(pts.select("traj", "seq", "t", "x", "y", "pid"), slabs, params.eps_t_us)
-    return wide.groupBy("slab").applyInPandas(sweep_slab(params), "r_traj long, r_seq long, r_t long, s_traj long, s_seq long, s_t long")
-
-
-def joining_pairs(left: DataFrame, right: DataFrame | None, params: JoinParams, method: str = "indexed", n_slabs: int = 16, slabs: Slabs | None = None, tree: Quadtree | None = None, cap_fraction: float = 0.03, dedupe: str = "home") -> DataFrame:
-    """Joining pairs of numbered points (with seq) by the method named; right=None is the self-join."""
+def _sides(left: DataFrame, right: DataFrame, same: bool) -> DataFrame:
+    """The points to sweep: those of a self-join once, else both relations with their side."""
+    one = left.select(*_POINT, F.lit(0).alias("side"))
+    return one if same else one.unionByName(right.select(*_POINT, F.lit(1).alias("side")))
+
+
+def gridtile(left: DataFrame, right: DataFrame, params: JoinParams, same: bool, box: tuple, dedupe: str = "home", nx: int | None = None, ny: int | None = None, nt: int | None = None, n_parts: int | None = None) -> DataFrame:
+    """A fine uniform grid over space and time: every point is copied to each tile that its tolerances meet, tiles are
+    mapped to partitions by their hash, sorted by time and swept. A pair is given in the tile where its reference
+    is at home, or made distinct.
+
+    box: least x, y, t and greatest x, y, t; nx, ny, nt tiles along each axis (None: of twice the tolerance)."""
+    x0, y0, t0, x1, y1, t1 = box
+    side = lambda low, high, n, eps: max(2 * eps, 1e-9) if n is None else max((high - low) / n, 1e-9)
+    w = {"x": side(x0, x1, nx, float(params.eps_sp)), "y": side(y0, y1, ny, float(params.eps_sp)), "t": max(1, 2 * params.eps_t_us if nt is None else -(-(t1 - t0 + 1) // nt))}
+    low, eps = {"x": x0, "y": y0, "t": t0}, {"x": float(params.eps_sp), "y": float(params.eps_sp), "t": params.eps_t_us}
+    cell = lambda c, v: F.floor((v - F.lit(low[c])) / F.lit(w[c])).cast("long")
+    wide, home = _sides(left, right, same), F.lit(True)
+    for c in ("x", "y", "t"):
+        wide = wide.withColumn(f"h{c}", cell(c, F.col(c))).withColumn(f"g{c}", F.explode(F.sequence(cell(c, F.col(c) - F.lit(eps[c])), cell(c, F.col(c) + F.lit(eps[c])))))
+        home = home & (F.col(f"g{c}") == F.col(f"h{c}"))
+    tile = ("gx", "gy", "gt")
+    n_parts = n_parts or int(left.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    wide = wide.select(*tile, *_POINT, "side", (home if dedupe == "home" else F.lit(True)).alias("home"), F.pmod(F.xxhash64(*tile), F.lit(n_parts)).cast("int").alias("part"))
+    dealt = wide.repartitionById(n_parts, "part").drop("part").sortWithinPartitions(*tile, "t")
+    found = dealt.mapInPandas(sweep_kernel(params, tile, same), JP_SCHEMA)
+    return found if dedupe == "home" else found.distinct()
+
+
+def sweep(left: DataFrame, right: DataFrame, params: JoinParams, same: bool, slabs: Slabs) -> DataFrame:
+    """The sweep over expanded slabs, each in one stream of points by time; a self-join or two relations."""
+    wide = partitioning.expand(_sides(left, right, same), slabs, params.eps_t_us).withColumnRenamed("is_home", "home").drop("home_slab")
+    return wide.repartition("slab").sortWithinPartitions("slab", "t").mapInPandas(sweep_kernel(params, ("slab",), same), JP_SCHEMA)
+
+
+def stored(spark: SparkSession, prepared: PreparedStore, params: JoinParams, spatial_index: bool, traj_index: bool = True) -> DataFrame:
+    """prepart and indexed on a prepared store: every task reads its slab as it lies and the neighbours' rows within
+    eps_t, and sweeps them, cell by cell with the spatial index: no shuffle.
+
+    Without the trajectory index the stored numbering is not read: points are numbered anew and joined back."""
+    cells = CellTable(prepared.tree.coarsened(params.eps_sp)) if spatial_index else None
+    rows = store.halo(spark, prepared, params)
+    columns = ("slab", "t", "x", "y", "traj", "is_home")
+    number = F.col("seq") if traj_index else F.col("pid").alias("seq")
+    found = rows.select(*columns, number).withColumnRenamed("is_home", "home").mapInPandas(sweep_kernel(params, ("slab",), True, cells), JP_SCHEMA)
+    if traj_index:
+        return found
+    w = Window.partitionBy("traj").orderBy("t", "pid")
+    numbered = prepared.points(spark).select("traj", "t", "pid", F.row_number().over(w).cast("long").alias("seq"))
+    for side in ("r", "s"):
+        own = numbered.select(F.col("traj").alias(f"{side}_traj"), F.col("t").alias(f"{side}_t"), F.col("pid").alias(f"{side}_seq"), F.col("seq").alias("_n"))
+        found = found.join(own, [f"{side}_traj", f"{side}_t", f"{side}_seq"]).withColumn(f"{side}_seq", F.col("_n")).drop("_n")
+    return found.select(*OUT)
+
+
+def joining_pairs(left: DataFrame, right: DataFrame | None, params: JoinParams, method: str = "indexed", n_slabs: int = 16, slabs: Slabs | None = None, tree: Quadtree | None = None, cap_fraction: float = 0.03, carry: tuple[str, ...] = (), **tiles) -> DataFrame:
+    """Joining pairs of numbered points (with seq) by the method named; right=None is the self-join. ``carry`` names
+    more columns of the reference to return (basic, prepart, indexed); ``tiles`` are gridtile's own."""
     same, other = right is None, left if right is None else right
     if method == "naive":
         return naive(left, other, params, same)
     every = left if same else left.select("t", "x", "y").unionByName(other.select("t", "x", "y"))
     if method == "gridtile":
-        x0, y0, t0 = every.agg(F.min("x"), F.min("y"), F.min("t")).first()
-        return gridtile(left, other, params, same, (x0 or 0.0, y0 or 0.0, t0 or 0), dedupe)
+        box = every.agg(*[f(c) for f in (F.min, F.max) for c in ("x", "y", "t")]).first()
+        return gridtile(left, other, params, same, tuple(0 if v is None else v for v in box), **tiles)
     if slabs is None:
         slabs = partitioning.equi_depth(every, n_slabs) if method in ("prepart", "indexed") else partitioning.uniform(every, n_slabs)
     if method == "slab_nested_loop":
         return slab_nested_loop(left, other, params, same, slabs)
     if method == "sweep":
-        if not same:
-            raise ValueError("the sweep kernel joins a set with itself")
-        return sweep(left, params, slabs)
+        return sweep(left, other, params, same, slabs)
     if method == "indexed":
-        return slabbed(left, other, params, same, slabs, tree or quadtree.build(every, cap_fraction))
+        return slabbed(left, other, params, same, slabs, tree or quadtree.build(every, cap_fraction), carry)
     if method in ("basic", "prepart"):
-        return slabbed(left, other, params, same, slabs)
+        return slabbed(left, other, params, same, slabs, None, carry)
     raise ValueError(f"no method {method!r}")

@@ -3,17 +3,28 @@
 Exact: inside a pair of trajectories, joining pairs are the edges of a graph on sequence numbers.
 Every round splits a component where its reference positions or its other positions are not
 consecutive; components that no longer split are the maximal mutually covering pairs, and the
-duration and length tests may follow. All rounds work on one shuffle by trajectory pair.
+duration and length tests may follow. The number of rounds depends on the data, so after one shuffle
+and one sort an Arrow kernel runs them over many trajectory pairs at once; ``by_rounds`` is the same
+as window functions.
+
+Windowed: reads joining pairs, breaking points and candidate misses with their kind, by reference
+trajectory. A miss ends a run of the other trajectory, a breaking point ends every run it stands in.
+
+Kernels stream: a frame is cut where nothing reaches across (a gap of the reference, a pair), so a task
+holds a batch and one run, not a trajectory pair or more.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..params import JoinParams
+from ..sources.scratch import written
 from ..sources.tables import MATCH_COLUMNS
 
 SCHEMA = ", ".join(f"{c} long" for c in MATCH_COLUMNS)
@@ -54,52 +65,97 @@ def _tested(matches: DataFrame, params: JoinParams) -> DataFrame:
     return matches.where((F.col("lifespan_us") >= params.lifespan_floor_us) & (F.col("n_r") >= params.min_points) & (F.col("n_s") >= params.min_points))
 
 
-def components_of(r: np.ndarray, s: np.ndarray) -> np.ndarray:
-    """Stable component number of each edge (r, s) of one trajectory pair, by the same rounds in NumPy."""
-    comp = np.zeros(len(r), np.int64)
+def whole_units(batches, columns: list[str], starts) -> Iterator[np.ndarray]:
+    """Frames (rows, columns) of whole units from sorted batches; ``starts`` marks the first row of each unit."""
+    rest = np.empty((0, len(columns)), np.int64)
+    for pdf in batches:
+        e = np.concatenate([rest, pdf[columns].to_numpy(np.int64)])
+        if len(e):
+            last = int(np.flatnonzero(starts(e))[-1])
+            if last:
+                yield e[:last]
+            rest = e[last:]
+    if len(rest):
+        yield rest
+
+
+def _changes(*columns: np.ndarray) -> np.ndarray:
+    """Whether a row differs from the one before; the first does."""
+    new = np.zeros(len(columns[0]), bool)
+    new[:1] = True
+    for c in columns:
+        new[1:] |= c[1:] != c[:-1]
+    return new
+
 
-    def runs(v: np.ndarray, comp: np.ndarray) -> np.ndarray:
+def components_of(r: np.ndarray, s: np.ndarray, comp: np.ndarray | None = None) -> np.ndarray:
+    """Stable component number of each edge (r, s), starting from ``comp``: rounds until nothing splits."""
+    comp = np.zeros(len(r), np.int64) if comp is None else comp
+
+    def runs(v: np.ndarray) -> np.ndarray:
         order = np.lexsort((v, comp))
         c, x = comp[order], v[order]
-        new = np.append(True, (c[1:] != c[:-1]) | (x[1:] > x[:-1] + 1))
         out = np.empty(len(v), np.int64)
-        out[order] = np.cumsum(new)
+        out[order] = np.cumsum(_changes(c) | np.append(False, x[1:] > x[:-1] + 1))
         return out
 
-    while True:
-        a, b = runs(r, comp), runs(s, comp)
-        _, new = np.unique(np.stack([a, b], axis=1), axis=0, return_inverse=True)
-        new = new.reshape(-1)
-        if new.max(initial=0) == comp.max(initial=0):
-            return comp
-        comp = new
+    while len(r):
+        before = len(np.unique(comp))
+        values, comp = np.unique(runs(r) * (len(r) + 1) + runs(s), return_inverse=True)
+        if len(values) == before:
+            break
+    return comp
+
+
+_EDGE = ["r_traj", "s_traj", "r_seq", "s_seq", "r_t", "s_t"]
+
+
+def _pieces(e: np.ndarray, piece: np.ndarray, floor: int, least: int) -> pd.DataFrame:
+    """MATCH rows of edges (columns as in _EDGE) by piece, which pass the duration and length tests."""
+    order = np.argsort(piece, kind="stable")
+    e, starts = e[order], np.flatnonzero(_changes(piece[order]))
+    low, high = np.minimum.reduceat(e, starts, axis=0), np.maximum.reduceat(e, starts, axis=0)
+    m = pd.DataFrame({"r_traj": low[:, 0], "s_traj": low[:, 1]})
+    for k, side in ((2, "r"), (3, "s")):
+        m[f"{side}_from"], m[f"{side}_to"], m[f"{side}_t_from"], m[f"{side}_t_to"] = low[:, k], high[:, k], low[:, k + 2], high[:, k + 2]
+        m[f"n_{side}"] = m[f"{side}_to"] - m[f"{side}_from"] + 1
+    m["lifespan_us"] = np.minimum(m["r_t_to"], m["s_t_to"]) - np.maximum(m["r_t_from"], m["s_t_from"])
+    return m.loc[(m["lifespan_us"] >= floor) & (m["n_r"] >= least) & (m["n_s"] >= least), list(MATCH_COLUMNS)]
 
 
 def kernel(params: JoinParams):
-    """Matches of the edges of one trajectory pair (pandas): cross-check of, and remainder for, the rounds."""
+    """Edges sorted by trajectory pair and reference to matches; a unit is a run of the reference."""
     floor, least = params.lifespan_floor_us, params.min_points
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        comp = components_of(pdf["r_seq"].to_numpy(), pdf["s_seq"].to_numpy())
-        g = pdf.assign(c=comp).groupby("c")
-        m = pd.DataFrame({f"{side}_{name}": g[f"{side}_{col}"].agg(how) for side in ("r", "s") for name, col, how in (("from", "seq", "min"), ("to", "seq", "max"), ("t_from", "t", "min"), ("t_to", "t", "max"))})
-        m["r_traj"], m["s_traj"] = pdf["r_traj"].iloc[0], pdf["s_traj"].iloc[0]
-        m["lifespan_us"] = np.minimum(m["r_t_to"], m["s_t_to"]) - np.maximum(m["r_t_from"], m["s_t_from"])
-        m["n_r"], m["n_s"] = m["r_to"] - m["r_from"] + 1, m["s_to"] - m["s_from"] + 1
-        return m.loc[(m["lifespan_us"] >= floor) & (m["n_r"] >= least) & (m["n_s"] >= least), list(MATCH_COLUMNS)]
+    def starts(e: np.ndarray) -> np.ndarray:
+        return _changes(e[:, 0], e[:, 1]) | np.append(False, e[1:, 2] > e[:-1, 2] + 1)
+
+    def run(batches):
+        for e in whole_units(batches, _EDGE, starts):
+            new = starts(e)
+            first = np.flatnonzero(new)
+            last = np.append(first[1:], len(e)) - 1
+            # a part is no longer than its run
+            open_ = (e[last, 4] - e[first, 4] >= floor) & (e[last, 2] - e[first, 2] + 1 >= least)
+            unit = np.cumsum(new) - 1
+            keep = open_[unit]
+            e, unit = e[keep], unit[keep]
+            if len(e):
+                yield _pieces(e, components_of(e[:, 2], e[:, 3], unit), floor, least)
 
     return run
 
 
-def by_kernel(jp: DataFrame, params: JoinParams) -> DataFrame:
-    """The exact refine by the kernel alone, one trajectory pair at a time."""
-    return jp.groupBy("r_traj", "s_traj").applyInPandas(kernel(params), SCHEMA)
+def maximal_matches(jp: DataFrame, params: JoinParams) -> DataFrame:
+    """Exact maximal matches: one shuffle by trajectory pair, one sort, one kernel."""
+    sorted_ = jp.select(*_EDGE).repartition("r_traj", "s_traj").sortWithinPartitions("r_traj", "s_traj", "r_seq", "s_seq")
+    return sorted_.mapInPandas(kernel(params), SCHEMA)
 
 
-def maximal_matches(jp: DataFrame, params: JoinParams, rounds: int = 3, prune: bool = True) -> DataFrame:
-    """Exact maximal matches: ``rounds`` rounds as window functions; components that would still split go
-    to the kernel on their own (components are independent), so no depth needs a driver round trip."""
-    edges = jp.select(*["r_traj", "s_traj", "r_seq", "s_seq", "r_t", "s_t"], F.lit(0).cast("long").alias("c_r"), F.lit(0).cast("long").alias("c_s"))
+def by_rounds(jp: DataFrame, params: JoinParams, rounds: int = 3, prune: bool = True) -> DataFrame:
+    """The exact refine with ``rounds`` rounds as window functions; components that would still split go to
+    the kernel on their own (components are independent). The rounds are written once and read twice."""
+    edges = jp.select(*_EDGE, F.lit(0).cast("long").alias("c_r"), F.lit(0).cast("long").alias("c_s"))
     for k in range(rounds):
         edges = _round(edges)
         if prune and k == 0:
@@ -107,10 +163,9 @@ def maximal_matches(jp: DataFrame, params: JoinParams, rounds: int = 3, prune: b
     w = Window.partitionBy("r_traj", "s_traj", "c_r", "c_s")
     again = edges.withColumn("g_r", F.col("r_seq") - F.dense_rank().over(w.orderBy("r_seq"))).withColumn("g_s", F.col("s_seq") - F.dense_rank().over(w.orderBy("s_seq")))
     whole = (F.min("g_r").over(w) == F.max("g_r").over(w)) & (F.min("g_s").over(w) == F.max("g_s").over(w))
-    marked = again.withColumn("whole", whole).drop("g_r", "g_s")
+    marked = written(again.withColumn("whole", whole).drop("g_r", "g_s"), "rounds")
     done = _summed(marked.where("whole"), params)
-    rest = marked.where("not whole").groupBy("r_traj", "s_traj", "c_r", "c_s").applyInPandas(kernel(params), SCHEMA)
-    return done.select(*MATCH_COLUMNS).unionByName(rest)
+    return done.select(*MATCH_COLUMNS).unionByName(maximal_matches(marked.where("not whole"), params))
 
 
 def mirrored(matches: DataFrame) -> DataFrame:
@@ -120,16 +175,6 @@ def mirrored(matches: DataFrame) -> DataFrame:
     return matches.select(*MATCH_COLUMNS).unionByName(other)
 
 
-def tagged_pairs(jp: DataFrame, bp: DataFrame, misses: DataFrame) -> DataFrame:
-    """What the refine step of the two-job form reads: pairs, breaks and candidate misses with their kind."""
-    none = F.lit(None).cast("long")
-    return (
-        jp.select("r_traj", "r_seq", "r_t", "s_traj", "s_seq", F.lit("JP").alias("kind"))
-        .unionByName(bp.select(F.col("traj").alias("r_traj"), F.col("seq").alias("r_seq"), F.col("t").alias("r_t"), none.alias("s_traj"), none.alias("s_seq"), F.lit("BP").alias("kind")))
-        .unionByName(misses.select("r_traj", "r_seq", none.alias("r_t"), "s_traj", "s_seq", F.lit("MISS").alias("kind")))
-    )
-
-
 def grouped(jp: DataFrame) -> DataFrame:
     """Joining pairs with the number of x's run (a miss of x is a hole between runs) and of p's run in it."""
     x = Window.partitionBy("r_traj", "s_traj").orderBy("s_seq")
@@ -138,29 +183,95 @@ def grouped(jp: DataFrame) -> DataFrame:
     return runs.withColumn("p_run", F.col("r_seq") - F.dense_rank().over(p))
 
 
-def windowed(jp: DataFrame, pts: DataFrame, params: JoinParams, gate: str = "span") -> DataFrame:
-    """Windowed refine of directed pairs: a reference window slides over each run, a start is valid if all
-    reference points within the inner window belong to the run, valid windows are stitched.
+BREAK, MISS, PAIR = 0, 1, 2
+NONE = 2**63 - 1
+"""Stands for "no point" in the rows of the windowed refine: later than any time, above any number."""
+_TAGGED = ["kind", "r_traj", "s_traj", "r_seq", "s_seq", "r_t", "s_t", "r_next_t"]
+
+
+def tagged_pairs(jp: DataFrame, bp: DataFrame, misses: DataFrame) -> DataFrame:
+    """What the refine step reads, by reference trajectory: breaking points (no partner), then for each partner
+    its pairs and the misses beside them. jp carries r_next_t, the time of the reference's next point."""
+    none = F.lit(NONE)
+    breaks = bp.select(F.lit(BREAK).alias("kind"), F.col("traj").alias("r_traj"), F.lit(-NONE).alias("s_traj"), F.col("seq").alias("r_seq"), none.alias("s_seq"), F.col("t").alias("r_t"), none.alias("s_t"), none.alias("r_next_t"))
+    beside = misses.select(F.lit(MISS).alias("kind"), "r_traj", "s_traj", none.alias("r_seq"), "s_seq", none.alias("r_t"), none.alias("s_t"), none.alias("r_next_t"))
+    pairs = jp.select(F.lit(PAIR).alias("kind"), "r_traj", "s_traj", "r_seq", "s_seq", "r_t", "s_t", F.coalesce("r_next_t", none).alias("r_next_t"))
+    return breaks.unionByName(beside).unionByName(pairs)
+
+
+def x_runs(e: np.ndarray) -> np.ndarray:
+    """Number of the partner's run of each tagged row: a miss ends one (rows sorted by pair, then partner's number)."""
+    return np.cumsum(_changes(e[:, 1], e[:, 2])) + np.cumsum(e[:, 0] == MISS)
+
+
+def p_runs(run: np.ndarray, seq: np.ndarray, breaks_before: np.ndarray) -> np.ndarray:
+    """Number of the reference's run within each partner's run: a breaking point or any other gap ends one."""
+    return np.cumsum(_changes(run, breaks_before) | np.append(False, seq[1:] > seq[:-1] + 1)) - 1
+
+
+def inner_windows(run: np.ndarray, t: np.ndarray, after: np.ndarray, reach: int) -> np.ndarray:
+    """For each position the last one of its run within ``reach``; -1 where a later point of the reference,
+    outside the run (its time is ``after``), lies within reach too."""
+    times = np.unique(t)
+    step = len(times) + 1  # (run, time) as one number, by the time's rank
+    stop = np.searchsorted(run * step + np.searchsorted(times, t), run * step + np.searchsorted(times, t + reach, "right") - 1, "right") - 1
+    return np.where((after == NONE) | (after > t + reach), stop, -1)
+
+
+def stitched(stop: np.ndarray, run: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(whether a position lies in some valid window, number of its stretch of overlapping windows)."""
+    covered = np.maximum.accumulate(stop) >= np.arange(len(stop))
+    return covered, np.cumsum(covered & (_changes(run) | np.append(True, ~covered[:-1])))
+
+
+def windowed_kernel(params: JoinParams, gate: str):
+    """Tagged rows sorted by reference, partner (breaks first) and partner's number to windowed matches."""
+    reach, floor, delta = params.inner_window_us, params.lifespan_floor_us, params.delta_t_us
+
+    def run(batches):
+        held = np.empty((0, 2), np.int64)  # breaks (trajectory, number) of the last trajectory seen
+        for e in whole_units(batches, _TAGGED, lambda e: _changes(e[:, 1], e[:, 2])):
+            breaks = np.concatenate([held, e[e[:, 0] == BREAK][:, [1, 3]]])
+            held = breaks[breaks[:, 0] == e[-1, 1]]
+            x = x_runs(e)
+            pair = e[:, 0] == PAIR
+            if not pair.any():
+                continue
+            order = np.lexsort((e[pair, 4], e[pair, 3], x[pair]))
+            x, e = x[pair][order], e[pair][order]
+            names = np.unique(e[:, 1])
+            breaks = breaks[np.isin(breaks[:, 0], names)]
+            number = lambda traj, seq: np.searchsorted(names, traj) * (1 << 40) + seq  # noqa: B023, E731
+            before = np.searchsorted(np.sort(number(breaks[:, 0], breaks[:, 1])), number(e[:, 1], e[:, 3]))
+            p = p_runs(x, e[:, 3], before)
+            first = np.flatnonzero(_changes(p))
+            last = np.append(first[1:], len(e)) - 1
+            low, high = np.minimum.reduceat(e, first, axis=0), np.maximum.reduceat(e, first, axis=0)
+            if gate == "span":
+                open_ = high[:, 5] - low[:, 5] >= delta
+            else:
+                open_ = np.minimum(high[:, 5], high[:, 6]) - np.maximum(low[:, 5], low[:, 6]) >= floor
+            after = e[last, 7]
+            keep = open_[p]
+            e, p, after = e[keep], p[keep], after[p[keep]]
+            if not len(e):
+                continue
+            new = _changes(p, e[:, 3])  # rows of one position stand together
+            at = np.flatnonzero(new)
+            covered, stretch = stitched(inner_windows(p[at], e[at, 5], after[at], reach), p[at])
+            position = np.cumsum(new) - 1
+            inside = covered[position]
+            if inside.any():
+                yield _pieces(e[inside][:, 1:7], stretch[position[inside]], -(2**62), params.min_points)
+
+    return run
+
+
+def windowed(jp: DataFrame, bp: DataFrame, misses: DataFrame, params: JoinParams, gate: str = "span") -> DataFrame:
+    """Windowed refine of directed pairs, breaking points and misses (r_traj, s_traj, s_seq): a reference window
+    slides over each run, a start is valid if all reference points within the inner window belong to the run,
+    valid windows are stitched. One shuffle by reference trajectory, one sort, one kernel.
 
     gate: 'span' asks the run's reference span >= delta_t, 'lifespan' its common lifespan >= delta_t - 2 eps_t."""
-    group = ["r_traj", "s_traj", "x_run", "p_run"]
-    following = pts.select(F.col("traj").alias("r_traj"), F.col("seq").alias("r_seq"), "next_t")
-    edges = grouped(jp).join(following, ["r_traj", "r_seq"])
-    w = Window.partitionBy(*group)
-    span = F.max("r_t").over(w) - F.min("r_t").over(w)
-    life = F.least(F.max("r_t").over(w), F.max("s_t").over(w)) - F.greatest(F.min("r_t").over(w), F.min("s_t").over(w))
-    open_ = span >= params.delta_t_us if gate == "span" else life >= params.lifespan_floor_us
-    edges = edges.withColumn("_open", open_).where("_open").drop("_open")
-    last = F.max(F.struct("r_seq", "next_t")).over(w)["next_t"]
-    reach = params.inner_window_us
-    edges = edges.withColumn("after", last).withColumn("stop", F.max("r_seq").over(w.orderBy("r_t").rangeBetween(0, reach)))
-    valid = F.col("after").isNull() | (F.col("after") > F.col("r_t") + reach)
-    so_far = w.orderBy("r_seq").rangeBetween(Window.unboundedPreceding, 0)
-    edges = edges.withColumn("far", F.max(F.when(valid, F.col("stop"))).over(so_far)).where("far >= r_seq")
-    segment = F.col("r_seq") - F.dense_rank().over(w.orderBy("r_seq"))
-    return _summed(edges.withColumn("c_r", segment).withColumn("c_s", F.struct("x_run", "p_run")), params_only_points(params)).select(*MATCH_COLUMNS)
-
-
-def params_only_points(params: JoinParams) -> JoinParams:
-    """The same parameters without a duration test (the windowed form has its own gate)."""
-    return JoinParams(params.eps_sp, 2**60, 0, params.metric, params.min_points)
+    rows = tagged_pairs(jp, bp, misses).select(*_TAGGED).repartition("r_traj").sortWithinPartitions("r_traj", "s_traj", "s_seq")
+    return rows.mapInPandas(windowed_kernel(params, gate), SCHEMA)

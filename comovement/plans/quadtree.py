@@ -6,6 +6,7 @@ import math
 from collections import defaultdict
 from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -78,6 +79,34 @@ class Quadtree:
         return [(d, ix, iy, self.x0 + w * ix / (1 << d), self.y0 + h * iy / (1 << d), self.x0 + w * (ix + 1) / (1 << d), self.y0 + h * (iy + 1) / (1 << d)) for d, ix, iy in self.leaves]
 
 
+class CellTable:
+    """The same lookups on arrays, for kernels: leaves are numbered from 0 as in ``tree.leaves``."""
+
+    def __init__(self, tree: Quadtree):
+        self.box, self.depth, self.count = ((tree.x0, tree.x1), (tree.y0, tree.y1)), tree.depth, len(tree.leaves)
+        self.table = np.zeros((1 << self.depth, 1 << self.depth), np.int32)
+        for k, (d, ix, iy) in enumerate(tree.leaves):
+            step = 1 << (self.depth - d)
+            self.table[ix * step : (ix + 1) * step, iy * step : (iy + 1) * step] = k
+
+    def _axis(self, v: np.ndarray, low: float, high: float) -> np.ndarray:
+        n = 1 << self.depth
+        return np.clip(np.floor((v - low) / ((high - low) / n or 1.0)), 0, n - 1).astype(np.int64)
+
+    def home(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        return self.table[self._axis(x, *self.box[0]), self._axis(y, *self.box[1])].astype(np.int64)
+
+    def touched(self, x: np.ndarray, y: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray]:
+        """(point, leaf) of every leaf that the box of half-width eps around a point meets, each once."""
+        (x_low, x_high), (y_low, y_high) = ((self._axis(v - eps, *box), self._axis(v + eps, *box)) for v, box in ((x, self.box[0]), (y, self.box[1])))
+        found = []
+        for i in range(int((x_high - x_low).max(initial=0)) + 1):
+            for j in range(int((y_high - y_low).max(initial=0)) + 1):
+                ok = np.flatnonzero((x_low + i <= x_high) & (y_low + j <= y_high))
+                found.append(ok * self.count + self.table[x_low[ok] + i, y_low[ok] + j])
+        return np.divmod(np.unique(np.concatenate(found)), self.count)
+
+
 def _key(d: int, ix: int, iy: int) -> int:
     return d * (1 << 52) + ix * (1 << 26) + iy
 
@@ -87,7 +116,7 @@ def build(pts: DataFrame, cap_fraction: float, max_depth: int = MAX_DEPTH, most_
 
     Points are counted in the finest grid by Spark (at most 4^max_depth counts, a bound free of the
     data's size); the recursion over those counts is on the driver. A tree of more than most_leaves
-    leaves is built again with twice the capacity."""
+    leaves (a capacity below about 0.1 %) is refused, as its table would no longer be small to broadcast."""
     x0, y0, x1, y1 = pts.agg(F.min("x"), F.min("y"), F.max("x"), F.max("y")).first()
     if x0 is None:
         return Quadtree(0.0, 0.0, 1.0, 1.0, ((0, 0, 0),))
@@ -101,14 +130,13 @@ def build(pts: DataFrame, cap_fraction: float, max_depth: int = MAX_DEPTH, most_
         levels.append(above)
     levels.reverse()
     total = levels[0].get((0, 0), 0)
-    while True:
-        leaves, open_ = [], [(0, 0, 0)]
-        while open_:
-            d, ix, iy = open_.pop()
-            if d < max_depth and levels[d].get((ix, iy), 0) > cap_fraction * total:
-                open_ += [(d + 1, 2 * ix + a, 2 * iy + b) for a in (0, 1) for b in (0, 1)]
-            else:
-                leaves.append((d, ix, iy))
-        if len(leaves) <= most_leaves:
-            return Quadtree(x0, y0, x1, y1, tuple(sorted(leaves)))
-        cap_fraction *= 2
+    leaves, open_ = [], [(0, 0, 0)]
+    while open_:
+        d, ix, iy = open_.pop()
+        if d < max_depth and levels[d].get((ix, iy), 0) > cap_fraction * total:
+            open_ += [(d + 1, 2 * ix + a, 2 * iy + b) for a in (0, 1) for b in (0, 1)]
+        else:
+            leaves.append((d, ix, iy))
+    if len(leaves) > most_leaves:
+        raise ValueError(f"{len(leaves)} leaves at a capacity of {cap_fraction}: more than {most_leaves}")
+    return Quadtree(x0, y0, x1, y1, tuple(sorted(leaves)))

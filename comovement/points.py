@@ -40,11 +40,10 @@ def from_orders(orders: DataFrame, customer: DataFrame) -> DataFrame:
     return from_columns(joined, "o_custkey", "t", "o_totalprice / 1000", "c_acctbal / 100", "o_orderkey")
 
 
-def companions(pts: DataFrame) -> DataFrame:
-    """Points plus a jittered twin of every fifth trajectory with planted breaks."""
-    twin = pts.where("pmod(traj, 5) = 0").selectExpr(
-        "traj + 1000000 traj", "t + 60000000 * pmod(pid, 5) t", "x + pmod(pid, 3) + if(pmod(pid, 6) = 0, 1000000D, 0D) x", "y", "pid + 10000000 pid"
-    )
+def companions(pts: DataFrame, breaks: bool = True) -> DataFrame:
+    """Points plus a jittered twin of every fifth trajectory with planted breaks, or without."""
+    far = "if(pmod(pid, 6) = 0, 1000000D, 0D)" if breaks else "0D"
+    twin = pts.where("pmod(traj, 5) = 0").selectExpr("traj + 1000000 traj", "t + 60000000 * pmod(pid, 5) t", f"x + pmod(pid, 3) + {far} x", "y", "pid + 10000000 pid")
     return pts.select(*COLUMNS).unionByName(twin)
 
 

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from . import metrics, points, sqlapi, workloads
 from .engine import SubtrajectoryJoin
+from .functions import distance
 from .functions.cells import axis_cell, cell_path, morton
 from .functions.distance import sq_vector
 from .operators import apps, baselines, classify, general, pointjoin, refine, semantics
@@ -16,7 +17,7 @@ from .params import HOUR, SET_A, SET_B, SET_C, JoinParams
 from .plans import partitioning, quadtree
 from .sources import store
 from .sources.scratch import scratch
-from .sources.tables import table
+from .sources.tables import MATCH_COLUMNS, table, write_matches
 from .streaming import joins
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -29,29 +30,25 @@ def query(f: Query) -> Query:
     return f
 
 
-def compared(part: str):
-    """Registers a query twice: over the part of its table that its SQL compares, and as NAME_all over all of it."""
-
-    def register(f: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
-        QUERIES[f.__name__] = lambda spark, d: f(spark, d, part)
-        QUERIES[f"{f.__name__}_all"] = lambda spark, d: f(spark, d, "true")
-        return f
-
-    return register
-
-
-def events(spark: SparkSession, d: str, companions: bool = False, where: str = "true") -> DataFrame:
-    """Points of events, with twins or not, filtered, numbered."""
+def events(spark: SparkSession, d: str, companions: bool = False) -> DataFrame:
+    """Points of events, with twins or not, numbered."""
     pts = points.from_events(table(spark, d, "events"))
-    return points.with_sequence((points.companions(pts) if companions else pts).where(where))
+    return points.with_sequence(points.companions(pts) if companions else pts)
 
 
 def raw(spark: SparkSession, d: str) -> DataFrame:
     return points.from_events(table(spark, d, "events"))
 
 
-def pairs(spark: SparkSession, d: str, method: str = "indexed", params: JoinParams = P10, where: str = "true", **options) -> DataFrame:
-    return pointjoin.joining_pairs(events(spark, d, where=where), None, params, method, **options)
+def pairs(spark: SparkSession, d: str, method: str = "indexed", params: JoinParams = P10, **options) -> DataFrame:
+    return pointjoin.joining_pairs(events(spark, d), None, params, method, **options)
+
+
+def on_store(spark: SparkSession, d: str, method: str, params: JoinParams = P10, **options) -> DataFrame:
+    """Joining pairs of a freshly prepared store, joined where its slabs lie."""
+    engine = SubtrajectoryJoin(params, method, **options)
+    prepared = engine.prepare(raw(spark, d), scratch(spark, "store"))
+    return engine.pairs(prepared.points(spark), None, prepared)
 
 
 def matched(spark: SparkSession, d: str, params: JoinParams, method: str = "indexed", companions: bool = True, **options) -> DataFrame:
@@ -72,6 +69,20 @@ def points_lineitem_dedup(spark, d):
     return points.from_lineitem(table(spark, d, "lineitem"))
 
 
+@query
+def points_unnested(spark, d):
+    """Points through one row for each trajectory and back."""
+    return points.from_arrays(points.to_arrays(events(spark, d)))
+
+
+@query
+def point_distances(spark, d):
+    """Each distance between a point and the next of its trajectory (on the sphere in km, x and y as degrees)."""
+    pts, (ax, ay, bx, by) = events(spark, d).where("next_t is not null"), [F.col(c) for c in ("x", "y", "next_x", "next_y")]
+    kinds = {"euclid": distance.euclid, "manhattan": distance.manhattan, "chebyshev": distance.chebyshev, "haversine": distance.haversine}
+    return pts.select("pid", distance.temporal(F.col("t"), F.col("next_t")).alias("temporal"), *[F.round(f(ax, ay, bx, by) / (1000 if name == "haversine" else 1), 6).alias(name) for name, f in kinds.items()])
+
+
 @query
 def points_orders(spark, d):
     return points.from_orders(table(spark, d, "orders"), table(spark, d, "customer"))
@@ -98,9 +109,9 @@ def traj_sessions(spark, d):
     return points.split_on_gap(raw(spark, d), 24 * HOUR).groupBy("traj", "trip").agg(F.count("*").alias("n"), F.min("t").alias("t_from"), F.max("t").alias("t_to"))
 
 
-@compared("traj < 50")
-def lifespan_pairs(spark, d, where):
-    s = points.summary(raw(spark, d).where(where))
+@query
+def lifespan_pairs(spark, d):
+    s = points.summary(raw(spark, d))
     return points.common_lifespans(s, s, 480 * HOUR, 240 * HOUR).where("r_traj < s_traj")
 
 
@@ -110,10 +121,10 @@ def traj_nested(spark, d):
     return nested.select("traj", F.size("points").cast("long").alias("n"), F.element_at("points", 1)["t"].alias("first_t"), F.element_at("points", -1)["t"].alias("last_t"))
 
 
-@compared("traj < 20")
-def traj_slice(spark, d, where):
+@query
+def traj_slice(spark, d):
     pts = events(spark, d)
-    pieces = pts.where(where).select("traj").distinct().selectExpr("traj", "3L seq_from", "7L seq_to")
+    pieces = pts.select("traj").distinct().selectExpr("traj", "3L seq_from", "7L seq_to")
     return points.cut(pts, pieces).select("traj", "seq", "t", "pid")
 
 
@@ -122,35 +133,44 @@ def traj_clean(spark, d):
     return points.clean(raw(spark, d), box=(float("-inf"), 5.0, 300.0, float("inf")), min_points=40)
 
 
-@compared("traj < 40")
-def jp_naive(spark, d, where):
-    return pairs(spark, d, "naive", where=where)
+@query
+def jp_naive(spark, d):
+    return pairs(spark, d, "naive")
 
 
 for _name, _method, _options in (
-    ("slab_nested", "slab_nested_loop", {}), ("basic", "basic", {}), ("prepart", "prepart", {}), ("indexed", "indexed", {}), ("grid", "gridtile", {}),
-    ("grid_distinct", "gridtile", {"dedupe": "distinct"}), ("sweep_kernel", "sweep", {}), ("indexed_no_spatial_index", "prepart", {}),
+    ("slab_nested", "slab_nested_loop", {}), ("basic", "basic", {}), ("prepart_shuffled", "prepart", {}), ("indexed_shuffled", "indexed", {}), ("grid", "gridtile", {}),
+    ("grid_distinct", "gridtile", {"dedupe": "distinct"}), ("grid_coarse", "gridtile", {"nx": 8, "ny": 4, "nt": 64, "n_parts": 24}), ("sweep_kernel", "sweep", {}),
 ):
     QUERIES[f"jp_{_name}"] = lambda spark, d, m=_method, o=_options: pairs(spark, d, m, **o)
 
-
-@query
-def jp_indexed_no_traj_index(spark, d):
-    """Ablation: the numbering is not stored but made again at query time for the reference side."""
-    bare = pairs(spark, d).drop("r_seq", "s_seq")
-    pts = events(spark, d).select("traj", "seq", "t")
-    one = pts.groupBy("traj", "t").agg(F.min("seq").alias("seq"), F.count("*").alias("n"))
-    r, s = one.selectExpr("traj r_traj", "t r_t", "seq r_seq"), one.selectExpr("traj s_traj", "t s_t", "seq s_seq")
-    return bare.join(r, ["r_traj", "r_t"]).join(s, ["s_traj", "s_t"]).select(*pointjoin.OUT)
+for _name, _method, _options in (("prepart", "prepart", {}), ("indexed", "indexed", {}), ("indexed_no_spatial_index", "indexed", {"spatial_index": False}), ("indexed_no_traj_index", "indexed", {"traj_index": False})):
+    QUERIES[f"jp_{_name}"] = lambda spark, d, m=_method, o=_options: on_store(spark, d, m, **o)
 
 
 @query
 def jp_halo_source(spark, d):
-    """Map-side join: every task reads a self-sufficient slab and sweeps it."""
+    """The rows of the self-sufficient slabs themselves, and what a slab owns and borrows."""
     prepared = store.prepare(raw(spark, d), scratch(spark, "store"))
-    local = store.PreparedStore(prepared.path.removeprefix("file:"), prepared.slabs, prepared.tree)
-    rows = store.halo(spark, local, P10)
-    return rows.groupBy("slab").applyInPandas(pointjoin.sweep_slab(P10), "r_traj long, r_seq long, r_t long, s_traj long, s_seq long, s_t long")
+    return store.halo(spark, prepared, P10).select("traj", "seq", "t", "pid", "is_home")
+
+
+@query
+def slab_sufficiency(spark, d):
+    """Pairs and breaking points of home points, found in each expanded slab by itself, against those of the whole."""
+    pts = events(spark, d)
+    slabs = partitioning.uniform(pts, 16)
+    wide = partitioning.expand(pts.select("traj", "seq", "t", "x", "y"), slabs, P10.eps_t_us)
+    r = wide.where("is_home").select("slab", *[F.col(c).alias(f"r_{c}") for c in ("traj", "seq", "t", "x", "y")])
+    s = wide.select("slab", *[F.col(c).alias(f"s_{c}") for c in ("traj", "seq", "t", "x", "y")])
+    width = P10.eps_t_us
+    r = r.withColumn("b", F.floor(F.col("r_t") / width))
+    s = s.withColumn("b", F.explode(F.sequence(F.floor(F.col("s_t") / width) - 1, F.floor(F.col("s_t") / width) + 1)))
+    local = r.join(s, ["slab", "b"], "left").where(pointjoin.close(P10) | F.col("s_traj").isNull())
+    alone = classify.breaking_points(pts, local.where("s_traj is not null").select(*pointjoin.OUT))
+    jp = pointjoin.joining_pairs(pts, None, P10, "basic")
+    found = metrics.compare(local.where("s_traj is not null").select(*pointjoin.OUT), jp).select(F.lit("JP").alias("kind"), "only_left", "only_right", "both")
+    return found.unionByName(metrics.compare(alone, classify.breaking_points(pts, jp)).select(F.lit("BP").alias("kind"), "only_left", "only_right", "both"))
 
 
 @query
@@ -160,6 +180,30 @@ def jp_two_relation(spark, d):
     return pointjoin.joining_pairs(left, right, P10, "indexed")
 
 
+@query
+def jp_suppliers_customers(spark, d):
+    """Two relations of different origin: suppliers' shipments against customers' orders."""
+    left = points.with_sequence(points.from_lineitem(table(spark, d, "lineitem")))
+    right = points.with_sequence(points.from_orders(table(spark, d, "orders"), table(spark, d, "customer")))
+    return pointjoin.joining_pairs(left, right, JoinParams(3.0, 24 * HOUR), "indexed").groupBy("r_traj", "s_traj").agg(F.count("*").alias("n_jp"))
+
+
+@query
+def jp_two_relation_sweep(spark, d):
+    pts = raw(spark, d)
+    left, right = (points.with_sequence(pts.where(f"pmod(traj, 2) = {k}")) for k in (0, 1))
+    return pointjoin.joining_pairs(left, right, P10, "sweep")
+
+
+@query
+def jp_owned(spark, d):
+    """Pairs by the slab that owns their reference."""
+    pts = events(spark, d)
+    slabs = partitioning.uniform(pts, 16)
+    owner = F.coalesce(*[F.when(partitioning.owns(F.col("r_t"), lo, hi), k) for k, lo, hi in slabs.limits()])
+    return pointjoin.joining_pairs(pts, None, P10, "basic", slabs=slabs).groupBy(owner.alias("slab")).agg(F.count("*").alias("n_jp"))
+
+
 @query
 def jp_metric_manhattan(spark, d):
     return pairs(spark, d, params=JoinParams(10.0, 2 * HOUR, metric="manhattan"))
@@ -185,9 +229,9 @@ def jp_cross_slab(spark, d):
     return pointjoin.joining_pairs(pts, None, P10, "basic", slabs=slabs).where(slabs.of(F.col("r_t")) != slabs.of(F.col("s_t")))
 
 
-@compared("l_shipdate >= timestamp_ntz'1996-01-01' and l_shipdate < timestamp_ntz'1997-01-01'")
-def jp_lineitem_narrow(spark, d, where):
-    pts = points.with_sequence(points.from_lineitem(table(spark, d, "lineitem").where(where)))
+@query
+def jp_lineitem_narrow(spark, d):
+    pts = points.with_sequence(points.from_lineitem(table(spark, d, "lineitem")))
     return pointjoin.joining_pairs(pts, None, JoinParams(3.0, 48 * HOUR), "prepart").groupBy("r_traj", "s_traj").agg(F.count("*").alias("n_jp"))
 
 
@@ -203,34 +247,34 @@ def jp_bp_outer(spark, d):
     return classify.pairs_and_breaks(pts, pointjoin.joining_pairs(pts, None, P10)).select(*pointjoin.OUT, "kind")
 
 
-def _joined(spark, d, where):
-    pts = events(spark, d, where=where)
+def _joined(spark, d):
+    pts = events(spark, d)
     return pts, pointjoin.joining_pairs(pts, None, P10)
 
 
-@compared("traj < 40")
-def njp_pairs(spark, d, where):
-    return classify.non_joining(*_joined(spark, d, where))
+@query
+def njp_pairs(spark, d):
+    return classify.non_joining(*_joined(spark, d))
 
 
-@compared("traj < 40")
-def njp_counts(spark, d, where):
-    return classify.cover_counts(*_joined(spark, d, where))
+@query
+def njp_counts(spark, d):
+    return classify.cover_counts(*_joined(spark, d))
 
 
-@compared("traj < 40")
-def miss_effective(spark, d, where):
-    return classify.effective_misses(*_joined(spark, d, where))
+@query
+def miss_effective(spark, d):
+    return classify.effective_misses(*_joined(spark, d))
 
 
-@compared("traj < 40")
-def miss_literal(spark, d, where):
-    return classify.literal_misses(*_joined(spark, d, where))
+@query
+def miss_literal(spark, d):
+    return classify.literal_misses(*_joined(spark, d))
 
 
-@compared("traj < 40")
-def miss_candidates(spark, d, where):
-    return classify.candidate_misses(*_joined(spark, d, where))
+@query
+def miss_candidates(spark, d):
+    return classify.candidate_misses(*_joined(spark, d))
 
 
 for _method in ("basic", "prepart", "indexed", "auto"):
@@ -249,8 +293,17 @@ def match_exact_plain(spark, d):
 
 
 @query
-def match_kernel(spark, d):
-    return matched(spark, d, SET_A, refine="kernel")
+def match_rounds(spark, d):
+    """The exact refine as window functions."""
+    return matched(spark, d, SET_A, refine="rounds")
+
+
+@query
+def match_exact_stored(spark, d):
+    """The engine on a prepared store: the join reads slabs as they lie."""
+    engine = SubtrajectoryJoin(SET_A, "indexed")
+    prepared = engine.prepare(points.companions(raw(spark, d)), scratch(spark, "store"))
+    return engine.run(prepared.points(spark), None, prepared)
 
 
 @query
@@ -262,9 +315,9 @@ def match_udtf(spark, d):
     return spark.sql("select * from subtrajectory_pairs(table(pairs_of_trajectories) partition by (r_traj, s_traj)) where r_to > r_from and s_to > s_from")
 
 
-@compared("pmod(traj, 1000000) < 60")
-def match_brute_force(spark, d, where):
-    pts = events(spark, d, True, where)
+@query
+def match_brute_force(spark, d):
+    pts = events(spark, d, True)
     return semantics.brute_force(pointjoin.joining_pairs(pts, None, SET_A).where("r_traj < s_traj"), pts, SET_A)
 
 
@@ -301,7 +354,8 @@ def match_delta_zero_grid(spark, d):
 
 @query
 def match_whole(spark, d):
-    pts = events(spark, d, True)
+    """Whole trajectories; the twins have no breaks here, so that there are some."""
+    pts = points.with_sequence(points.companions(raw(spark, d), breaks=False))
     return baselines.whole_trajectory(SubtrajectoryJoin(SET_A, "indexed").run(pts), pts)
 
 
@@ -390,7 +444,8 @@ def slab_balance_warped(spark, d):
     """Uniform against equi-depth slabs on time-skewed points."""
     pts = points.warped(raw(spark, d))
     one = lambda s, name: metrics.balance(metrics.slab_sizes(pts, s)).withColumn("kind", F.lit(name))
-    return one(partitioning.uniform(pts, 16), "uniform").unionByName(one(partitioning.equi_depth(pts, 16), "equi-depth"))
+    exact = metrics.balance(partitioning.equi_depth_exact(pts, 16)).withColumn("kind", F.lit("equi-depth"))
+    return one(partitioning.uniform(pts, 16), "uniform").unionByName(exact)
 
 
 @query
@@ -432,7 +487,7 @@ def cost_index_vs_eps(spark, d):
 
 @query
 def cost_model(spark, d):
-    return SubtrajectoryJoin(P10).explain_cost(events(spark, d))
+    return SubtrajectoryJoin(SET_A).explain_cost(events(spark, d))
 
 
 @query
@@ -507,16 +562,16 @@ def app_network(spark, d):
     return apps.shared_segments(SubtrajectoryJoin(SET_A, "indexed").run(pts), pts, 20.0)
 
 
-@compared("traj < 40")
-def op_band(spark, d, where):
-    pts = events(spark, d, where=where)
+@query
+def op_band(spark, d):
+    pts = events(spark, d)
     r, s = pts.selectExpr("traj r_traj", "pid r_pid", "t r_t"), pts.selectExpr("traj s_traj", "pid s_pid", "t s_t")
     return general.band_join(r, s, "r_t", "s_t", HOUR).where("r_traj < s_traj").drop("r_t", "s_t")
 
 
-@compared("pmod(pid, 7) = 0")
-def op_overlap(spark, d, where):
-    s = points.summary(raw(spark, d).where(where))
+@query
+def op_overlap(spark, d):
+    s = points.summary(raw(spark, d))
     r = s.selectExpr("traj r_traj", "t_min r_lo", "t_max r_hi")
     o = s.selectExpr("traj s_traj", "t_min s_lo", "t_max s_hi")
     return general.overlap_join(r, o, ("r_lo", "r_hi"), ("s_lo", "s_hi"), 240 * HOUR).where("r_traj < s_traj").select("r_traj", "s_traj")
@@ -528,12 +583,41 @@ def op_asof(spark, d):
     return general.asof_join(pts.where("pmod(pid, 3) <> 0"), pts.where("pmod(pid, 3) = 0"), "traj", "t", "pid")
 
 
-@compared("traj < 40")
-def op_knn(spark, d, where):
-    pts = events(spark, d, where=where)
+@query
+def op_knn(spark, d):
+    pts = events(spark, d)
     return general.knn(pts, pts, 3, 6 * HOUR)
 
 
+@query
+def op_merge_intervals(spark, d):
+    """When a reference is with anybody: the union of its matches' times."""
+    m = matched(spark, d, SET_A).select("r_traj", F.greatest("r_t_from", "s_t_from").alias("t_from"), F.least("r_t_to", "s_t_to").alias("t_to"))
+    return general.merge_intervals(m, ["r_traj"], "t_from", "t_to")
+
+
+@query
+def op_match_json(spark, d):
+    return general.to_geojson(matched(spark, d, SET_A))
+
+
+@query
+def op_match_files(spark, d):
+    """Matches through files by buckets of the reference."""
+    path = scratch(spark, "matches")
+    write_matches(matched(spark, d, SET_A), path)
+    return spark.read.parquet(path).select(*MATCH_COLUMNS)
+
+
+@query
+def op_decorate(spark, d):
+    """Time together by region and nation of the reference, a user taken as a customer."""
+    nation = table(spark, d, "nation").join(table(spark, d, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select("n_nationkey", "n_name", "r_name")
+    customer = table(spark, d, "customer").select("c_custkey", "c_nationkey").join(nation, F.col("c_nationkey") == F.col("n_nationkey"))
+    m = matched(spark, d, SET_A).join(customer, F.col("r_traj") == F.col("c_custkey"))
+    return m.rollup("r_name", "n_name").agg(F.count("*").alias("n"), F.sum("lifespan_us").alias("together_us"))
+
+
 @query
 def op_semi(spark, d):
     pts = events(spark, d)
@@ -579,12 +663,12 @@ def op_grouping_sets(spark, d):
     return _days(spark, d).groupingSets([["day", "cell"], ["event_type"], []], "day", "cell", "event_type").agg(F.count("*").alias("n"), F.grouping_id().alias("gid"))
 
 
-@compared("traj < 30")
-def op_ranks(spark, d, where):
+@query
+def op_ranks(spark, d):
     w = Window.partitionBy("traj").orderBy(F.floor("x"))
     full = Window.partitionBy("traj").orderBy("x", "pid")
     whole = full.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    return raw(spark, d).where(where).select(
+    return raw(spark, d).select(
         "traj", "pid", F.rank().over(w).cast("long").alias("rnk"), F.dense_rank().over(w).cast("long").alias("dense"), F.ntile(4).over(full).cast("long").alias("quarter"),
         F.round(F.percent_rank().over(w), 9).alias("pct"), F.round(F.cume_dist().over(w), 9).alias("cume"), F.nth_value("pid", 2).over(whole).alias("second"),
     )
@@ -610,10 +694,10 @@ def op_setops(spark, d):
     return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3]).unionByName(out[4])
 
 
-@compared("r_traj < 40")
-def op_arrays(spark, d, where):
+@query
+def op_arrays(spark, d):
     """Common partners of pairs that share one: joined on the partner, so no pair without any is looked at."""
-    jp = pairs(spark, d).where(where).select("r_traj", "s_traj").distinct()
+    jp = pairs(spark, d).select("r_traj", "s_traj").distinct()
     lists = jp.groupBy("r_traj").agg(F.array_sort(F.collect_set("s_traj")).alias("p"))
     meet = jp.selectExpr("r_traj a", "s_traj").join(jp.selectExpr("r_traj b", "s_traj"), "s_traj").where("a < b").select("a", "b").distinct()
     both = meet.join(lists.selectExpr("r_traj a", "p pa"), "a").join(lists.selectExpr("r_traj b", "p pb"), "b")

@@ -1,11 +1,12 @@
 """The prepared store: equi-depth slabs on disk, sorted by time, with their bounds, tree and numbering.
 
-Preparation is one shuffle, done once for a data set and free of the join's parameters. A query reads
-a slab's own rows as stored and the halo from the neighbours by ranges of t, which Parquet prunes.
+Preparation is done once for a data set and free of the join's parameters. A query reads a slab's own
+rows as stored and the halo from the neighbouring slabs by ranges of t, which Parquet prunes: no shuffle.
 """
 
 from __future__ import annotations
 
+import bisect
 import json
 from dataclasses import dataclass
 
@@ -30,11 +31,21 @@ class PreparedStore:
         return spark.read.parquet(f"{self.path}/points")
 
 
-def prepare(pts: DataFrame, path: str, m: int = 16, cap_fraction: float = 0.03) -> PreparedStore:
-    """Numbers the points, finds bounds and tree, writes slabs and a manifest."""
+ROW_BYTES, BLOCK_BYTES, LEAST_SLABS = 48, 128 << 20, 16
+"""Bytes of a point, and of a slab, which one task reads and sweeps."""
+
+
+def prepare(pts: DataFrame, path: str, m: int | None = None, cap_fraction: float = 0.03, n_nodes: int = 1) -> PreparedStore:
+    """Numbers the points, finds bounds and tree, writes slabs and a manifest.
+
+    m slabs, or as many as hold a block each (``LEAST_SLABS`` at least). A slab is written by one task, sorted by
+    time, as one file with small row groups, so that a neighbour's halo is read by the statistics of t."""
+    if m is None:
+        m = max(LEAST_SLABS, partitioning.plan_slabs(pts.count() * ROW_BYTES, BLOCK_BYTES, n_nodes)[0])
     slabs, tree = partitioning.equi_depth(pts, m), quadtree.build(pts, cap_fraction)
     numbered = with_sequence(pts).withColumn("slab", slabs.of(F.col("t")))
-    numbered.repartition("slab").sortWithinPartitions("slab", "t", "pid").write.partitionBy("slab").parquet(f"{path}/points")
+    sorted_ = numbered.repartitionById(slabs.count, "slab").sortWithinPartitions("slab", "t", "pid")
+    sorted_.write.option("parquet.block.size", 8 << 20).partitionBy("slab").parquet(f"{path}/points")
     manifest = json.dumps({"bounds": slabs.bounds, "box": [tree.x0, tree.y0, tree.x1, tree.y1], "leaves": tree.leaves})
     pts.sparkSession.createDataFrame([(manifest,)], "manifest string").coalesce(1).write.text(f"{path}/manifest")
     return PreparedStore(path, slabs, tree)
@@ -45,56 +56,59 @@ def load(spark: SparkSession, path: str) -> PreparedStore:
     return PreparedStore(path, Slabs(tuple(found["bounds"])), Quadtree(*found["box"], tuple(tuple(leaf) for leaf in found["leaves"])))
 
 
-def home_and_halo(spark: SparkSession, store: PreparedStore, params: JoinParams) -> tuple[DataFrame, DataFrame]:
-    """(home rows as stored with their slab, other rows with every slab whose +-eps interval meets them).
-
-    Only the second side, a slab's own rows aside, moves between slabs."""
-    pts = store.points(spark)
-    wide = F.sequence(store.slabs.of(F.col("t") - params.eps_t_us), store.slabs.of(F.col("t") + params.eps_t_us))
-    return pts, pts.withColumnRenamed("slab", "home_slab").withColumn("slab", F.explode(wide)).withColumn("is_home", F.col("slab") == F.col("home_slab"))
-
-
 class _Slab(InputPartition):
     def __init__(self, slab: int, lo: int | None, hi: int | None):
         self.slab, self.lo, self.hi = slab, lo, hi
 
 
+def opened(path: str):
+    """File system and path of a URI or plain path, on the driver or an executor."""
+    from pyarrow import fs
+
+    if path.startswith("file:"):
+        path = "/" + path.removeprefix("file:").lstrip("/")
+    return (fs.LocalFileSystem(), path) if path.startswith("/") else fs.FileSystem.from_uri(path)
+
+
 class _SlabReader(DataSourceReader):
-    """One input partition for each slab: its own file and the rows of the others within eps of its range."""
+    """One input partition for each slab: its own rows and those of the neighbours within eps of its range, by time."""
 
     def __init__(self, options: dict):
         self.path, self.eps = options["path"], int(options["epst"])
-        self.bounds = [int(b) for b in options["bounds"].split(",") if b]
+        self.slabs = Slabs(tuple(int(b) for b in options["bounds"].split(",") if b))
 
     def partitions(self):
-        return [_Slab(*limits) for limits in Slabs(tuple(self.bounds)).limits()]
+        return [_Slab(*limits) for limits in self.slabs.limits()]
 
     def read(self, part: _Slab):
         import pyarrow as pa
-        import pyarrow.compute as pc
         import pyarrow.dataset as ds
+        from pyarrow import fs
 
         cols = ["traj", "seq", "t", "x", "y", "pid"]
-        keep = None
-        for edge, low in ((part.lo, True), (part.hi, False)):
-            if edge is not None:
-                test = ds.field("t") >= edge - self.eps if low else ds.field("t") < edge + self.eps
-                keep = test if keep is None else keep & test
-        data = ds.dataset(f"{self.path}/points".removeprefix("file:"), format="parquet", partitioning="hive")
-        for batch in data.to_batches(columns=cols, filter=keep):
-            if batch.num_rows:
-                home = pa.array([True] * batch.num_rows)
-                if part.lo is not None:
-                    home = pc.and_(home, pc.greater_equal(batch["t"], part.lo))
-                if part.hi is not None:
-                    home = pc.and_(home, pc.less(batch["t"], part.hi))
+        where, path = opened(self.path)
+        edges = self.slabs.bounds
+        # the slabs that the widened range meets, mostly the one before, this one and the one after
+        first = 0 if part.lo is None else bisect.bisect_right(edges, part.lo - self.eps)
+        last = len(edges) if part.hi is None else bisect.bisect_right(edges, part.hi + self.eps - 1)
+        for slab in range(first, last + 1):
+            folder = f"{path}/points/slab={slab}"
+            if where.get_file_info(folder).type != fs.FileType.Directory:
+                continue
+            keep = None
+            if slab < part.slab:
+                keep = ds.field("t") >= part.lo - self.eps
+            elif slab > part.slab:
+                keep = ds.field("t") < part.hi + self.eps
+            rows = ds.dataset(folder, filesystem=where, format="parquet").to_table(columns=cols, filter=keep)
+            for batch in rows.sort_by([("t", "ascending"), ("pid", "ascending")]).combine_chunks().to_batches(max_chunksize=10_000):
+                home = pa.array([slab == part.slab] * batch.num_rows)
                 yield pa.RecordBatch.from_arrays([*[batch[c] for c in cols], home, pa.array([part.slab] * batch.num_rows, pa.int32())], names=[*cols, "is_home", "slab"])
 
 
 class HaloSource(DataSource):
-    """spark.read.format("halo"): self-sufficient slabs without a shuffle (options path, epst, bounds).
-
-    Reads through Arrow's file systems, so the store must lie where executors can open it by path."""
+    """spark.read.format("halo"): self-sufficient slabs, a partition each, in order of time (options path, epst,
+    bounds). Each reads the files of its own and its neighbouring slabs alone, through Arrow's file systems."""
 
     @classmethod
     def name(cls) -> str:
@@ -110,9 +124,3 @@ class HaloSource(DataSource):
 def halo(spark: SparkSession, store: PreparedStore, params: JoinParams) -> DataFrame:
     spark.dataSource.register(HaloSource)
     return spark.read.format("halo").option("path", store.path).option("epst", str(params.eps_t_us)).option("bounds", ",".join(map(str, store.slabs.bounds))).load()
-
-
-def bucketed(pts: DataFrame, name: str, n: int = 16) -> DataFrame:
-    """The alternative: a table bucketed by trajectory and sorted by time, whose joins on traj need no shuffle."""
-    pts.write.mode("overwrite").bucketBy(n, "traj").sortBy("t").saveAsTable(name)
-    return pts.sparkSession.table(name)

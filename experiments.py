@@ -1,8 +1,9 @@
 """Runs the timed experiments on events with companions and prints a JSON line for each.
 
 python experiments.py [sf_dir] [NAME...]; names: size (slow-down with data size), grid (indexed against
-the tile grid), amortised (preparation against repeated queries), index (capacity), cores (speed-up).
-Counts without times (tolerances, radii, durations, capacities, balance) are registered queries.
+the tile grid), amortised (preparation against five different queries), eps_t, eps_sp (up to the whole plane),
+delta_t (Join and Refine of prepart and indexed for each value), index (capacity), cores (speed-up).
+The same sweeps as counts, and balance, are registered queries.
 """
 
 from __future__ import annotations
@@ -10,6 +11,7 @@ from __future__ import annotations
 import json
 import sys
 import tempfile
+from dataclasses import replace
 
 
 def session(cores: int):
@@ -30,7 +32,11 @@ def main(sf_dir: str = "/root/testdata/sf0.1", *names: str) -> None:
     params = JoinParams(10.0, registry.P10.eps_t_us, 5 * registry.HOUR)
     made = {
         "size": lambda pts, d: workloads.slowdown(pts, params, d), "grid": lambda pts, d: workloads.versus_grid(pts, params, d),
-        "amortised": lambda pts, d: workloads.amortised(pts, params, d), "index": lambda pts, d: workloads.index_cost(pts, params),
+        "amortised": lambda pts, d: workloads.amortised(pts, [replace(params, eps_sp=e) for e in (4.0, 6.0, 8.0, 10.0, 12.0)], d),
+        "eps_t": lambda pts, d: workloads.vary_timed(pts, "eps_t_us", [m * 60_000_000 for m in workloads.EPS_T_MINUTES], d, params),
+        "eps_sp": lambda pts, d: workloads.vary_timed(pts, "eps_sp", [*workloads.radii(pts), 10.0, 20.0], d, params) + workloads.vary_timed(points.portion(pts, 1, 20), "eps_sp", [None], f"{d}/plane", params),
+        "delta_t": lambda pts, d: workloads.vary_timed(pts, "delta_t_us", [h * registry.HOUR for h in workloads.DELTA_T_HOURS], d, params),
+        "index": lambda pts, d: workloads.index_cost(pts, params, d),
     }
     for name in names or (*made, "cores"):
         with tempfile.TemporaryDirectory() as folder:

@@ -3,7 +3,8 @@
 import numpy as np
 import pytest
 
-from comovement import points, sqlapi
+from comovement import points, sqlapi, workloads
+from comovement.engine import SubtrajectoryJoin
 from comovement.operators import classify, general, pointjoin, refine
 from comovement.operators.baselines import jp_only_runs, warping_distance
 from comovement.params import SET_B, JoinParams
@@ -52,9 +53,9 @@ def test_candidate_misses_suffice(spark, sf_dir):
 def test_kernel_equals_rounds_and_depth_is_no_limit(spark, sf_dir):
     pts = points.with_sequence(points.companions(points.from_events(table(spark, sf_dir, "events"))))
     jp = pointjoin.joining_pairs(pts, None, SET_B).where("r_traj < s_traj").cache()
-    wanted = sorted(map(tuple, refine.by_kernel(jp, SET_B).collect()))
+    wanted = sorted(map(tuple, refine.maximal_matches(jp, SET_B).collect()))
     for rounds in (1, 2, 4):
-        assert sorted(map(tuple, refine.maximal_matches(jp, SET_B, rounds).collect())) == wanted
+        assert sorted(map(tuple, refine.by_rounds(jp, SET_B, rounds).collect())) == wanted
 
 
 def test_tolerances_are_monotone(spark, sf_dir):
@@ -71,3 +72,22 @@ def test_warping_distance():
 def test_parameters_reject_negative_tolerances():
     with pytest.raises(ValueError):
         JoinParams(-1, 0)
+
+
+def test_naive_engine_from_end_to_end(spark, sf_dir):
+    pts = points.companions(points.from_events(table(spark, sf_dir, "events")))
+    wanted = sorted(map(tuple, SubtrajectoryJoin(SET_B, "naive").run(pts).collect()))
+    assert len(wanted) == 54 and wanted == sorted(map(tuple, SubtrajectoryJoin(SET_B, "indexed").run(pts).collect()))
+    with pytest.raises(ValueError):
+        SubtrajectoryJoin(SET_B, "gridtile").run(pts)
+
+
+def test_timed_workloads_measure_every_query(spark, sf_dir, tmp_path):
+    pts = points.companions(points.from_events(table(spark, sf_dir, "events")))
+    rows = workloads.amortised(pts, [JoinParams(10.0, 7_200_000_000), JoinParams(20.0, 7_200_000_000)], str(tmp_path / "a"), ("basic", "indexed"))
+    assert [(r["method"], r["queries"]) for r in rows] == [("basic", 1), ("basic", 2), ("indexed", 1), ("indexed", 2)]
+    assert all(rows[k]["total_s"] < rows[k + 1]["total_s"] for k in (0, 2)) and rows[1]["n_jp"] == rows[3]["n_jp"] > rows[0]["n_jp"]
+    rows = workloads.vary_timed(pts, "eps_sp", [5.0, None], str(tmp_path / "v"), JoinParams(10.0, 7_200_000_000))
+    assert [r["method"] for r in rows] == ["prepart", "indexed"] * 2 and rows[0]["n_jp"] == rows[1]["n_jp"] < rows[2]["n_jp"] == rows[3]["n_jp"]
+    rows = workloads.index_cost(pts, JoinParams(10.0, 7_200_000_000), str(tmp_path / "i"), (3, 5))
+    assert all(r["spatial_bytes"] > 0 and r["trajectory_bytes"] > 0 and r["spatial_build_s"] > 0 and r["trajectory_build_s"] > 0 for r in rows)
