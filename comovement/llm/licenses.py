@@ -2,13 +2,15 @@
 
 Texts become words ``[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+`` after lower-casing A-Z; the automaton runs over
 the words joined by single spaces, so a hit is a place where a phrase's words stand consecutively.
-Where the identifier tag stands, the expression after it is read from the raw text and put through a
+Where identifier tags stand, the expression after each is read from the raw text and put through a
 shunting-yard parser (with > and > or), which gives its identifiers and whether some choice of
-licences that it allows is permissive.
+licences that it allows is permissive. A text with several tags is under all of them: it is permissive
+if each allows a permissive choice.
 
 Defined results: a null or empty text has no words, no places, empty labels, score 0 and null
 first_word and last_word; repeated rows are scanned alike; a malformed expression keeps its
-identifiers, is not permissive and has a null expression; extra columns are ignored.
+identifiers, makes the text not permissive and has no place among its expressions (one postfix form for
+each well-formed tag, in order; null without any tag); extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -122,32 +124,31 @@ def scanner(base: dict[str, str], notices: dict[str, str]):
                         tagged = True
                     else:
                         spans.append((label, counted, n, own == 0))
-                names, expression, permissive = [], None, None
+                names, expressions, permissive = [], None, None
                 for m in _TAG_LINE.finditer(text) if tagged else ():
                     more, postfix = parse_expression(m[1])
                     names += more
-                    if postfix:
-                        expression = " ".join(postfix)
-                        permissive = bool(permissive) or permits(postfix)
+                    expressions = (expressions or []) + ([" ".join(postfix)] if postfix else [])
+                    permissive = permissive is not False and postfix is not None and permits(postfix)
                 starts = [s[1] for s in spans if s[3]]
                 n_other = len(spans) - len(starts)
                 rows.append((
                     doc_id, len(words), len(starts), min(starts, default=None), max(starts, default=None),
                     ",".join(sorted({s[0] for s in spans if s[3]})), ",".join(sorted({s[0] for s in spans} | set(names))),
-                    1.0 - 0.5 ** min(50, len(starts) + n_other + 2 * len(names)), expression, permissive,
+                    1.0 - 0.5 ** min(50, len(starts) + n_other + 2 * len(names)), expressions, permissive,
                     [{"label": s[0], "first_word": s[1], "n_words": s[2]} for s in spans],
                 ))
-            out = pd.DataFrame(rows, columns=["doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score", "expression", "permissive", "spans"])
+            out = pd.DataFrame(rows, columns=["doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score", "expressions", "permissive", "spans"])
             yield out.astype({"doc_id": "Int64", "first_word": "Int64", "last_word": "Int64", "permissive": "boolean"})
 
     return run
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", base: dict[str, str] = BASE_PHRASES, notices: dict[str, str] = NOTICES) -> DataFrame:
-    """One row per document: word count, base places, labels, score, expression and all spans."""
+    """One row per document: word count, base places, labels, score, expressions and all spans."""
     return map_texts(
         pick(docs, doc_id=id_col, text=text_col),
         scanner(base, notices),
         "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, "
-        "expression string, permissive boolean, spans array<struct<label:string,first_word:long,n_words:long>>",
+        "expressions array<string>, permissive boolean, spans array<struct<label:string,first_word:long,n_words:long>>",
     )

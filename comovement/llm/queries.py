@@ -42,7 +42,7 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return licenses.scan(table(spark, sf_dir, "documents")).withColumn("spans", F.to_json("spans"))
+    return licenses.scan(table(spark, sf_dir, "documents")).withColumn("spans", F.to_json("spans")).withColumn("expressions", F.to_json("expressions"))
 
 
 def op9_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

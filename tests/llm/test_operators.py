@@ -161,6 +161,23 @@ def test_licenses_against_brute_force(docs, nothing):
         assert r.base_labels == ",".join(sorted({label for _, label in at})) and set(filter(None, r.base_labels.split(","))) <= set(r.labels.split(",")) and 0 <= r.score <= 1
 
 
+def test_licence_labels_against_a_plain_version(spark):
+    tags = ["SPDX-License-Identifier: GPL-3.0-only\nx\nspdx-license-identifier: MIT", "SPDX-License-Identifier: MIT\n# SPDX-License-Identifier: Apache-2.0 OR GPL-2.0+", "SPDX-License-Identifier: (MIT", "SPDX-License-Identifier: 0BSD\nSPDX-License-Identifier: (oops", "no tag: MIT"]
+    phrases = [*licenses.BASE_PHRASES, *licenses.NOTICES]
+    texts = tags + [f"{prose(i, 5)} {phrases[i % len(phrases)].title()}, {phrases[3 * i % len(phrases)]} {prose(i, 3)}" for i in range(40)]
+    names = [["gpl-3.0-only", "mit"], ["mit", "apache-2.0", "gpl-2.0+"], ["mit"], ["0bsd", "oops"], []]
+    rows = {r.doc_id: r for r in licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [rows[i].expressions for i in range(5)] == [["gpl-3.0-only", "mit"], ["mit", "apache-2.0 gpl-2.0+ or"], [], ["0bsd"], None]
+    assert [rows[i].permissive for i in range(5)] == [False, True, False, False, None]
+    for i, text in enumerate(texts):
+        words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", text.lower())
+        at = sorted((k, label, len(p.split())) for p, label in (licenses.BASE_PHRASES | licenses.NOTICES).items() for k in range(len(words)) if words[k : k + len(p.split())] == p.split())
+        own = names[i] if i < 5 else []
+        assert rows[i].labels == ",".join(sorted({label for _, label, _ in at} | set(own)))
+        assert sorted((s.first_word, s.label, s.n_words) for s in rows[i].spans) == at
+        assert rows[i].score == 1 - 0.5 ** min(50, len(at) + 2 * len(own))
+
+
 def test_licence_expressions():
     names, postfix = licenses.parse_expression("(MIT OR GPL-2.0-only WITH Classpath-exception-2.0) AND BSD-3-Clause")
     assert names == ["mit", "gpl-2.0-only", "bsd-3-clause"] and licenses.permits(postfix)
@@ -456,6 +473,58 @@ def test_hilbert_shards(spark, docs, nothing):
     assert hilbert.zones(hilbert.shard(docs)).count() == len(sizes)
 
 
+def plain_curve(axes: list[int], bits: int) -> int:
+    """Position on the curve by the usual transposition, one axis at a time in plain integers."""
+    x, m = list(axes), 1 << bits - 1
+    q = m
+    while q > 1:
+        p = q - 1
+        for i in range(len(x)):
+            if x[i] & q:
+                x[0] ^= p
+            else:
+                t = (x[0] ^ x[i]) & p
+                x[0] ^= t
+                x[i] ^= t
+        q >>= 1
+    for i in range(1, len(x)):
+        x[i] ^= x[i - 1]
+    t, q = 0, m
+    while q > 1:
+        if x[-1] & q:
+            t ^= q - 1
+        q >>= 1
+    x = [v ^ t for v in x]
+    return int("".join(str(v >> b & 1) for b in range(bits - 1, -1, -1) for v in x), 2)
+
+
+def test_hilbert_placement_against_a_plain_version(spark, sf_dir):
+    """Codes by rank, curve positions in plain integers, and shards as equal runs of the sorted positions."""
+    rng = np.random.default_rng(7)
+    many = [(i, "x" * int(2 ** rng.integers(0, 14)), f"l{rng.integers(0, 5)}", [f"site{rng.integers(0, 90):02}", None][i % 11 == 0]) for i in range(700)]
+    for table in (spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.createDataFrame(many, "doc_id long, text string, lang string, source string")):
+        docs = {r.doc_id: r for r in table.select("doc_id", "text", "lang", "source").collect()}
+        codes = {}
+        for c in ("source", "lang"):
+            values = sorted({r[c] for r in docs.values() if r[c] is not None})
+            k = min(31, len(values))
+            codes[c] = {v: 1 + i * k // len(values) for i, v in enumerate(values)} | {None: 0}
+        sharded = hilbert.shard(table)
+        rows = sorted(sharded.collect(), key=lambda r: (r.shard, r.slot))
+        assert len(rows) == len(docs)
+        for r in rows:
+            d = docs[r.doc_id]
+            axes = [codes["source"][d.source], codes["lang"][d.lang], min(31, (len((d.text or "").encode()) + 1).bit_length() - 1)]
+            assert [r.source_code, r.lang_code, r.size_code, r.curve] == [*axes, plain_curve(axes, 5)]
+        assert [r.curve for r in rows] == sorted(r.curve for r in rows)
+        assert [r.shard for r in rows] == [k * 16 // len(rows) for k in range(len(rows))]
+        # a zone that the box of a shard leaves out holds no row of a value
+        boxes = hilbert.zones(sharded).collect()
+        probe = rows[len(rows) // 3].source
+        may = {b.shard for b in boxes if probe is not None and b.min_source is not None and b.min_source <= probe <= b.max_source}
+        assert {r.shard for r in rows if r.source == probe and probe is not None} <= may and (len(may) < 16 or probe is None)
+
+
 @pytest.mark.parametrize("bits", [1, 2, 3])
 def test_hilbert_curve_steps_by_one(spark, bits):
     n = 1 << bits
@@ -490,6 +559,21 @@ def test_vectors_against_brute_force(spark):
     assert vectors.near_duplicates(table.where("false")).count() == 0
 
 
+def test_vectors_of_one_id_have_links_of_their_own(spark):
+    rows = [(1, [1.0, 0.0, 0.0, 0.0]), (1, [0.0, 1.0, 0.0, 0.0]), (2, [1.0, 0.01, 0.0, 0.0]), (3, [1.0, 0.0, 0.01, 0.0]), (4, [0.0, 0.0, 0.0, 1.0])]
+    got = vectors.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    assert sorted((r.vec_id, r.n_links, r.component_id, r.kept) for r in got) == [(1, 0, 1, True), (1, 2, 1, True), (2, 2, 1, False), (3, 2, 1, False), (4, 0, 4, True)]
+
+
+def test_warc_reads_in_tasks_of_a_size(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(warc, "BIN_BYTES", 2000)
+    pages = spark.createDataFrame([(i, f"u{i}", prose(i, 40 + i % 7 * 30)) for i in range(120)], "page_id long, url string, html string")
+    index = warc.write(pages.repartition(3), str(tmp_path / "w"))
+    back = warc.read(index, str(tmp_path / "w"))
+    n = index.agg({"length": "sum"}).first()[0]
+    assert back.rdd.getNumPartitions() == -(-n // 2000) and back.count() == 120
+
+
 def test_warc_round_trip(spark, tmp_path):
     big, rows = "<p>" + "é" * 700, [(1, "u1", "short"), (2, "u2", "short")]
     rows += [(3, "u\r\n3", big), (4, None, big), (5, "u5", None), (6, "u6", "x" * 3_000_000), (5, "u5", big), (5, "u5", big), (None, "n", big), (7, "u7", "")]
