@@ -7,8 +7,8 @@ Readers take index rows in (file, offset) order, join ranges that lie close toge
 and check each payload against its digest.
 
 Of records with equal payloads of at least ``least`` bytes the one with the largest id is the
-response and the others revisit it (a hot payload is summed by digest before a join that AQE can
-split).
+response and the others revisit it (digests are summed before the join, which AQE can split, and only
+rows that a bitmap of repeated digests lets through take part in it).
 
 Defined results: a null html is an empty payload; a null URL is written as an empty one; a row with
 a null page_id revisits when others have its payload and an id, else it is a response; rows that
@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from .shared import map_rows, map_texts, pick, scratch, written
 
 LEAST, GAP, READ = 1000, 64 << 10, 8 << 20
-FILE_BYTES = 256 << 20
+FILE_BYTES, BIN_BYTES = 256 << 20, 4 << 20
 INDEX = "file string, offset long, length long, url string, digest string, page_id long, record_type string"
 _REVISIT = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -123,11 +123,19 @@ def write(pages: DataFrame, folder: str, least: int = LEAST) -> DataFrame:
     own = pick(pages, page_id="page_id", url="url", html="html").withColumn("digest", F.sha1(F.coalesce("html", F.lit("")).cast("binary")))
     large = F.coalesce(F.octet_length("html"), F.lit(0)) >= least
     keyed = own.withColumn("large", F.when(large, F.col("digest")))
-    many = keyed.where("large is not null and page_id is not null").groupBy("large").agg(F.max("page_id").alias("first"))
-    repeated = keyed.where("large is not null").groupBy("large").agg(F.count("*").alias("n")).where("n > 1")
-    many = many.join(repeated, "large", "left_semi").select(F.concat("large", F.lit("")).alias("_k"), "first")
-    dealt = keyed.join(many, F.concat(F.coalesce("large", F.concat(F.lit("-"), "digest")), F.lit("")) == F.col("_k"), "left").select("page_id", "url", "html", "digest", "first")
-    return written(map_texts(dealt, _writer(folder), INDEX), "warc-index")
+    many = keyed.where("large is not null").groupBy("large").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1 and first is not null")
+    many = written(many.select(F.col("large").alias("_k"), "first"), "repeated")
+    # a bitmap of fixed size tells which rows may have a repeated payload; only those are shuffled with their text
+    bits = 1 << 20
+    slot = lambda c: F.pmod(F.xxhash64(c), F.lit(bits))
+    word, bit = (lambda c: F.shiftright(slot(c), 6)), (lambda c: F.expr(f"shiftleft(1L, cast(pmod(xxhash64({c}), 64) as int))"))
+    bitmap = many.groupBy(word("_k").alias("_word")).agg(F.bit_or(bit("_k")).alias("_bits"))
+    marked = keyed.join(F.broadcast(bitmap), word("large") == F.col("_word"), "left")
+    may = F.coalesce(F.col("_bits").bitwiseAND(bit("large")) != 0, F.lit(False))
+    columns = ["page_id", "url", "html", "digest"]
+    alone = marked.where(~may).select(*columns, F.lit(None).cast("long").alias("first"))
+    shared = marked.where(may).join(many, F.concat("large", F.lit("")) == F.concat("_k", F.lit("")), "left").select(*columns, "first")
+    return written(map_texts(alone, _writer(folder), INDEX).unionByName(map_texts(shared, _writer(folder), INDEX)), "warc-index")
 
 
 def _reader(folder: str, with_payload: bool):
@@ -165,9 +173,14 @@ def _reader(folder: str, with_payload: bool):
 
 
 def read(index: DataFrame, folder: str, with_payload: bool = False) -> DataFrame:
-    """The records that the index rows name; filter the index first to read some of them."""
+    """The records that the index rows name; filter the index first to read some of them.
+
+    Rows of a file that lie in one bin of ``BIN_BYTES`` go to one task, so tasks follow the bytes they read."""
     schema = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long, url string" + ", payload binary" * with_payload
-    ordered = index.select("file", "offset", "length").repartitionByRange("file", "offset").sortWithinPartitions("file", "offset")
+    total = index.agg(F.sum("length")).first()[0] or 0
+    at = F.expr(f"offset div {BIN_BYTES}")
+    parts = max(1, -(-total // BIN_BYTES))
+    ordered = index.select("file", "offset", "length").repartition(parts, "file", at).sortWithinPartitions("file", "offset")
     return map_rows(ordered, _reader(folder, with_payload), schema)
 
 
