@@ -1,7 +1,8 @@
 """Sharding along a Hilbert curve, in DataFrame functions only.
 
-Metadata dimensions (source, language, size class) are quantised to ``BITS`` bits each; a row's curve
-index orders it, and the order is cut into runs of equal row counts, so each shard covers a compact
+Metadata dimensions (source, language, size class) are quantised to ``BITS`` bits each: source and language
+by the rank of the value among the different ones, in equal shares where these are more than codes, so
+that a code is a range of values and zones prune by value; a row's curve index orders it, and the order is cut into runs of equal row counts, so each shard covers a compact
 box of the metadata space and files can be pruned on several columns at once (``zones`` gives the
 boxes). The rank of a row comes from a histogram of (curve index, bucket of doc_id): sums over at
 most 2^(3 BITS) cells times ``spread`` buckets, added up in two levels, and row numbers within a bucket only. A hot
@@ -64,13 +65,28 @@ def curve_index(codes: list[Column], bits: int = BITS) -> Column:
     return F.aggregate(plane_bits, F.lit(0).cast("long"), lambda h, word: h * (1 << n) + word)
 
 
+def first_values(df: DataFrame, column: str, codes: int) -> list[str]:
+    """First values, in order, of at most ``codes`` ranges that hold equal numbers of the different values.
+
+    Ranks come from counts by the values' first two bytes and ranks within those, so no task sorts all values."""
+    head = F.substring(F.hex(F.col(column).cast("binary")), 1, 4)
+    values = df.where(F.col(column).isNotNull()).select(F.col(column).cast("string").alias("v"), head.alias("head")).distinct()
+    heads = values.groupBy("head").agg(F.count("*").alias("n"))
+    before = heads.select("head", F.coalesce(F.sum("n").over(Window.orderBy("head").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"), F.sum("n").over(Window.partitionBy()).alias("total"))
+    ranked = values.withColumn("nth", F.row_number().over(Window.partitionBy("head").orderBy("v")) - 1).join(before, "head")
+    at = F.expr(f"(before + nth) * least(total, {codes}) div total")
+    return sorted((r["v"] for r in ranked.groupBy(at.alias("at")).agg(F.min("v").alias("v")).collect()), key=lambda v: v.encode())
+
+
 def shard(docs: DataFrame, shards: int = SHARDS, bits: int = BITS, id_col: str = "doc_id", text_col: str = "text", rows_per_bucket: int = ROWS_PER_BUCKET) -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard, and the codes and curve index."""
     own = pick(docs, doc_id=id_col, text=text_col, source="source", lang="lang")
     text, cells = F.coalesce("text", F.lit("")), 1 << bits
-    code = lambda c: F.when(F.col(c).isNull(), 0).otherwise(1 + F.pmod(F.crc32(F.col(c).cast("binary")), F.lit(cells - 1))).cast("int")
+    firsts = {c: first_values(own, c, cells - 1) for c in ("source", "lang")}
+    # codes from 1: the number of code ranges that start at or before the value
+    code = lambda c: F.when(F.col(c).isNull(), 0).otherwise(F.size(F.filter(F.array(*[F.lit(v) for v in firsts[c]]).cast("array<string>"), lambda v: v <= F.col(c)))).cast("int")
     size = F.octet_length(text).cast("long") + 1
-    rows = own.select("doc_id", size.alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), code("source").alias("source_code"), code("lang").alias("lang_code"), F.least(F.floor(F.log2(size.cast("double"))), F.lit(cells - 1)).cast("int").alias("size_code"))
+    rows = own.select("doc_id", size.alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), "source", "lang", code("source").alias("source_code"), code("lang").alias("lang_code"), F.least(F.floor(F.log2(size.cast("double"))), F.lit(cells - 1)).cast("int").alias("size_code"))
     rows = rows.withColumn("curve", curve_index([F.col("source_code"), F.col("lang_code"), F.col("size_code")], bits))
     rows = written(rows, "curve")
     total = rows.count()
@@ -90,10 +106,10 @@ def shard(docs: DataFrame, shards: int = SHARDS, bits: int = BITS, id_col: str =
     at = F.expr(f"rank * {shards}L div {max(1, total)}L")
     placed = placed.withColumn("shard", at.cast("int"))
     slot = F.col("rank") - F.expr(f"(shard * {total}L + {shards - 1}) div {shards}")
-    return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", slot.cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "source_code", "lang_code", "size_code", "curve")
+    return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", slot.cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "source", "lang", "source_code", "lang_code", "size_code", "curve")
 
 
 def zones(sharded: DataFrame) -> DataFrame:
-    """The box of each shard: least and greatest code of each dimension, for pruning."""
-    bounds = [f(c).alias(f"{name}_{c}") for c in ("source_code", "lang_code", "size_code") for name, f in (("min", F.min), ("max", F.max))]
+    """The box of each shard: least and greatest value and code of each dimension, for pruning (nulls have code 0)."""
+    bounds = [f(c).alias(f"{name}_{c}") for c in ("source", "lang", "size", "source_code", "lang_code", "size_code") for name, f in (("min", F.min), ("max", F.max))]
     return sharded.groupBy("shard").agg(F.count("*").alias("n_rows"), F.sum("size").alias("bytes"), *bounds)
