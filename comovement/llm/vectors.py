@@ -9,9 +9,16 @@ the first block that finds it and to one slab there, so it is counted once witho
 anywhere; it is confirmed by its cosine in double precision on the vectors as given. Equal vectors
 are one class with a count, and a tile returns sums and a spanning forest, never pairs.
 
+In ``BLOCKS`` = 4 blocks a pair of unrelated vectors of 64 dimensions passes a block's budget with probability
+2e-6 (with eight: 8e-4), so next to nothing is confirmed in vain. What remains is the scan: the radius
+of a block is about that of the vectors' own spread along any coordinate, so slabs and the window on the
+second coordinate leave about half of all pairs to one product in single precision. Work thus grows
+with the square of the number of different vectors, by a small constant (see the README).
+
 Defined results: vectors that are null, empty, zero or hold null or non-finite components, and rows
 with a null vec_id, have no links and are kept; vectors of different lengths are not compared;
-repeated rows are vectors of their own; empty input gives no rows; extra columns are ignored.
+repeated rows are vectors of their own; rows that share a vec_id keep each vector's own links, and are one
+vertex where components are concerned; empty input gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,9 +28,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import components, contract, pick, written
+from .shared import components, contract, map_rows, pick, written
 
-LEAST, BLOCKS, TILE = 0.9, 8, 16384
+LEAST, BLOCKS, TILE = 0.9, 4, 16384
 
 
 def rotated(x: np.ndarray) -> np.ndarray:
@@ -63,7 +70,7 @@ def _deal(blocks: int, least: float, tile: int):
                 wide, share = _shares(turn.shape[1], blocks, least)
                 for k, budget in enumerate(share):
                     slab = np.floor(turn[:, k * wide] / (np.sqrt(budget) * (1 + 1e-9))).astype(np.int64)
-                    base = pd.DataFrame({"d": size, "block": k, "slab": slab, "halo": False, "rep": own["rep"].to_numpy(), "m": own["m"].to_numpy(), "v": own["v"].to_numpy()})
+                    base = pd.DataFrame({"d": size, "block": k, "slab": slab, "halo": False, "rep": own["rep"].to_numpy(), "half": own["half"].to_numpy(), "m": own["m"].to_numpy(), "v": own["v"].to_numpy()})
                     yield base
                     yield base.assign(slab=slab - 1, halo=True)
 
@@ -110,7 +117,7 @@ def _join(blocks: int, least: float):
                     np.add.at(links, q, weight[p])
                     label = contract(p, q, label)
         rep = pdf["rep"].to_numpy()
-        out = pd.DataFrame({"rep": rep, "links": links, "root": rep[label]})
+        out = pd.DataFrame({"rep": rep, "half": pdf["half"].to_numpy(), "links": links, "root": rep[label]})
         return out[(links > 0) | (label != np.arange(n))]
 
     return run
@@ -122,19 +129,21 @@ def near_duplicates(table: DataFrame, id_col: str = "vec_id", vector_col: str =
     good = F.col("vec_id").isNotNull() & F.coalesce(F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0), F.lit(False))
     keyed = own.withColumn("key", F.when(good, F.md5(F.col("v").cast("string").cast("binary"))))
     classes = keyed.where("key is not null").groupBy("key").agg(F.min("vec_id").alias("rep"), F.count("*").alias("m"), F.min("v").alias("v"))
-    classes = written(classes.withColumn("d", F.size("v")), "vectors")
-    dealt = classes.mapInPandas(_deal(blocks, least, tile), f"d int, block int, slab long, halo boolean, rep long, m long, v {classes.schema['v'].dataType.simpleString()}")
+    # rep and half a digest name a class, also where a vec_id has several vectors
+    half = F.conv(F.substring("key", 1, 15), 16, 10).cast("long")
+    classes = written(classes.withColumn("d", F.size("v")).withColumn("half", half), "vectors")
+    dealt = map_rows(classes, _deal(blocks, least, tile), f"d int, block int, slab long, halo boolean, rep long, half long, m long, v {classes.schema['v'].dataType.simpleString()}")
     dealt = written(dealt, "blocks")
     sizes = dealt.groupBy("d", "block", "slab").agg(F.ceil(F.count("*") / tile).cast("int").alias("tiles"))
     tiles = F.col("tiles")
     dealt = dealt.join(sizes.select((F.col("d") + 0).alias("d"), F.col("block"), F.col("slab"), "tiles"), ["d", "block", "slab"])
     dealt = dealt.withColumn("t", F.pmod(F.xxhash64("rep"), tiles).cast("int"))
     pairs = F.transform(F.sequence(F.lit(0), tiles - 1), lambda o: F.struct(F.least("t", o).alias("i"), F.greatest("t", o).alias("j")))
-    dealt = dealt.withColumn("p", F.explode(pairs)).select("d", "block", "slab", "p.i", "p.j", "halo", "rep", "m", "v", F.when(F.col("p.i") == F.col("p.j"), 3).when(F.col("t") == F.col("p.i"), 1).otherwise(2).alias("side"))
-    found = written(dealt.groupBy("d", "block", "slab", "i", "j").applyInPandas(_join(blocks, least), "rep long, links long, root long"), "found")
-    links = found.groupBy("rep").agg(F.sum("links").alias("links"))
+    dealt = dealt.withColumn("p", F.explode(pairs)).select("d", "block", "slab", "p.i", "p.j", "halo", "rep", "half", "m", "v", F.when(F.col("p.i") == F.col("p.j"), 3).when(F.col("t") == F.col("p.i"), 1).otherwise(2).alias("side"))
+    found = written(dealt.groupBy("d", "block", "slab", "i", "j").applyInPandas(_join(blocks, least), "rep long, half long, links long, root long"), "found")
+    links = found.groupBy("rep", "half").agg(F.sum("links").alias("links"))
     comp = components(found.where("rep <> root").selectExpr("rep u", "root v"))
-    state = classes.select("key", "rep", "m").join(links, "rep", "left").join(comp, F.col("rep") == F.col("node"), "left")
+    state = classes.select("key", "rep", "half", "m").join(links, ["rep", "half"], "left").join(comp, F.col("rep") == F.col("node"), "left")
     state = state.select(F.concat("key", F.lit("")).alias("_k"), (F.col("m") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"), F.coalesce("component", "rep").alias("component_id"))
     rows = keyed.select("vec_id", F.coalesce("key", F.concat(F.lit("-"), F.coalesce(F.col("vec_id").cast("string"), F.lit("")))).alias("key"))
     joined = rows.join(state, F.concat("key", F.lit("")) == F.col("_k"), "left")
