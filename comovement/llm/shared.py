@@ -188,16 +188,29 @@ def signed(h: np.ndarray) -> np.ndarray:
     return h.view(np.int64)
 
 
+def _bitmap(ids: DataFrame, key: str, bits: int):
+    """(one row for each word of a bitmap of 2^bits hashed ids, the word and the bit of a column)."""
+    slot = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << bits))
+    word, bit = (lambda c: F.shiftright(slot(c), 6)), (lambda c: F.expr(f"shiftleft(1L, cast(pmod(xxhash64({c}), 64) as int))"))
+    return ids.groupBy(word(key).alias("_word")).agg(F.bit_or(bit(key)).alias("_bits")), word, bit
+
+
 def among(df: DataFrame, id_col: str, ids: DataFrame, key: str, bits: int = 22) -> DataFrame:
     """Rows of df whose id is in ids. A bitmap of 2^bits hashed ids (a broadcast of fixed size) drops
     most other rows before df is shuffled; where ids are so many that it fills up, it drops none."""
-    slot = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << bits))
-    word, bit = (lambda c: F.shiftright(slot(c), 6)), (lambda c: F.expr(f"shiftleft(1L, cast(pmod(xxhash64({c}), 64) as int))"))
-    bitmap = ids.groupBy(word(key).alias("_word")).agg(F.bit_or(bit(key)).alias("_bits"))
+    bitmap, word, bit = _bitmap(ids, key, bits)
     kept = df.join(F.broadcast(bitmap), (word(id_col) == F.col("_word")) & (F.col("_bits").bitwiseAND(bit(id_col)) != 0), "left_semi")
     return kept.join(ids, F.col(id_col) == F.col(key), "left_semi")
 
 
+def split_among(df: DataFrame, id_col: str, ids: DataFrame, key: str, bits: int = 22) -> tuple[DataFrame, DataFrame]:
+    """(rows of df whose id is surely not in ids, the rest), by the same bitmap; rows with a null id are in the first."""
+    bitmap, word, bit = _bitmap(ids, key, bits)
+    marked = df.join(F.broadcast(bitmap), word(id_col) == F.col("_word"), "left")
+    may = F.col(id_col).isNotNull() & F.coalesce(F.col("_bits").bitwiseAND(bit(id_col)) != 0, F.lit(False))
+    return marked.where(~may).select(*df.columns), marked.where(may).select(*df.columns)
+
+
 def contract(a: np.ndarray, b: np.ndarray, label: np.ndarray) -> np.ndarray:
     """Least label of each vertex's component once the edges (a, b) are added."""
     while len(a):

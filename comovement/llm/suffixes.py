@@ -6,18 +6,21 @@ each window of LENGTH bytes has one, the leftmost least-hashed gram of ``GRAM``
 depends on the window's content alone. Equal windows hence have equal anchors at equal offsets, and
 the windows of one anchor form a range.
 
-1. Each task reduces its texts to ranges (anchor gram, hash of the whole range, place). Ranges that
-   repeat within the task are settled there, so a hot passage leaves a task once; the rest go by gram
-   to a partition, where grams that stand alone are dropped and whole ranges that stand earlier
-   elsewhere are settled.
-2. The ranges whose gram occurs in several contexts are left. Their suffixes, from the anchor to the
-   range's end with the bytes before the anchor attached, are sorted in each task, front-coded, and
-   sent as runs by gram. Runs are merged by a loser tree in which each head carries the length of its
-   common prefix with the last suffix out: only heads with equal such lengths are compared, from
-   there on. Neighbours' common prefixes then tell, for each split of a window into bytes before and
-   from the anchor, which suffixes can agree, and the bytes before the anchor decide.
-
-Every step is exact up to 96-bit hash equality of ranges that also share their gram.
+1. Each task reduces its texts to ranges (anchor gram, hash of the whole range, place). Of ranges that
+   repeat within a batch of the task the first stands for all, so a hot passage leaves a batch once; the
+   rest go by gram to a partition, where grams that stand alone are dropped.
+2. All other ranges are decided by sorted suffixes. Each, from its anchor to its end with the bytes
+   before the anchor attached, is sorted among those of its task, front-coded, and sent in runs by gram.
+   Runs are merged by a loser tree in which each head carries the length of its common prefix with the
+   last suffix out: only heads with equal such lengths are compared, from there on. Of equal suffixes
+   with equal bytes before them all but the first go; for the others neighbours' common prefixes tell,
+   for each split of a window into bytes before and from the anchor, which suffixes can agree, and the
+   bytes before the anchor decide.
+
+Step 1 settles repeats inside a batch by 96-bit hash equality of ranges that also share their gram (64
+bits more); what is decided between batches is decided by bytes. Partitions follow the bytes of text,
+``PART_BYTES`` each, so what a task gathers does not grow with the table: of one range it gathers as many
+copies as there are batches at most.
 
 Defined results: a null text is empty; texts under LENGTH bytes lose nothing and remove nothing; a
 null doc_id comes before all others; rows that repeat doc_id and text are one document and get one
@@ -36,10 +39,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import map_rows, map_texts, mix, pick, written
+from .shared import among, map_rows, map_texts, mix, pick, split_among, written
 
 LENGTH, GRAM = 100, 32
-SEGMENT, BATCH_BYTES = 1 << 20, 16 << 20
+SEGMENT, BATCH_BYTES, PART_BYTES = 1 << 20, 16 << 20, 16 << 20
 NO_ID = -(2**63)
 
 _RANGE = np.dtype([("gram", "<u8"), ("whole", "<u8"), ("more", "<u4"), ("d", "<i8"), ("j", "<i4"), ("lo", "<u4"), ("before", "u1"), ("span", "u1")])
@@ -157,7 +160,8 @@ def _unpacked(blob: bytes) -> np.ndarray:
 
 
 def _settle(length: int):
-    """Blobs of one partition to rows (d, j, lo, hi, before): settled spans (before null), and ranges left open."""
+    """Blobs of one partition to rows (d, j, lo, hi, before): settled spans (before null), and ranges left open,
+    which are those whose gram stands in some other range too."""
 
     def run(batches):
         held, spans = [], []
@@ -165,17 +169,12 @@ def _settle(length: int):
             for settled, blob in zip(pdf["settled"], pdf["blob"]):
                 (spans if settled else held).append(blob)
         done = np.concatenate([np.frombuffer(b, np.int64).reshape(-1, 4) for b in spans]) if spans else np.empty((0, 4), np.int64)
-        held = np.concatenate([_unpacked(b) for b in held]) if held else np.empty(0, _RANGE)
-        if len(held):
-            r, first = _firsts(held)
-            gone = r[~first]
-            if len(gone):
-                done = np.concatenate([done, np.stack([gone["d"], gone["j"], gone["lo"], gone["lo"].astype(np.int64) + gone["span"] + length], axis=1)])
-            r = r[first]
-            same = r["gram"][1:] == r["gram"][:-1]
-            r = r[np.append(False, same) | np.append(same, False)]
-        else:
-            r = held
+        r = np.concatenate([_unpacked(b) for b in held]) if held else np.empty(0, _RANGE)
+        if len(r):
+            order = np.argsort(r["gram"], kind="stable")
+            gram = r["gram"][order]
+            same = gram[1:] == gram[:-1]
+            r = r[order[np.append(False, same) | np.append(same, False)]]
         s = _spans(*done.T)
         yield pd.DataFrame({"d": s[:, 0], "j": s[:, 1], "lo": s[:, 2], "hi": s[:, 3], "before": pd.array([None] * len(s), "Int64")})
         lo = r["lo"].astype(np.int64)
@@ -289,11 +288,39 @@ def _runs(parts: int, length: int, gram: int):
     return run
 
 
+def singled(block: list, near: list[int]) -> tuple[list, list[int], list[tuple]]:
+    """The block with the first of equal suffixes that also have equal bytes before them, its common prefixes, and
+    the spans (d, j, start, end) of the others."""
+    kept, apart, spans = [], [], []
+    seen: dict[bytes, int] = {}
+    low, size = 1 << 30, -1  # least common prefix since the last kept entry; length of the suffix before
+    for entry, k in zip(block, near):
+        suffix, left, *place = entry
+        if not k == len(suffix) == size:
+            seen = {}
+        low, size = min(low, k), len(suffix)
+        at = seen.get(left)
+        if at is None:
+            seen[left] = len(kept)
+            kept.append(entry)
+            apart.append(low)
+            low = 1 << 30
+            continue
+        if tuple(place) < tuple(kept[at][2:]):
+            kept[at], place = entry, kept[at][2:]
+        d, j, a = place
+        spans.append((d, j, a - len(left), a + len(suffix)))
+    return kept, apart, spans
+
+
 def resolved(block: list, near: list[int], length: int, gram: int):
     """(d, j, start, end) covered by earlier equal windows, of sorted suffixes that share their gram.
 
     block: (suffix, bytes before it, d, j, place); near: common prefix of each with the one before."""
+    block, near, spans = singled(block, near)
     m = len(block)
+    if m < 2:
+        return spans
     lows, highs = [length] * m, [-1] * m
     most = max(near[1:])
     for before in range(max(0, length - most), length - gram + 1):
@@ -317,7 +344,7 @@ def resolved(block: list, near: list[int], length: int, gram: int):
                             i = here[3]
                             lows[i], highs[i] = min(lows[i], before), max(highs[i], before)
             at = end
-    return [(block[i][2], block[i][3], block[i][4] - highs[i], block[i][4] - lows[i] + length) for i in range(m) if highs[i] >= 0]
+    return spans + [(block[i][2], block[i][3], block[i][4] - highs[i], block[i][4] - lows[i] + length) for i in range(m) if highs[i] >= 0]
 
 
 def _merge(length: int, gram: int):
@@ -369,10 +396,10 @@ def _cut(carried: list[str], with_text: bool):
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, gram: int = GRAM, with_text: bool = False, carried: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row (and kept, the remaining text, and carried columns)."""
-    spark = docs.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     own = pick(docs, doc_id=id_col, text=text_col, **{c: c for c in carried}).withColumn("d", F.coalesce("doc_id", F.lit(NO_ID)))
-    if own.groupBy("d").agg(F.count("*").alias("n")).where("n > 1").limit(1).count():
+    repeats, size = own.groupBy("d").agg(F.count("*").alias("n"), F.sum(F.octet_length("text")).alias("bytes")).agg(F.max("n"), F.sum("bytes")).first()
+    parts = max(8, -(-(size or 0) // PART_BYTES))
+    if (repeats or 0) > 1:
         texts = own.select("d", F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("md5")).distinct()
         order = texts.groupBy("d").agg(F.array_sort(F.collect_list("md5")).alias("all"))
         numbered = order.select("d", F.posexplode("all").alias("j", "md5"))
@@ -384,13 +411,18 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     blobs = map_texts(source, _reduce_texts(parts, length, gram), "part int, settled boolean, blob binary")
     marks = written(map_rows(blobs.repartitionById(parts, "part"), _settle(length), "d long, j int, lo long, hi long, before long"), "ranges")
     left = marks.where("before is not null").groupBy("d", "j").agg(F.collect_list(F.struct("lo", "hi", "before")).alias("ranges"))
-    runs = map_texts(source.join(left, ["d", "j"]), _runs(parts, length, gram), "part int, shared binary, sizes binary, rests binary, left_sizes binary, lefts binary, places binary")
+    few = written(left, "open")
+    runs = map_texts(among(source, "d", few.select(F.col("d").alias("_d")).distinct(), "_d").join(few, ["d", "j"]), _runs(parts, length, gram), "part int, shared binary, sizes binary, rests binary, left_sizes binary, lefts binary, places binary")
     more = map_rows(runs.repartitionById(parts, "part"), _merge(length, gram), "d long, j int, lo long, hi long")
     spans = marks.where("before is null").select("d", "j", "lo", "hi").unionByName(more)
-    spans = spans.groupBy("d", "j").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
+    spans = written(spans.groupBy("d", "j").agg(F.collect_list(F.struct("lo", "hi")).alias("spans")), "spans")
     more = "".join(f", {c} {own.schema[c].dataType.simpleString()}" for c in carried)
-    joined = own.join(spans, ["d", "j"], "left").select("d", "j", "text", "spans", *carried)
-    out = map_texts(joined, _cut(list(carried), with_text), "d long, j int, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept string" + more)
+    schema = "d long, j int, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept string" + more
+    # texts that a bitmap of cut documents leaves out are not shuffled
+    whole, some = split_among(own, "d", spans.select(F.col("d").alias("_d")), "_d")
+    whole = whole.select("d", "j", "text", F.lit(None).cast(spans.schema["spans"].dataType).alias("spans"), *carried)
+    some = some.join(spans, ["d", "j"], "left").select("d", "j", "text", "spans", *carried)
+    out = map_texts(whole, _cut(list(carried), with_text), schema).unionByName(map_texts(some, _cut(list(carried), with_text), schema))
     columns = [F.when(F.col("d") != NO_ID, F.col("d")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256", *["kept"] * with_text, *carried]
     return out.select(*columns)
 

@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import map_rows, map_texts, pick, scratch, written
+from .shared import map_rows, map_texts, pick, scratch, split_among, written
 
 LEAST, GAP, READ = 1000, 64 << 10, 8 << 20
 FILE_BYTES, BIN_BYTES = 256 << 20, 4 << 20
@@ -126,15 +126,10 @@ def write(pages: DataFrame, folder: str, least: int = LEAST) -> DataFrame:
     many = keyed.where("large is not null").groupBy("large").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1 and first is not null")
     many = written(many.select(F.col("large").alias("_k"), "first"), "repeated")
     # a bitmap of fixed size tells which rows may have a repeated payload; only those are shuffled with their text
-    bits = 1 << 20
-    slot = lambda c: F.pmod(F.xxhash64(c), F.lit(bits))
-    word, bit = (lambda c: F.shiftright(slot(c), 6)), (lambda c: F.expr(f"shiftleft(1L, cast(pmod(xxhash64({c}), 64) as int))"))
-    bitmap = many.groupBy(word("_k").alias("_word")).agg(F.bit_or(bit("_k")).alias("_bits"))
-    marked = keyed.join(F.broadcast(bitmap), word("large") == F.col("_word"), "left")
-    may = F.coalesce(F.col("_bits").bitwiseAND(bit("large")) != 0, F.lit(False))
+    alone, shared = split_among(keyed, "large", many, "_k", 20)
     columns = ["page_id", "url", "html", "digest"]
-    alone = marked.where(~may).select(*columns, F.lit(None).cast("long").alias("first"))
-    shared = marked.where(may).join(many, F.concat("large", F.lit("")) == F.concat("_k", F.lit("")), "left").select(*columns, "first")
+    alone = alone.select(*columns, F.lit(None).cast("long").alias("first"))
+    shared = shared.join(many, F.concat("large", F.lit("")) == F.concat("_k", F.lit("")), "left").select(*columns, "first")
     return written(map_texts(alone, _writer(folder), INDEX).unionByName(map_texts(shared, _writer(folder), INDEX)), "warc-index")
 
 
