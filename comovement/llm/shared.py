@@ -75,15 +75,24 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def written_alone(spark: SparkSession, make, name: str) -> tuple[DataFrame, str]:
-    """(written(make(), name), its path); the tables that ``make`` wrote on the way are removed."""
-    since = len(_FOLDERS)
-    out = written(make(), name)
-    *on_the_way, own = _FOLDERS[since:]
-    for item in on_the_way:
-        remove(*item)
-    _FOLDERS[since:] = [own]
-    return out, own[1]
+@contextlib.contextmanager
+def recorded():
+    """Gives the list of tables written inside, filled at its end."""
+    since, made = len(_FOLDERS), []
+    yield made
+    made += _FOLDERS[since:]
+
+
+def drop(made: list[tuple[SparkSession, str]], docs: DataFrame) -> None:
+    """Removes tables that docs does not read."""
+    names = {path.rsplit("/", 1)[-1] for _, path in made}
+    read = {n for f in docs.inputFiles() for n in f.split("/") if n in names} if made else set()
+    for item in list(made):
+        if item[1].rsplit("/", 1)[-1] not in read:
+            remove(*item)
+            made.remove(item)
+            if item in _FOLDERS:
+                _FOLDERS.remove(item)
 
 
 def pick(df: DataFrame, **columns: str) -> DataFrame:
