@@ -6,17 +6,38 @@ return the columns of ``documents``; ``run`` writes each stage as Parquet and re
 
 from __future__ import annotations
 
+import functools
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from comovement.llm import decontaminate, langid, minhash, packing, suffixes
-from comovement.llm.shared import remove, written, written_alone
+from comovement.llm.shared import drop, recorded, written
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 LEAST_SCORE = 0.2
 """Texts whose language is less sure than this are rejected, as are those without letters."""
 
 
+_MADE: list = []
+
+
+def stage(f):
+    """A stage, which first drops the tables that the stage before it wrote on its way: they are not needed once
+    that one's rows are written, as they are between stages. Tables that docs still reads stay."""
+
+    @functools.wraps(f)
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        drop(_MADE, docs)
+        with recorded() as made:
+            out = f(spark, docs, sf_dir)
+        _MADE.extend(made)
+        return out
+
+    return run_stage
+
+
+@stage
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents with a recognisable language.
 
@@ -26,6 +47,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return found.where((F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SCORE)).select(*COLUMNS)
 
 
+@stage
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of each near-duplicate group: the one with the least id.
 
@@ -41,6 +63,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return kept.join(repeated, "doc_id", "left_anti").select(*COLUMNS).unionByName(once.select(*COLUMNS))
 
 
+@stage
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Removes byte strings that also start earlier; documents left without text go.
 
@@ -51,6 +74,7 @@ def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     return kept.withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
+@stage
 def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents that hold no benchmark item.
 
@@ -58,6 +82,7 @@ def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return decontaminate.clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).select(*COLUMNS)
 
 
+@stage
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Packs what is left into sequences: null and empty texts as the end id alone, repeated rows one by one."""
     return packing.pack(docs)
@@ -69,13 +94,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages to documents; the rows of the last one.
-
-    A stage's table is removed once the next one is written, with what the stages wrote on their way."""
-    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
-    for _, stage in STAGES[:-1]:
-        docs, path = written_alone(spark, lambda: stage(spark, docs, sf_dir), "stage")  # noqa: B023
-        if before:
-            remove(spark, before)
-        before = path
+    """Applies the stages to documents; the rows of the last one. A stage's table goes once the next one is written."""
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), []
+    for _, step in STAGES[:-1]:
+        out = step(spark, docs, sf_dir)
+        with recorded() as made:
+            docs = written(out, "stage")
+        drop(before, docs)
+        before = made
     return STAGES[-1][1](spark, docs, sf_dir)
