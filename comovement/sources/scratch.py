@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+FOLDERS: list[tuple[SparkSession, str]] = []
+"""What was made here and is still to be removed."""
+
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session, else one set here (tests)."""
+    """spark.checkpoint.dir of the session; where it is unset (tests, one machine) a folder is set here."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="comovement-"))
@@ -18,7 +22,22 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    """A new path in the shared folder, removed when the driver's interpreter ends."""
+    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    FOLDERS.append((spark, path))
+    return path
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
+
+
+@atexit.register
+def _remove_all() -> None:
+    for spark, path in FOLDERS:
+        if spark.sparkContext._jsc is not None and not spark.sparkContext._jsc.sc().isStopped():
+            remove(spark, path)
 
 
 def written(df: DataFrame, name: str) -> DataFrame:

@@ -10,7 +10,6 @@ from __future__ import annotations
 
 import json
 import sys
-import tempfile
 from dataclasses import replace
 
 
@@ -28,6 +27,7 @@ def session(cores: int):
 def main(sf_dir: str = "/root/testdata/sf0.1", *names: str) -> None:
     from comovement import points, registry, workloads
     from comovement.params import JoinParams
+    from comovement.sources.scratch import scratch
 
     params = JoinParams(10.0, registry.P10.eps_t_us, 5 * registry.HOUR)
     made = {
@@ -39,19 +39,17 @@ def main(sf_dir: str = "/root/testdata/sf0.1", *names: str) -> None:
         "index": lambda pts, d: workloads.index_cost(pts, params, d),
     }
     for name in names or (*made, "cores"):
-        with tempfile.TemporaryDirectory() as folder:
-            if name == "cores":
-                seconds = {}
-                for cores in (1, 2, 4):
-                    spark = session(cores)
-                    pts = points.companions(registry.raw(spark, sf_dir))
-                    workloads.timings(points.portion(pts, 1), params, f"{folder}/warm{cores}", ("indexed",))
-                    row = workloads.timings(pts, params, f"{folder}/{cores}", ("indexed",))[0]
-                    seconds[cores] = row["join_s"] + row["refine_s"]
-                    spark.stop()
-                rows = workloads.speedup(seconds)
-            else:
-                rows = made[name](points.companions(registry.raw(session(8), sf_dir)), folder)
+        if name == "cores":
+            seconds = {}
+            for cores in (1, 2, 4):
+                spark = session(cores)
+                row = workloads.timings(points.companions(registry.raw(spark, sf_dir)), params, scratch(spark, "cores"), ("indexed",))[0]
+                seconds[cores] = row["join_s"] + row["refine_s"]
+                spark.stop()
+            rows = workloads.speedup(seconds)
+        else:
+            spark = session(8)
+            rows = made[name](points.companions(registry.raw(spark, sf_dir)), scratch(spark, name))
         print(json.dumps({"experiment": name, "rows": rows}), flush=True)
 
 
