@@ -2,12 +2,9 @@
 
 from __future__ import annotations
 
-import atexit
 import contextlib
 import ctypes
 import gc
-import tempfile
-import uuid
 
 import numpy as np
 import pandas as pd
@@ -18,42 +15,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StructType
 
+from ..sources.scratch import FOLDERS, remove, scratch, shared_folder  # noqa: F401
+
 ASCII_LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 """bytes.translate table that lower-cases A-Z only."""
 
-_FOLDERS: list[tuple[SparkSession, str]] = []
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, else one set here (tests)."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        folder = spark.sparkContext.getCheckpointDir()
-    if not folder:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="comovement-"))
-        folder = spark.sparkContext.getCheckpointDir()
-    return folder.rstrip("/")
-
-
-def scratch(spark: SparkSession, name: str) -> str:
-    """A new path in the shared folder, removed when the driver's interpreter ends."""
-    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-    if not _FOLDERS:
-        atexit.register(_remove_all)
-    _FOLDERS.append((spark, path))
-    return path
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
-
-
-def _remove_all() -> None:
-    for spark, path in _FOLDERS:
-        if spark.sparkContext._jsc is not None and not spark.sparkContext._jsc.sc().isStopped():
-            remove(spark, path)
-
 
 @contextlib.contextmanager
 def small_batches(spark: SparkSession):
@@ -78,9 +44,9 @@ def written(df: DataFrame, name: str) -> DataFrame:
 @contextlib.contextmanager
 def recorded():
     """Gives the list of tables written inside, filled at its end."""
-    since, made = len(_FOLDERS), []
+    since, made = len(FOLDERS), []
     yield made
-    made += _FOLDERS[since:]
+    made += FOLDERS[since:]
 
 
 def drop(made: list[tuple[SparkSession, str]], docs: DataFrame) -> None:
@@ -91,8 +57,8 @@ def drop(made: list[tuple[SparkSession, str]], docs: DataFrame) -> None:
         if item[1].rsplit("/", 1)[-1] not in read:
             remove(*item)
             made.remove(item)
-            if item in _FOLDERS:
-                _FOLDERS.remove(item)
+            if item in FOLDERS:
+                FOLDERS.remove(item)
 
 
 def pick(df: DataFrame, **columns: str) -> DataFrame:
