@@ -18,7 +18,7 @@ class SubtrajectoryJoin:
     """All pairs of maximal matching subtrajectories.
 
     method: auto, naive, slab_nested_loop, sweep, basic, prepart, indexed or gridtile (the last for
-    delta_t = 0). refine: exact, rounds (exact, by window functions), windowed_span or windowed_lifespan.
+    delta_t = 0, or with complete=True and a windowed refine, which finds breaks and misses afterwards). refine: exact, rounds (exact, by window functions), windowed_span or windowed_lifespan.
     options: n_slabs, cap_fraction, dedupe, n_parts, nx, ny, nt (grid tiles), materialize (write the pairs before
     refining, as a chain of two jobs does), spatial_index and traj_index (False: indexed without one of its indexes,
     on a prepared store)."""
@@ -38,8 +38,8 @@ class SubtrajectoryJoin:
         if method == "auto":
             tree = tree or quadtree.build(left, self.options.get("cap_fraction", 0.03))
             method = planner.choose_method(left, self.params, tree)
-        if method == "gridtile" and self.params.delta_t_us > 0:
-            raise ValueError("gridtile gives pairs only: it is valid for delta_t = 0")
+        if method == "gridtile" and self.params.delta_t_us > 0 and not (self.options.get("complete") and self.refine.startswith("windowed_")):
+            raise ValueError("gridtile gives pairs only: it is valid for delta_t = 0, or complete=True with a windowed refine")
         if prepared is not None and right is None and not carry and method in ("prepart", "indexed") and self.params.metric in CELL_SAFE:
             jp = pointjoin.stored(left.sparkSession, prepared, self.params, method == "indexed" and self.options.get("spatial_index", True), self.options.get("traj_index", True))
         else:

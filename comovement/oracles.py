@@ -134,6 +134,7 @@ and not exists (select 1 from pts o where o.traj = c.r_traj and o.seq <> c.r_seq
     "match_two_relation": f"with {base(True)}, l as (select * from pts where traj < 1000000), r as (select * from pts where traj >= 1000000), jp as ({pairs(SET_A, 'true', 'l', 'r')}), {matches(SET_A)} select * from m",
     "match_windowed_span": windowed(SET_B, "span"),
     "match_windowed_lifespan": windowed(SET_B, "lifespan"),
+    "match_grid_complete": windowed(SET_B, "lifespan"),
     "match_delta_zero_grid": match_query(SET_C),
     "match_whole": f"""with {base(True)}, jp as ({pairs(SET_A, 'a.traj < b.traj')}), n as (select traj, count(*) as k, min(t) as lo, max(t) as hi from pts group by 1),
 c as (select r_traj, s_traj, count(distinct r_seq) as cr, count(distinct s_seq) as cs from jp group by 1, 2)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import bisect
 import math
+import warnings
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, Window
@@ -41,12 +42,17 @@ class Slabs:
         return [(k, edges[k], edges[k + 1]) for k in range(self.count)]
 
 
-def uniform(pts: DataFrame, n: int) -> Slabs:
-    """n slabs of equal duration; only the ends of the time span come to the driver."""
+def uniform(pts: DataFrame, n: int, largest_gap_us: int | None = None) -> Slabs:
+    """n slabs of equal duration; only the ends of the time span come to the driver.
+
+    Warns where the slabs are narrower than the largest gap between samples of a trajectory, if that is given
+    (``points.summary`` has it): a point's neighbours may then be slabs away."""
     lo, hi = pts.agg(F.min("t"), F.max("t")).first()
     if lo is None:
         return Slabs(())
     width = max(1, -(-(hi - lo + 1) // n))
+    if largest_gap_us is not None and width < largest_gap_us:
+        warnings.warn(f"slabs of {width} us are narrower than the largest gap of {largest_gap_us} us", stacklevel=2)
     return Slabs(tuple(lo + k * width for k in range(1, n)))
 
 

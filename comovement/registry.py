@@ -352,6 +352,12 @@ def match_delta_zero_grid(spark, d):
     return matched(spark, d, SET_C, "gridtile")
 
 
+@query
+def match_grid_complete(spark, d):
+    """The tile grid's pairs, breaks and misses found from them afterwards."""
+    return matched(spark, d, SET_B, "gridtile", refine="windowed_lifespan", complete=True)
+
+
 @query
 def match_whole(spark, d):
     """Whole trajectories; the twins have no breaks here, so that there are some."""

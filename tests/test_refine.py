@@ -90,6 +90,14 @@ def test_methods_agree_whatever_the_slabs(spark, sf_dir):
     assert {(s, j, r, i) for r, i, _, s, j, _ in rows} == {(r, i, s, j) for r, i, _, s, j, _ in rows}
 
 
+def test_narrow_slabs_warn(spark):
+    line = spark.createDataFrame([(1, t, 0.0, 0.0, t) for t in (0, 10, 90)], "traj long, t long, x double, y double, pid long")
+    gap = points.summary(line).first().max_gap
+    with pytest.warns(UserWarning, match="narrower"):
+        partitioning.uniform(line, 9, gap)
+    assert partitioning.uniform(line, 1, gap).count == 1
+
+
 def test_no_nested_loops(spark, sf_dir):
     from comovement.operators.pointjoin import joining_pairs
     from comovement.sources.tables import table
