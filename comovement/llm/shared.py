@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
-import gc
 
 import numpy as np
 import pandas as pd
@@ -80,7 +79,6 @@ SLICE_BYTES, BATCH_BYTES = 1 << 20, 8 << 20
 
 def _give_back() -> None:
     """Hands memory that a kernel no longer uses back to the system; its worker may wait long for the next task."""
-    gc.collect()
     pa.default_memory_pool().release_unused()
     trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
     if trim is not None:
