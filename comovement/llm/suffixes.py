@@ -46,6 +46,8 @@ SEGMENT, BATCH_BYTES, PART_BYTES = 1 << 20, 16 << 20, 16 << 20
 NO_ID = -(2**63)
 
 _RANGE = np.dtype([("gram", "<u8"), ("whole", "<u8"), ("more", "<u4"), ("d", "<i8"), ("j", "<i4"), ("lo", "<u4"), ("before", "u1"), ("span", "u1")])
+_SENT = np.dtype([(f, _RANGE[f].str) for f in ("gram", "d", "j", "lo", "before", "span")])
+"""A range as it leaves its batch: the hashes of the whole range have done their work there."""
 
 
 class Anchors:
@@ -120,7 +122,7 @@ def _reduce_texts(parts: int, length: int, gram: int):
         order = np.lexsort((r["lo"], r["d"], part))
         r, part = r[order], part[order]
         cuts = np.flatnonzero(np.append(True, part[1:] != part[:-1]))
-        rows = [(int(part[a]), False, b"".join(r[f][a:b].tobytes() for f in r.dtype.names)) for a, b in zip(cuts, np.append(cuts[1:], len(r)))]
+        rows = [(int(part[a]), False, b"".join(r[f][a:b].tobytes() for f in _SENT.names)) for a, b in zip(cuts, np.append(cuts[1:], len(r)))]
         s = _spans(gone["d"], gone["j"], gone["lo"], gone["lo"] + gone["span"] + np.uint32(length))
         place = (mix(s[:, 0].view(np.uint64)) % np.uint64(parts)).astype(np.int64) if len(s) else np.empty(0, np.int64)
         order = np.argsort(place, kind="stable")
@@ -151,11 +153,11 @@ def _reduce_texts(parts: int, length: int, gram: int):
 
 
 def _unpacked(blob: bytes) -> np.ndarray:
-    n = len(blob) // _RANGE.itemsize
-    r, at = np.empty(n, _RANGE), 0
-    for f in _RANGE.names:
-        r[f] = np.frombuffer(blob, _RANGE[f], n, at)
-        at += n * _RANGE[f].itemsize
+    n = len(blob) // _SENT.itemsize
+    r, at = np.empty(n, _SENT), 0
+    for f in _SENT.names:
+        r[f] = np.frombuffer(blob, _SENT[f], n, at)
+        at += n * _SENT[f].itemsize
     return r
 
 
@@ -169,7 +171,7 @@ def _settle(length: int):
             for settled, blob in zip(pdf["settled"], pdf["blob"]):
                 (spans if settled else held).append(blob)
         done = np.concatenate([np.frombuffer(b, np.int64).reshape(-1, 4) for b in spans]) if spans else np.empty((0, 4), np.int64)
-        r = np.concatenate([_unpacked(b) for b in held]) if held else np.empty(0, _RANGE)
+        r = np.concatenate([_unpacked(b) for b in held]) if held else np.empty(0, _SENT)
         if len(r):
             order = np.argsort(r["gram"], kind="stable")
             gram = r["gram"][order]
