@@ -4,12 +4,12 @@ A window of a text has as many words as an item. It is fingerprinted where enoug
 in items of that size at all (a window below that count cannot reach the threshold): 128 bits, the
 majority of each bit over its shingles, each counted as often as it occurs. The fingerprints of items
 of one size stand in an index of four blocks of 32 bits, each in two halves of 16: by the pigeonhole
-(``shares``) a fingerprint within ``RADIUS`` = 37 differs in at most 9, 9, 8 or 8 bits in one of the
+(``shares``) a fingerprint within ``RADIUS`` = 38 differs in at most 9, 9, 9 or 8 bits in one of the
 blocks, and so in at most 4 or 3 in one of its halves. Half values that near are enumerated, or
 compared one by one where the index has fewer of them; that gives every item within the radius and
-about 3 % of the others. Those are verified: the exact share of the item's shingles, each weighted by
+about 4 % of the others. Those are verified: the exact share of the item's shingles, each weighted by
 how often it occurs, that the window holds. A text shorter than the item is one window. A pair at
-exactly the threshold lies beyond the radius with probability 0.007, and a window is one of several.
+exactly the threshold lies beyond the radius with probability 0.004, and a window is one of several.
 
 Documents are scanned map-side against the benchmark, in blocks of at most ``BLOCK_BYTES`` of item
 text (an index of about 40 bytes for each byte of short words, in flat arrays), so what is sent to
@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from .licenses import WORD_BYTES
 from .shared import WordHashes, map_texts, mix, pick, shingle_hashes
 
-WIDTH, THRESHOLD, RADIUS = 5, 0.8, 37
+WIDTH, THRESHOLD, RADIUS = 5, 0.8, 38
 BLOCK_BYTES = 8 << 20
 BLOCKS, HALVES = 4, 8
 """A fingerprint of 128 bits is four blocks of 32 bits, or eight halves of 16."""
