@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from . import metrics, points
 from .engine import SubtrajectoryJoin
-from .operators import pointjoin, refine
+from .operators import blocks, pointjoin, refine
 from .params import HOUR, JoinParams
 from .plans import partitioning, quadtree
 from .sources import store
@@ -37,9 +37,10 @@ def vary_eps_t(pts: DataFrame, eps_sp: float = 10.0, minutes: Iterable[int] = EP
 
 
 def vary_eps_sp(pts: DataFrame, eps_t_us: int = 2 * HOUR, radii: Iterable[float] = EPS_SP) -> DataFrame:
-    """Joining pairs for each radius, a join each, as the radius shapes the cells."""
-    slabs, tree = partitioning.equi_depth(pts, 16), quadtree.build(pts, 0.03)
-    return _union(pointjoin.joining_pairs(pts, None, JoinParams(e, eps_t_us), "indexed", slabs=slabs, tree=tree).agg(F.lit(float(e)).alias("eps_sp"), F.count("*").alias("n_jp")) for e in radii)
+    """Joining pairs for each radius. One join at the largest radius answers all smaller ones, counted in its blocks."""
+    radii = [float(e) for e in radii]
+    n = blocks.count_by_radius(pts, JoinParams(max(radii), eps_t_us), radii, quadtree.build(pts, 0.03))
+    return n.select(F.explode(F.array(*[F.struct(F.lit(e).alias("eps_sp"), F.col(f"n{k}").alias("n_jp")) for k, e in enumerate(radii)])).alias("r")).select("r.*")
 
 
 def vary_delta_t(pts: DataFrame, eps_sp: float = 10.0, eps_t_us: int = 2 * HOUR, hours: Iterable[int] = DELTA_T_HOURS) -> DataFrame:

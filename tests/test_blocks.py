@@ -56,3 +56,13 @@ def test_no_pair_is_shuffled(spark, sf_dir, name):
     """The points are shuffled, by trajectory and by block; pairs are found and refined in one task, without a join."""
     found = plan(registry.QUERIES[name](spark, sf_dir))
     assert "Join" not in found and "mapInPandas" in found.replace("MapInPandas", "mapInPandas")
+
+
+def test_radii_in_one_join(spark, sf_dir):
+    """One join for all radii, with the counts of a join each."""
+    from comovement import workloads
+
+    pts = registry.events(spark, sf_dir)
+    found = workloads.vary_eps_sp(pts)
+    assert "Join" not in plan(found)
+    assert rows(found) == sorted((pointjoin.joining_pairs(pts, None, JoinParams(e, 2 * HOUR), "basic").count(), e)[::-1] for e in workloads.EPS_SP)
