@@ -66,3 +66,15 @@ def test_radii_in_one_join(spark, sf_dir):
     found = workloads.vary_eps_sp(pts)
     assert "Join" not in plan(found)
     assert rows(found) == sorted((pointjoin.joining_pairs(pts, None, JoinParams(e, 2 * HOUR), "basic").count(), e)[::-1] for e in workloads.EPS_SP)
+
+
+def test_intermediate_counts(spark, odd):
+    """Pairs, breaks and misses counted in blocks, as counted from the pairs; the pairs are not joined a second time."""
+    from comovement import metrics
+
+    params = JoinParams(1.0, 6)
+    jp = pointjoin.joining_pairs(odd, None, params, "naive")
+    expected = (odd.count(), jp.count(), classify.breaking_points(odd, jp).count(), classify.candidate_misses(odd, jp).count())
+    found = metrics.intermediate(odd, params, quadtree.build(odd, 0.05))
+    assert tuple(found.first())[:4] == expected
+    assert "SortMergeJoin" not in plan(found)
