@@ -51,7 +51,7 @@ def plan(df):
     return df._jdf.queryExecution().executedPlan().toString()
 
 
-@pytest.mark.parametrize("name", ["match_exact_indexed"])
+@pytest.mark.parametrize("name", ["match_exact_indexed", "match_exact_auto", "match_exact_prepart", "match_exact_stored", "match_directed", "app_rideshare", "app_suspicious", "app_topk_partners", "app_longest", "gap_definition_window"])
 def test_no_pair_is_shuffled(spark, sf_dir, name):
     """The points are shuffled, by trajectory and by block; pairs are found and refined in one task, without a join."""
     found = plan(registry.QUERIES[name](spark, sf_dir))
@@ -78,3 +78,11 @@ def test_intermediate_counts(spark, odd):
     found = metrics.intermediate(odd, params, quadtree.build(odd, 0.05))
     assert tuple(found.first())[:4] == expected
     assert "SortMergeJoin" not in plan(found)
+
+
+def test_candidate_misses_in_blocks(spark, odd, sf_dir):
+    params = JoinParams(1.0, 6)
+    expected = rows(classify.candidate_misses(odd, pointjoin.joining_pairs(odd, None, params, "naive")))
+    for tree in (None, quadtree.build(odd, 0.05)):
+        assert rows(blocks.candidate_misses(odd, params, tree, 2)) == expected
+    assert "Join" not in plan(registry.QUERIES["miss_candidates"](spark, sf_dir))
