@@ -86,3 +86,9 @@ def test_candidate_misses_in_blocks(spark, odd, sf_dir):
     for tree in (None, quadtree.build(odd, 0.05)):
         assert rows(blocks.candidate_misses(odd, params, tree, 2)) == expected
     assert "Join" not in plan(registry.QUERIES["miss_candidates"](spark, sf_dir))
+
+
+def test_slab_plan_follows_the_table(spark, sf_dir):
+    total = registry.raw(spark, sf_dir).count() * 48
+    found = registry.QUERIES["slab_plan"](spark, sf_dir).collect()
+    assert total and {r.total_bytes for r in found} == {total} and [r.slabs for r in found] == [max(1, -(-total // r.block_bytes)) for r in found]
