@@ -46,4 +46,7 @@ def shared_segments(matches: DataFrame, pts: DataFrame, side: float) -> DataFram
     piece = matches.selectExpr("r_traj traj", "r_from seq_from", "r_to seq_to", "s_traj partner")
     steps = pts.where("next_x is not null").join(piece, "traj").where("seq >= seq_from and seq < seq_to")
     cell = lambda c: F.floor(F.col(c) / F.lit(side)).cast("long")
-    return steps.groupBy(cell("x").alias("from_x"), cell("y").alias("from_y"), cell("next_x").alias("to_x"), cell("next_y").alias("to_y")).agg(F.countDistinct("traj", "partner").alias("pairs"))
+    edge = steps.select("traj", "partner", cell("x").alias("from_x"), cell("y").alias("from_y"), cell("next_x").alias("to_x"), cell("next_y").alias("to_y"))
+    ends = ["from_x", "from_y", "to_x", "to_y"]
+    # pairs of one trajectory are told apart where the join by trajectory has them, so steps are not shuffled
+    return edge.groupBy("traj", *ends).agg(F.countDistinct("partner").alias("n")).groupBy(*ends).agg(F.sum("n").alias("pairs"))

@@ -92,3 +92,10 @@ def test_slab_plan_follows_the_table(spark, sf_dir):
     total = registry.raw(spark, sf_dir).count() * 48
     found = registry.QUERIES["slab_plan"](spark, sf_dir).collect()
     assert total and {r.total_bytes for r in found} == {total} and [r.slabs for r in found] == [max(1, -(-total // r.block_bytes)) for r in found]
+
+
+def test_network_shuffles_no_steps(spark, sf_dir):
+    """Exchanges: numbering and blocks, pieces by trajectory, counts by edge; none of (edge, trajectory, partner)."""
+    found = registry.QUERIES["app_network"](spark, sf_dir)
+    shuffled = [line for line in plan(found).splitlines() if "Exchange hashpartitioning" in line]
+    assert shuffled and not any("partner" in line and "from_x" in line for line in shuffled)
