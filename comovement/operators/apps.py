@@ -1,11 +1,19 @@
-"""Queries on the answer that the join is a building block for."""
+"""Queries on the answer that the join is a building block for.
+
+Those that keep little of many matches have a form for ``SubtrajectoryJoin.reduced`` as well: a function of a block's
+frames of matches, the schema of what it gives and, where blocks are to be put together, what is done with it."""
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .general import top_per
+from .refine import SCHEMA
 
 
 def neighbour_count(pts: DataFrame, jp: DataFrame) -> DataFrame:
@@ -20,11 +28,33 @@ def rideshare(matches: DataFrame, least_us: int) -> DataFrame:
     return matches.groupBy("r_traj", "s_traj").agg(F.count("*").alias("trips"), F.sum("lifespan_us").alias("together_us")).where(F.col("together_us") >= least_us)
 
 
+def rideshare_each(least_us: int) -> tuple[Callable, str]:
+    """``rideshare`` in blocks; a pair's matches stand in one frame, so nothing is left to put together."""
+
+    def each(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for m in frames:
+            per = m.groupby(["r_traj", "s_traj"], sort=False)["lifespan_us"].agg(["size", "sum"]).reset_index()
+            yield per[per["sum"] >= least_us].set_axis(["r_traj", "s_traj", "trips", "together_us"], axis=1)
+
+    return each, "r_traj long, s_traj long, trips long, together_us long"
+
+
 def suspicious(matches: DataFrame, least_us: int, repeats: int) -> DataFrame:
     """Pairs that moved together for least_us at a time at least ``repeats`` times."""
     return matches.where(F.col("lifespan_us") >= least_us).groupBy("r_traj", "s_traj").agg(F.count("*").alias("times"), F.max("lifespan_us").alias("longest_us")).where(F.col("times") >= repeats)
 
 
+def suspicious_each(least_us: int, repeats: int) -> tuple[Callable, str]:
+    """``suspicious`` in blocks; a pair's matches stand in one frame, so nothing is left to put together."""
+
+    def each(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for m in frames:
+            per = m[m["lifespan_us"] >= least_us].groupby(["r_traj", "s_traj"], sort=False)["lifespan_us"].agg(["size", "max"]).reset_index()
+            yield per[per["size"] >= repeats].set_axis(["r_traj", "s_traj", "times", "longest_us"], axis=1)
+
+    return each, "r_traj long, s_traj long, times long, longest_us long"
+
+
 def groups(mirrored: DataFrame, least_partners: int) -> DataFrame:
     """Trajectories with at least least_partners partners (candidates for flocks and convoys)."""
     return mirrored.groupBy("r_traj").agg(F.countDistinct("s_traj").alias("partners")).where(F.col("partners") >= least_partners).withColumnRenamed("r_traj", "traj")
@@ -36,6 +66,53 @@ def top_partners(mirrored: DataFrame, k: int) -> DataFrame:
     return top_per(best, ["r_traj"], [F.desc("longest_us"), F.col("s_traj")], k)
 
 
+HELD = 1 << 20
+"""Rows that a block gathers before it cuts them to the best."""
+
+
+def _best(frames: Iterator[pd.DataFrame], cut: Callable[[pd.DataFrame], pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """cut() of all frames of a block, a part at a time."""
+    held: list[pd.DataFrame] = []
+    kept = 0
+    for m in frames:
+        held.append(m)
+        if sum(map(len, held)) > HELD + 2 * kept:
+            held = [cut(pd.concat(held))]
+            kept = len(held[0])
+    if held:
+        yield cut(pd.concat(held))
+
+
+def top_partners_each(k: int) -> tuple[Callable, str]:
+    """``top_partners`` of undirected matches in blocks: each trajectory's best of a block, for ``top_of_blocks``."""
+
+    def both(m: pd.DataFrame) -> pd.DataFrame:
+        per = m.groupby(["r_traj", "s_traj"], sort=False)["lifespan_us"].max()
+        r, s = (per.index.get_level_values(c).to_numpy() for c in ("r_traj", "s_traj"))
+        return pd.DataFrame({"r_traj": np.append(r, s), "s_traj": np.append(s, r), "longest_us": np.tile(per.to_numpy(), 2)})
+
+    def cut(best: pd.DataFrame) -> pd.DataFrame:
+        r = best["r_traj"].to_numpy()
+        order = np.lexsort((best["s_traj"], -best["longest_us"], r))
+        r = r[order]
+        first = np.flatnonzero(np.append(True, r[1:] != r[:-1]))
+        rank = np.arange(len(r)) - np.repeat(first, np.diff(np.append(first, len(r))))
+        return best.iloc[order[rank < k]]
+
+    return lambda frames: _best(map(both, frames), cut), "r_traj long, s_traj long, longest_us long"
+
+
+def top_of_blocks(best: DataFrame, k: int) -> DataFrame:
+    """The k best partners of each trajectory among those of its blocks; a pair of trajectories is in one block."""
+    return top_per(best, ["r_traj"], [F.desc("longest_us"), F.col("s_traj")], k)
+
+
+def longest_each(k: int) -> tuple[Callable, str]:
+    """The k longest matches of a block, for ``longest``."""
+    by, down = ["lifespan_us", "r_traj", "s_traj", "r_from"], [False, True, True, True]
+    return lambda frames: _best(frames, lambda m: m.sort_values(by, ascending=down).head(k)), SCHEMA
+
+
 def longest(matches: DataFrame, k: int) -> DataFrame:
     """The k longest matches."""
     return matches.orderBy(F.desc("lifespan_us"), "r_traj", "s_traj", "r_from").limit(k)

@@ -5,7 +5,7 @@ import pytest
 
 from comovement import points, registry
 from comovement.engine import SubtrajectoryJoin
-from comovement.operators import blocks, classify, pointjoin, refine
+from comovement.operators import apps, blocks, classify, pointjoin, refine
 from comovement.params import HOUR, SET_A, SET_B, JoinParams
 from comovement.plans import quadtree
 
@@ -99,3 +99,29 @@ def test_network_shuffles_no_steps(spark, sf_dir):
     found = registry.QUERIES["app_network"](spark, sf_dir)
     shuffled = [line for line in plan(found).splitlines() if "Exchange hashpartitioning" in line]
     assert shuffled and not any("partner" in line and "from_x" in line for line in shuffled)
+
+
+def shuffled(df):
+    return [line for line in plan(df).splitlines() if "Exchange hashpartitioning" in line]
+
+
+@pytest.mark.parametrize("name", ["app_rideshare"])
+def test_no_pair_of_trajectories_is_shuffled(spark, sf_dir, name):
+    """Matches of a pair of trajectories stand in one frame, so they are put together there."""
+    found = shuffled(registry.QUERIES[name](spark, sf_dir))
+    assert found and not any("s_traj" in line.split("ENSURE")[0] for line in found)
+
+
+def test_uses_in_blocks(spark, odd, monkeypatch):
+    """The uses of matches in blocks, parts of a block put together, as of all matches."""
+    monkeypatch.setattr(blocks, "CHUNK", 500)
+    monkeypatch.setattr(apps, "HELD", 3)
+    params = JoinParams(1.0, 6, 30)
+    m = blocks.matches(odd, params, None, 1).persist()
+    in_blocks = lambda form: blocks.matches(odd, params, None, 2, *form)
+    assert rows(apps.rideshare(m, 90)) == rows(in_blocks(apps.rideshare_each(90))) != []
+    assert rows(apps.suspicious(m, 25, 3)) == rows(in_blocks(apps.suspicious_each(25, 3))) != []
+    assert rows(apps.top_partners(refine.mirrored(m), 2)) == rows(apps.top_of_blocks(in_blocks(apps.top_partners_each(2)), 2)) != []
+    best = in_blocks(apps.longest_each(4))
+    assert best.count() <= 3 * 4 < m.count()
+    assert [r.lifespan_us for r in apps.longest(best, 4).collect()] == [r.lifespan_us for r in apps.longest(m, 4).collect()]
