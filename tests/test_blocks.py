@@ -105,7 +105,7 @@ def shuffled(df):
     return [line for line in plan(df).splitlines() if "Exchange hashpartitioning" in line]
 
 
-@pytest.mark.parametrize("name", ["app_rideshare", "app_suspicious"])
+@pytest.mark.parametrize("name", ["app_rideshare", "app_suspicious", "app_topk_partners"])
 def test_no_pair_of_trajectories_is_shuffled(spark, sf_dir, name):
     """Matches of a pair of trajectories stand in one frame, so they are put together there."""
     found = shuffled(registry.QUERIES[name](spark, sf_dir))
