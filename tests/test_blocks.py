@@ -125,3 +125,12 @@ def test_uses_in_blocks(spark, odd, monkeypatch):
     best = in_blocks(apps.longest_each(4))
     assert best.count() <= 3 * 4 < m.count()
     assert [r.lifespan_us for r in apps.longest(best, 4).collect()] == [r.lifespan_us for r in apps.longest(m, 4).collect()]
+
+
+def test_gap_is_counted_in_blocks(spark, sf_dir):
+    """A block gives one row, not its matches."""
+    from comovement import metrics
+
+    expected = metrics.gap(registry.matched(spark, sf_dir, SET_B), SET_B)
+    found = registry.QUERIES["gap_definition_window"](spark, sf_dir)
+    assert "lifespan_us" not in plan(found) and rows(found) == rows(expected)
