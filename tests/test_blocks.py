@@ -134,3 +134,9 @@ def test_gap_is_counted_in_blocks(spark, sf_dir):
     expected = metrics.gap(registry.matched(spark, sf_dir, SET_B), SET_B)
     found = registry.QUERIES["gap_definition_window"](spark, sf_dir)
     assert "lifespan_us" not in plan(found) and rows(found) == rows(expected)
+
+
+def test_decorated_by_trajectory(spark, sf_dir):
+    """Matches are counted by trajectory before the customers are joined: no match is shuffled."""
+    before_join = plan(registry.QUERIES["op_decorate"](spark, sf_dir)).split("Join", 1)[1]
+    assert "partial_sum(lifespan_us" in before_join
