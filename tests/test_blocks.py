@@ -140,3 +140,13 @@ def test_decorated_by_trajectory(spark, sf_dir):
     """Matches are counted by trajectory before the customers are joined: no match is shuffled."""
     before_join = plan(registry.QUERIES["op_decorate"](spark, sf_dir)).split("Join", 1)[1]
     assert "partial_sum(lifespan_us" in before_join
+
+
+def test_match_files_are_written_where_rows_are(spark, tmp_path):
+    """Rows are not shuffled into one task for each bucket."""
+    from comovement.sources.tables import MATCH_COLUMNS, write_matches
+
+    m = spark.range(0, 96, 1, 3).selectExpr(*[f"id * 16 {c}" for c in MATCH_COLUMNS])
+    write_matches(m, str(tmp_path / "m"))
+    assert len(list((tmp_path / "m" / "r_bucket=0").glob("part-*.parquet"))) == 3
+    assert sorted(r.r_traj for r in spark.read.parquet(str(tmp_path / "m")).collect()) == [16 * k for k in range(96)]
