@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,6 +29,68 @@ def is_maximal(matches: DataFrame) -> DataFrame:
     return matches.join(other, inside & F.expr("not (o_r_from = r_from and o_r_to = r_to and o_s_from = s_from and o_s_to = s_to)"), "left_anti")
 
 
+PIECE = 1 << 20
+"""Rows that a test of frames looks at in one go."""
+
+
+def _spread(first: np.ndarray, last: np.ndarray):
+    """For each piece of rows: rows (repeated) and the places first to last (exclusive) of each."""
+    n = np.maximum(last - first, 0)
+    upto, start = np.cumsum(n), 0
+    while start < len(n):
+        done = int(upto[start - 1]) if start else 0
+        stop = max(start + 1, int(np.searchsorted(upto, done + PIECE, "right")))
+        row = np.repeat(np.arange(start, stop), n[start:stop])
+        yield row, np.arange(len(row)) - np.repeat(upto[start:stop] - n[start:stop] - done, n[start:stop]) + first[row]
+        start = stop
+
+
+def _pairs_of(*frames: pd.DataFrame) -> list[np.ndarray]:
+    """A number for each row's pair of trajectories, the same in all frames."""
+    r, s = (np.unique(np.concatenate([f[c] for f in frames]), return_inverse=True)[1] for c in ("r_traj", "s_traj"))
+    pair = np.unique(r * (int(s.max(initial=0)) + 1) + s, return_inverse=True)[1]
+    return np.split(pair, np.cumsum([len(f) for f in frames])[:-1])
+
+
+def matching_rows(edges: pd.DataFrame, m: pd.DataFrame, params: JoinParams) -> np.ndarray:
+    """``is_matching`` of a frame: edges (r_traj, s_traj, r_seq, s_seq) are all joining pairs of the pairs of trajectories of m."""
+    pair_m, pair_e = _pairs_of(m, edges)
+    order = np.lexsort((edges["r_seq"], pair_e))
+    pair_e, q, v = pair_e[order], edges["r_seq"].to_numpy()[order], edges["s_seq"].to_numpy()[order]
+    numbers = np.unique(q)
+    step = len(numbers) + 1  # (pair, number) as one, by the number's rank
+    key = pair_e * step + np.searchsorted(numbers, q)
+    first = np.searchsorted(key, pair_m * step + np.searchsorted(numbers, m["r_from"]))
+    last = np.searchsorted(key, pair_m * step + np.searchsorted(numbers, m["r_to"], "right"))
+    lo, hi = m["s_from"].to_numpy(), m["s_to"].to_numpy()
+    covered = np.zeros((2, len(m)), np.int64)
+    for row, at in _spread(first, last):
+        inside = (v[at] >= lo[row]) & (v[at] <= hi[row])
+        row, at = row[inside], at[inside]
+        for side, number in enumerate((q[at], v[at])):
+            by = np.lexsort((number, row))
+            new = np.append(True, (np.diff(row[by]) != 0) | (np.diff(number[by]) != 0))[: len(by)]
+            covered[side] += np.bincount(row[by][new], minlength=len(m))
+    full = (covered[0] == m["r_to"] - m["r_from"] + 1) & (covered[1] == hi - lo + 1)
+    return (full & (m["lifespan_us"] >= params.lifespan_floor_us)).to_numpy()
+
+
+def maximal_rows(m: pd.DataFrame) -> np.ndarray:
+    """``is_maximal`` of a frame with all matches of its pairs of trajectories."""
+    (pair,) = _pairs_of(m)
+    order = np.argsort(pair, kind="stable")
+    ends = [m[c].to_numpy()[order] for c in ("r_from", "s_from", "r_to", "s_to")]
+    first, last = (np.searchsorted(pair[order], pair[order], side) for side in ("left", "right"))
+    inside = np.zeros(len(m), bool)
+    for row, at in _spread(first, last):
+        holds = (ends[0][at] <= ends[0][row]) & (ends[1][at] <= ends[1][row]) & (ends[2][at] >= ends[2][row]) & (ends[3][at] >= ends[3][row])
+        same = np.logical_and.reduce([e[at] == e[row] for e in ends])
+        inside[row[holds & ~same]] = True
+    out = np.empty(len(m), bool)
+    out[order] = ~inside
+    return out
+
+
 def brute_force(jp: DataFrame, pts: DataFrame, params: JoinParams) -> DataFrame:
     """All maximal matches by enumerating pieces of runs; exponential in nothing but quartic in run length."""
 

@@ -5,7 +5,7 @@ import pytest
 
 from comovement import points, registry
 from comovement.engine import SubtrajectoryJoin
-from comovement.operators import apps, blocks, classify, pointjoin, refine
+from comovement.operators import apps, blocks, classify, pointjoin, refine, semantics
 from comovement.params import HOUR, SET_A, SET_B, JoinParams
 from comovement.plans import quadtree
 
@@ -150,3 +150,21 @@ def test_match_files_are_written_where_rows_are(spark, tmp_path):
     write_matches(m, str(tmp_path / "m"))
     assert len(list((tmp_path / "m" / "r_bucket=0").glob("part-*.parquet"))) == 3
     assert sorted(r.r_traj for r in spark.read.parquet(str(tmp_path / "m")).collect()) == [16 * k for k in range(96)]
+
+
+def test_definition_in_blocks(spark, odd, sf_dir, monkeypatch):
+    """The tests of the definition on frames, as of the pairs' own, on matches of which some are cut, widened or repeated."""
+    monkeypatch.setattr(semantics, "PIECE", 50)
+    params = JoinParams(1.0, 6, 30)
+    jp = pointjoin.joining_pairs(odd, None, params, "naive").where("r_traj < s_traj").persist()
+    m = refine.maximal_matches(jp, params)
+    m = m.unionByName(m.where("r_from % 3 = 0").withColumn("r_from", m.r_from + 1)).unionByName(m.where("s_to % 3 = 0").withColumn("s_to", m.s_to + 1)).unionByName(m.where("s_to % 5 = 0").withColumn("lifespan_us", m.lifespan_us - 20)).persist()
+    key = ["r_traj", "s_traj", "r_from", "r_to", "s_from", "s_to", "lifespan_us"]
+    frame = m.toPandas()
+    for kept, expected in ((semantics.matching_rows(jp.toPandas(), frame, params), semantics.is_matching(jp, m, params).where("matching")), (semantics.maximal_rows(frame), semantics.is_maximal(m))):
+        assert 0 < sum(kept) < len(frame)
+        assert sorted(map(tuple, frame[kept][key].to_numpy().tolist())) == sorted(map(tuple, expected.select(*key).collect()))
+    n = blocks.matches(odd, params).count()
+    assert tuple(blocks.checked(odd, params, quadtree.build(odd, 0.05), 2).first()) == (n, n, n)
+    assert tuple(blocks.checked(odd.where("false"), params).first()) == (0, 0, 0)
+    assert "Join" not in plan(registry.QUERIES["check_matching"](spark, sf_dir))
