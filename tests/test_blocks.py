@@ -168,3 +168,14 @@ def test_definition_in_blocks(spark, odd, sf_dir, monkeypatch):
     assert tuple(blocks.checked(odd, params, quadtree.build(odd, 0.05), 2).first()) == (n, n, n)
     assert tuple(blocks.checked(odd.where("false"), params).first()) == (0, 0, 0)
     assert "Join" not in plan(registry.QUERIES["check_matching"](spark, sf_dir))
+
+
+def test_pairs_and_breaks_in_one_join(spark, odd, sf_dir):
+    """An outer join of points gives what one of points and pairs gives; the query has that one join."""
+    params = JoinParams(0.5, 2)
+    expected = classify.pairs_and_breaks(odd, pointjoin.joining_pairs(odd, None, params, "naive"))
+    assert expected.where("kind = 'BP'").count() > 3
+    text = lambda df: sorted(str(tuple(r)) for r in df.select(*pointjoin.OUT, "kind").collect())
+    assert text(pointjoin.pairs_and_breaks(odd, params)) == text(expected)
+    found = registry.QUERIES["jp_bp_outer"](spark, sf_dir)
+    assert plan(found).split("== Initial Plan ==")[0].count("Join") == 1
