@@ -179,3 +179,9 @@ def test_pairs_and_breaks_in_one_join(spark, odd, sf_dir):
     assert text(pointjoin.pairs_and_breaks(odd, params)) == text(expected)
     found = registry.QUERIES["jp_bp_outer"](spark, sf_dir)
     assert plan(found).split("== Initial Plan ==")[0].count("Join") == 1
+
+
+def test_numbers_are_joined_to_points(spark, sf_dir):
+    """Without the trajectory index: the numbering is joined to the slabs' rows before the sweep, not to its pairs."""
+    found = plan(registry.QUERIES["jp_indexed_no_traj_index"](spark, sf_dir))
+    assert found.count("Join") == 1 and found.index("MapInPandas") < found.index("Join")
