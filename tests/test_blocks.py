@@ -185,3 +185,16 @@ def test_numbers_are_joined_to_points(spark, sf_dir):
     """Without the trajectory index: the numbering is joined to the slabs' rows before the sweep, not to its pairs."""
     found = plan(registry.QUERIES["jp_indexed_no_traj_index"](spark, sf_dir))
     assert found.count("Join") == 1 and found.index("MapInPandas") < found.index("Join")
+
+
+def test_rounds_of_open_edges(spark, odd, sf_dir):
+    """Pairs that can be in no match do not leave their block; the rounds give the same matches of the rest."""
+    params = JoinParams(1.0, 6, 30)
+    jp = pointjoin.joining_pairs(odd, None, params, "naive").where("r_traj < s_traj")
+    expected = rows(refine.maximal_matches(jp, params))
+    for tree in (None, quadtree.build(odd, 0.05)):
+        edges = blocks.open_edges(odd, params, tree, 2)
+        assert edges.exceptAll(jp.select(*edges.columns)).count() == 0 and edges.count() < jp.count()
+        assert rows(refine.by_rounds(edges, params)) == expected
+    assert blocks.open_edges(odd.where("false"), params).count() == 0
+    assert "Join" not in plan(registry.QUERIES["match_rounds"](spark, sf_dir))
