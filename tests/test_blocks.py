@@ -198,3 +198,24 @@ def test_rounds_of_open_edges(spark, odd, sf_dir):
         assert rows(refine.by_rounds(edges, params)) == expected
     assert blocks.open_edges(odd.where("false"), params).count() == 0
     assert "Join" not in plan(registry.QUERIES["match_rounds"](spark, sf_dir))
+
+
+def test_methods_compared_in_blocks(spark, odd, sf_dir, monkeypatch):
+    """Pairs by time and by cells are compared where both are found; a pair lost or doubled by the cells is counted."""
+    from comovement.plans.quadtree import CellTable
+
+    monkeypatch.setattr(blocks, "CHUNK", 500)
+    params, tree = JoinParams(1.0, 6), quadtree.build(odd, 0.05)
+    n = pointjoin.joining_pairs(odd, None, params, "naive").count()
+    assert tuple(blocks.compare_cells(odd, params, tree, 2).first()) == (0, 0, n, 0)
+    assert "Join" not in plan(registry.QUERIES["compare_methods"](spark, sf_dir))
+    assert list(blocks.bag_difference(np.array([1, 1, 2, 5]), np.array([1, 2, 2, 7]))) == [2, 2, 2, 1]
+    own = odd.select("traj", "seq", "t", "x", "y").where("traj < 99").toPandas().sort_values(["traj", "seq"])
+    side = blocks.Side(*[own[c].to_numpy() for c in own.columns])
+
+    class Blind(CellTable):
+        def touched(self, x, y, eps):
+            return np.arange(len(x)), self.home(x, y)  # nothing across a cell's border
+
+    found = sum(blocks.bag_difference(*[r.astype(np.int64) * len(side.t) + s for r, s in both]) for both in blocks.chunks_together(side, side, True, params, [None, Blind(tree.coarsened(params.eps_sp))]))
+    assert found[0] > 0 and found[1] == found[3] == 0 and found[2] > 0
