@@ -219,3 +219,22 @@ def test_methods_compared_in_blocks(spark, odd, sf_dir, monkeypatch):
 
     found = sum(blocks.bag_difference(*[r.astype(np.int64) * len(side.t) + s for r, s in both]) for both in blocks.chunks_together(side, side, True, params, [None, Blind(tree.coarsened(params.eps_sp))]))
     assert found[0] > 0 and found[1] == found[3] == 0 and found[2] > 0
+
+
+@pytest.mark.parametrize("cells", [False, True])
+def test_non_joining_pairs_as_from_pairs(spark, odd, cells, monkeypatch):
+    monkeypatch.setattr(blocks, "PIECE", 700)  # fewer than a block has points, or few rows of one
+    few, params = odd.where("pmod(pid, 3) = 0 or traj = 99").persist(), JoinParams(1.0, 5)
+    tree = quadtree.build(few, 0.05) if cells else None
+    expected = rows(classify.non_joining(few, pointjoin.joining_pairs(few, None, params, "naive")))
+    assert len(expected) > 1000
+    for groups in (1, 3):
+        assert rows(blocks.non_joining(few, params, tree, groups)) == expected
+    assert blocks.non_joining(few.where("traj = 0"), params).count() == 0
+
+
+def test_non_joining_pairs_are_not_shuffled(spark, sf_dir):
+    """The pairs come from the last step, which nothing follows, and only points are joined."""
+    found = plan(registry.QUERIES["njp_pairs"](spark, sf_dir)).split("== Initial Plan ==")[0]
+    assert "CartesianProduct" not in found and "NestedLoop" not in found and "LeftAnti" not in found
+    assert found.replace("AdaptiveSparkPlan isFinalPlan=false", "").lstrip(" \n+-").lower().startswith("mapinpandas")
