@@ -238,3 +238,20 @@ def test_non_joining_pairs_are_not_shuffled(spark, sf_dir):
     found = plan(registry.QUERIES["njp_pairs"](spark, sf_dir)).split("== Initial Plan ==")[0]
     assert "CartesianProduct" not in found and "NestedLoop" not in found and "LeftAnti" not in found
     assert found.replace("AdaptiveSparkPlan isFinalPlan=false", "").lstrip(" \n+-").lower().startswith("mapinpandas")
+
+
+@pytest.mark.parametrize("name", ["match_directed"])
+def test_points_are_dealt_once(spark, sf_dir, name, monkeypatch):
+    """However many groups there are, each point lies in one file of one group, and no point is sent to blocks."""
+    monkeypatch.setattr(blocks, "LEAST_GROUPS", 9)
+    paths, deal = [], blocks.dealt
+    monkeypatch.setattr(blocks, "dealt", lambda pts, groups: paths.append(deal(pts, groups)) or paths[-1])
+    found = registry.QUERIES[name](spark, sf_dir)
+    assert "Exchange" not in plan(found) and len(paths) == 1
+    dealt = spark.read.parquet(paths[0])
+    files = dealt.selectExpr("g", "traj", "seq", "input_file_name() f")
+    assert dealt.count() == points.companions(registry.raw(spark, sf_dir)).count() == dealt.select("traj", "seq").distinct().count()
+    assert files.select("g").distinct().count() == files.select("g", "f").distinct().count() > 6
+    assert files.select("traj").distinct().count() == files.select("traj", "g").distinct().count()
+    expected = registry.QUERIES["match_exact_basic"](spark, sf_dir)
+    assert rows(found) == rows(refine.mirrored(expected) if name == "match_directed" else expected)
