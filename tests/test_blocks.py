@@ -255,3 +255,26 @@ def test_points_are_dealt_once(spark, sf_dir, name, monkeypatch):
     assert files.select("traj").distinct().count() == files.select("traj", "g").distinct().count()
     expected = registry.QUERIES["match_exact_basic"](spark, sf_dir)
     assert rows(found) == rows(refine.mirrored(expected) if name == "match_directed" else expected)
+
+
+@pytest.mark.parametrize("params", PARAMS)
+def test_basic_sweeps_stretches(spark, odd, params):
+    one, other = odd.where("pmod(traj, 2) = 0"), odd.where("pmod(traj, 2) = 1")
+    for left, right in ((odd, None), (one, other)):
+        expected = rows(pointjoin.joining_pairs(left, right, params, "naive"))
+        assert len(expected) > 50
+        for n in (1, 16, 300):  # slabs narrower than the tolerance, too
+            assert rows(pointjoin.joining_pairs(left, right, params, "basic", n_slabs=n)) == expected
+
+
+def test_basic_tests_few_pairs(spark, sf_dir, monkeypatch):
+    """No join of all points of neighbouring buckets: what is tested is near along x, and each pair is tested once."""
+    assert "Join" not in plan(registry.QUERIES["jp_basic"](spark, sf_dir))
+    rng, n, tested = np.random.default_rng(2), 3000, []
+    rows_ = {"t": np.sort(rng.integers(0, 600, n)), "x": rng.random(n) * 100, "y": rng.random(n) * 100, "traj": rng.integers(0, 50, n), "seq": np.arange(n), "home": np.ones(n, bool)}
+    monkeypatch.setitem(pointjoin._NEAR, "euclid", lambda dx, dy, eps, f=pointjoin._NEAR["euclid"]: tested.append(len(dx)) or f(dx, dy, eps))
+    found = sum(len(f) for f in pointjoin._strips(rows_, JoinParams(5.0, 100), True, 5000))
+    dt, dx = (np.abs(np.subtract.outer(rows_[c], rows_[c])) for c in ("t", "x"))
+    d2 = dx**2 + np.subtract.outer(rows_["y"], rows_["y"]) ** 2
+    assert found == np.count_nonzero((dt <= 100) & (d2 <= 25) & np.not_equal.outer(rows_["traj"], rows_["traj"])) > 0
+    assert sum(tested) < 0.7 * np.count_nonzero((dt <= 100) & (dx <= 5))
