@@ -240,7 +240,7 @@ def test_non_joining_pairs_are_not_shuffled(spark, sf_dir):
     assert found.replace("AdaptiveSparkPlan isFinalPlan=false", "").lstrip(" \n+-").lower().startswith("mapinpandas")
 
 
-@pytest.mark.parametrize("name", ["match_directed", "match_exact_stored"])
+@pytest.mark.parametrize("name", ["match_directed", "match_exact_auto", "match_exact_stored"])
 def test_points_are_dealt_once(spark, sf_dir, name, monkeypatch):
     """However many groups there are, each point lies in one file of one group, and no point is sent to blocks."""
     monkeypatch.setattr(blocks, "LEAST_GROUPS", 9)
