@@ -1,5 +1,7 @@
 """Whole trajectory pairs in blocks: the answers of the pairs' own operators, and no pair in a shuffle."""
 
+import time
+
 import numpy as np
 import pytest
 
@@ -257,6 +259,50 @@ def test_points_are_dealt_once(spark, sf_dir, name, monkeypatch):
     assert rows(found) == rows(refine.mirrored(expected) if name == "match_directed" else expected)
 
 
+def test_points_are_numbered_in_their_groups(spark, sf_dir):
+    """One shuffle numbers and deals points; ties in time, negative and repeated ids are numbered as everywhere."""
+    rows_ = [(k % 7 - 3, k * k % 11, float(k % 5), float(k % 3), k // 2) for k in range(400)]
+    for pts in (spark.createDataFrame(rows_, "traj long, t long, x double, y double, pid long").dropDuplicates(["traj", "t", "pid"]).persist(), registry.raw(spark, sf_dir, True)):
+        numbered = points.with_sequence(pts)
+        found = blocks.in_groups(pts, 5)
+        assert plan(found).count("Exchange ") - plan(pts).count("Exchange ") == 1
+        assert rows(found) == rows(blocks.in_groups(numbered, 5))
+        assert rows(found.select("traj", "seq", "t", "x", "y")) == rows(numbered.select("traj", "seq", "t", "x", "y"))
+        back = blocks.points_of(spark, blocks.dealt(pts, 5))
+        assert rows(back) == rows(found) and back.columns == found.columns
+        at = [(r.g, r.traj, r.seq) for r in found.collect()]
+        assert at == sorted(at)
+
+
+def shuffle_files(spark):
+    return {f.getName() for f in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()) if f.getName().startswith("shuffle_")}
+
+
+def test_no_files_of_shuffles_stay_behind_dealing(spark, sf_dir):
+    before, end = shuffle_files(spark), time.time() + 30
+    blocks.dealt(registry.raw(spark, sf_dir, True), 5)
+    while (left := shuffle_files(spark) - before) and time.time() < end:
+        time.sleep(0.2)  # another thread deletes them
+    assert not left
+
+
+def test_auto_shuffles_its_points_once(spark, sf_dir, monkeypatch):
+    """Points come to their groups without numbers, tree and method from what is dealt."""
+    given, deal, build = [], blocks.dealt, quadtree.build
+    monkeypatch.setattr(blocks, "dealt", lambda pts, groups: given.append(pts) or deal(pts, groups))
+    monkeypatch.setattr(quadtree, "build", lambda pts, cap: given.append(pts) or build(pts, cap))
+    found = registry.QUERIES["match_exact_auto"](spark, sf_dir)
+    raw, own = given
+    assert "seq" not in raw.columns and "Exchange" not in plan(raw) and "groups-" in own.inputFiles()[0]
+    assert rows(found) == rows(registry.QUERIES["match_exact_basic"](spark, sf_dir))
+
+
+def test_engine_without_points(spark, odd):
+    none = odd.select("traj", "t", "x", "y", "pid").where("false")
+    for method in ("auto", "prepart", "indexed"):
+        assert SubtrajectoryJoin(SET_A, method).run(none).count() == 0
+
+
 @pytest.mark.parametrize("params", PARAMS)
 def test_basic_sweeps_stretches(spark, odd, params):
     one, other = odd.where("pmod(traj, 2) = 0"), odd.where("pmod(traj, 2) = 1")
