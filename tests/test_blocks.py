@@ -1,5 +1,6 @@
 """Whole trajectory pairs in blocks: the answers of the pairs' own operators, and no pair in a shuffle."""
 
+import os
 import time
 
 import numpy as np
@@ -10,6 +11,8 @@ from comovement.engine import SubtrajectoryJoin
 from comovement.operators import apps, blocks, classify, pointjoin, refine, semantics
 from comovement.params import HOUR, SET_A, SET_B, JoinParams
 from comovement.plans import quadtree
+from comovement.sources import store
+from comovement.sources.scratch import scratch
 
 
 def rows(df):
@@ -297,6 +300,26 @@ def test_auto_shuffles_its_points_once(spark, sf_dir, monkeypatch):
     assert rows(found) == rows(registry.QUERIES["match_exact_basic"](spark, sf_dir))
 
 
+def test_store_keeps_little_on_its_way(spark, sf_dir, odd, tmp_path, monkeypatch):
+    """The store has what is asked of it and no samples twice; what it writes on its way and its shuffles are gone."""
+    odd.count()  # persisted by now
+    made, before, end = [], shuffle_files(spark), time.time() + 30
+    monkeypatch.setattr(store, "scratch", lambda s, name: made.append(scratch(s, name)) or made[-1])
+    plain = odd.select("traj", "t", "x", "y", "pid")
+    prepared = store.prepare(plain, str(tmp_path / "s"), 5, 0.05)
+    assert len(made) == 1 and not os.path.exists(made[0].removeprefix("file:"))
+    while len(left := {f.split("_")[1] for f in shuffle_files(spark) - before}) > 3 and time.time() < end:
+        time.sleep(0.2)
+    assert len(left) <= 3  # those of slabs and tree, which are small
+    assert sorted(spark.read.parquet(f"{tmp_path}/s/points").columns) == sorted(["traj", "t", "x", "y", "pid", "seq", "slab"])
+    found, numbered = prepared.points(spark), points.with_sequence(plain)
+    assert rows(found.drop("slab").select(*numbered.columns).na.fill(-1)) == rows(numbered.na.fill(-1))
+    assert rows(found.select("slab", "t")) == rows(plain.select(prepared.slabs.of(plain.t).alias("slab"), "t"))
+    assert prepared.tree == quadtree.build(plain, 0.05)
+    assert "Exchange" not in plan(found.select("traj", "seq", "t", "x", "y"))
+    assert store.prepare(plain.where("false"), str(tmp_path / "none")).points(spark).count() == 0
+
+
 def test_engine_without_points(spark, odd):
     none = odd.select("traj", "t", "x", "y", "pid").where("false")
     for method in ("auto", "prepart", "indexed"):
