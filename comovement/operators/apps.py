@@ -127,3 +127,47 @@ def shared_segments(matches: DataFrame, pts: DataFrame, side: float) -> DataFram
     ends = ["from_x", "from_y", "to_x", "to_y"]
     # pairs of one trajectory are told apart where the join by trajectory has them, so steps are not shuffled
     return edge.groupBy("traj", *ends).agg(F.countDistinct("partner").alias("n")).groupBy(*ends).agg(F.sum("n").alias("pairs"))
+
+
+def _whole_cells(v: np.ndarray, side: float) -> np.ndarray:
+    """floor(v / side) as a long, at its ends beyond them."""
+    f, end = np.floor(v / side), 2.0**63
+    return np.where(f >= end, np.iinfo(np.int64).max, np.where(f >= end, 0.0, np.maximum(f, -end)).astype(np.int64))
+
+
+def shared_segments_each(side: float) -> tuple[Callable, str]:
+    """``shared_segments`` in blocks, with the sides of a block (``reduced`` with sides=True): the pairs of its trajectories on each
+    edge, for ``segments_of_blocks``. A pair's matches stand in one frame, so its edges are told apart there."""
+
+    def steps(own) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Edges of a side, the edge from each point to the next (the last one's is not used), and its points as one number."""
+        (xs, x), (ys, y) = (np.unique(_whole_cells(v, side), return_inverse=True) for v in (own.x, own.y))
+        cells, cell = np.unique(x * len(ys) + y, return_inverse=True)
+        edges, at = np.unique(cell * len(cells) + np.roll(cell, -1), return_inverse=True)
+        ends = [cells[k] for k in np.divmod(edges, len(cells))]
+        return np.column_stack([v for end in ends for v in (xs[end // len(ys)], ys[end % len(ys)])]), at, own.place(own.code, own.seq)
+
+    def each(frames: Iterator[pd.DataFrame], a, b) -> Iterator[pd.DataFrame]:
+        sides = [(own, *steps(own)) for own in ((a,) if a is b else (a, b))]
+        n = [np.zeros(len(edges), np.int64) for _, edges, _, _ in sides]
+        for m in frames:
+            r, first, last = (m[c].to_numpy() for c in ("r_traj", "r_from", "r_to"))
+            pair = np.unique(np.column_stack([r, m["s_traj"].to_numpy()]), axis=0, return_inverse=True)[1].ravel()
+            for k, (own, edges, at, place) in enumerate(sides):
+                code = np.searchsorted(own.names, r)
+                ok = own.names[np.minimum(code, len(own.names) - 1)] == r
+                # numbers of a piece are consecutive, so are its rows
+                start, size = np.searchsorted(place, own.place(code[ok], first[ok])), (last - first)[ok]
+                row = np.repeat(start - np.append(0, np.cumsum(size)[:-1]), size) + np.arange(size.sum())
+                used = np.unique(np.repeat(pair[ok], size) * len(edges) + at[row])
+                n[k] += np.bincount(used % len(edges), minlength=len(edges))
+        for (_, edges, _, _), pairs in zip(sides, n):
+            found = pd.DataFrame(edges[pairs > 0], columns=["from_x", "from_y", "to_x", "to_y"])
+            yield found.assign(n=pairs[pairs > 0])
+
+    return each, "from_x long, from_y long, to_x long, to_y long, n long"
+
+
+def segments_of_blocks(found: DataFrame) -> DataFrame:
+    """The movement network of what blocks found; a pair of trajectories is in one block."""
+    return found.groupBy("from_x", "from_y", "to_x", "to_y").agg(F.sum("n").alias("pairs"))

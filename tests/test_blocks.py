@@ -106,6 +106,26 @@ def test_network_shuffles_no_steps(spark, sf_dir):
     assert shuffled and not any("partner" in line and "from_x" in line for line in shuffled)
 
 
+@pytest.mark.parametrize("params", [JoinParams(1.0, 6, 30), JoinParams(0.5, 9, 40, "manhattan", 1)])
+def test_network_in_blocks(spark, odd, sf_dir, params, monkeypatch):
+    """The edges of the pairs in blocks as of all matches; no match leaves its block, so none is sent to the driver for a join."""
+    monkeypatch.setattr(blocks, "CHUNK", 500)
+    whole = odd.selectExpr("traj", "seq", "t", "x * 7 - 9 x", "y * 7 y", "lead(x) over (partition by traj order by seq) * 7 - 9 next_x", "lead(y) over (partition by traj order by seq) * 7 next_y")
+    m = blocks.matches(odd, params, None, 1).persist()
+    expected = rows(apps.shared_segments(m, whole, 20.0))
+    each, schema = apps.shared_segments_each(20.0)
+
+    def moved(frames, a, b):
+        for side in {id(a): a, id(b): b}.values():
+            side.x, side.y = side.x * 7 - 9, side.y * 7
+        yield from each(frames, a, b)
+
+    for groups in (1, 3):
+        found = blocks.matches(odd, params, None, groups, lambda frames, a, b: moved(list(frames), a, b), schema, sides=True)
+        assert rows(apps.segments_of_blocks(found)) == expected != []
+    assert "Join" not in plan(registry.QUERIES["app_network"](spark, sf_dir))
+
+
 def shuffled(df):
     return [line for line in plan(df).splitlines() if "Exchange hashpartitioning" in line]
 
