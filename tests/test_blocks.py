@@ -85,6 +85,35 @@ def test_intermediate_counts(spark, odd):
     assert "SortMergeJoin" not in plan(found)
 
 
+def side_of(pts):
+    own = pts.select("traj", "seq", "t", "x", "y").toPandas().sort_values(["traj", "seq"])
+    return blocks.Side(*[own[c].to_numpy() for c in own.columns])
+
+
+@pytest.mark.parametrize("bits", [None, 28])
+def test_misses_are_counted(odd, monkeypatch, bits):
+    """Misses are counted from sorted pairs, with no frame of them, and points that join as bits, 64 in a row."""
+    params = JoinParams(1.0, 6)
+    a, b = side_of(odd.where("traj < 50")), side_of(odd.where("traj >= 50"))
+    if bits:
+        monkeypatch.setattr(blocks, "_bits", lambda n: bits)  # pairs of trajectories do not fit beside the numbers
+    for one, other in ((a, b), (b, a), (a, a)):
+        r, s = (np.concatenate(f) for f in zip(*blocks.chunks(one, other, one is other, params, None)))
+        frames = list(blocks.misses_of(one, other, r, s))
+        near = {p: set(zip(r[one.code[r] == p].tolist(), s[one.code[r] == p].tolist())) for p in range(len(one.names))}
+        expected = set()
+        for p, pairs in near.items():
+            for own, far, pairs in ((one, other, pairs), (other, one, {(v, q) for q, v in pairs})):
+                hit = {(own.code[q], far.code[v], far.seq[v]) for q, v in pairs}
+                expected |= {(own.names[own.code[q]], own.seq[q], far.names[far.code[v]], far.seq[v] + d) for q, v in pairs for d in (-1, 1) if 1 <= far.seq[v] + d <= far.last[far.code[v]] and (own.code[q], far.code[v], far.seq[v] + d) not in hit}
+        found = [tuple(m) for f in frames for m in f.to_numpy()]
+        assert len(found) == len(set(found)) == blocks.count_misses(one, other, r, s) > 100 and set(found) == expected
+    monkeypatch.setattr(blocks, "misses_of", None)
+    sent = list(blocks._tally(a, b, blocks.chunks(a, b, False, params, None)))
+    assert sum(map(len, sent)) == 1 + sum(-(-len(side.t) // 64) for side in (a, b))
+    assert sum(int(f["n_miss"].sum()) for f in sent) > 100
+
+
 def test_candidate_misses_in_blocks(spark, odd, sf_dir):
     params = JoinParams(1.0, 6)
     expected = rows(classify.candidate_misses(odd, pointjoin.joining_pairs(odd, None, params, "naive")))
