@@ -235,6 +235,30 @@ def test_pairs_and_breaks_in_one_join(spark, odd, sf_dir):
     assert plan(found).split("== Initial Plan ==")[0].count("Join") == 1
 
 
+def test_breaks_in_blocks(spark, odd, sf_dir, monkeypatch):
+    """Pairs do not follow a shuffle, points are not copied for one, and points that break are found without all of their candidates."""
+    found = plan(registry.QUERIES["jp_bp_outer"](spark, sf_dir)).split("== Initial Plan ==")[0]
+    assert "Generate" not in found and all("traj" in line for line in found.splitlines() if "Exchange hashpartitioning" in line)
+    for params in (JoinParams(0.5, 2), JoinParams(0.5, 0), JoinParams(1.0, 6)):
+        expected = classify.pairs_and_breaks(odd, pointjoin.joining_pairs(odd, None, params, "naive"))
+        for groups in (1, 4):
+            assert sorted(map(str, pointjoin.pairs_and_breaks(odd, params, 0.05, groups).select(*pointjoin.OUT, "kind").collect())) == sorted(map(str, expected.select(*pointjoin.OUT, "kind").collect()))
+    none = pointjoin.pairs_and_breaks(odd.where("false"), SET_A)
+    assert none.count() == 0
+    one = pointjoin.pairs_and_breaks(odd.where("traj = 0"), SET_A)
+    assert one.where("kind = 'BP'").count() == one.count() == odd.where("traj = 0").count()
+    rng, n, tested = np.random.default_rng(3), 4000, []
+    own = blocks.Side(np.repeat(np.arange(50), 80), np.tile(np.arange(1, 81), 50), rng.integers(0, 500, n), rng.random(n) * 50, rng.random(n) * 50)
+    own.x[::1000] += 1e6
+    params = JoinParams(6.0, 50)
+    monkeypatch.setitem(blocks._NEAR, "euclid", lambda dx, dy, eps, f=blocks._NEAR["euclid"]: tested.append(len(dx)) or f(dx, dy, eps))
+    alone = blocks._alone(own, iter([own]), params, None)
+    near = [np.abs(np.subtract.outer(v, v)) for v in (own.t, own.x, own.y)]
+    joins = (near[0] <= 50) & (near[1] ** 2 + near[2] ** 2 <= 36) & np.not_equal.outer(own.code, own.code)
+    assert list(alone) == list(np.flatnonzero(~joins.any(axis=1))) and len(alone) >= 4
+    assert sum(tested) < np.count_nonzero((near[0] <= 50) & (near[1] <= 6)) / 2
+
+
 def test_numbers_are_joined_to_points(spark, sf_dir):
     """Without the trajectory index: the numbering is joined to the slabs' rows before the sweep, not to its pairs."""
     found = plan(registry.QUERIES["jp_indexed_no_traj_index"](spark, sf_dir))
