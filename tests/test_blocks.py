@@ -46,6 +46,32 @@ def test_matches_as_from_pairs(spark, odd, params, cells, monkeypatch):
         assert rows(blocks.matches(odd, params, tree, groups)) == expected
 
 
+@pytest.mark.parametrize("bits", [None, 28])
+def test_rounds_of_matches(spark, odd, bits, monkeypatch):
+    """Only components that a side splits are sorted again; numbers that do not fit in a key are sorted as columns."""
+    side, params = side_of(odd), JoinParams(1.0, 6, 30)
+    r, s = (np.concatenate(f) for f in zip(*blocks.chunks(side, side, True, params, None)))
+    expected = rows(refine.maximal_matches(pointjoin.joining_pairs(odd, None, params, "naive").where("r_traj < s_traj"), params))
+    if bits:
+        monkeypatch.setattr(blocks, "_bits", lambda n: bits)
+    sizes, repeat = [], np.repeat
+    monkeypatch.setattr(blocks.np, "repeat", lambda a, n, **k: sizes.append(len(out := repeat(a, n, **k))) or out)
+    found = blocks.matches_of(side, side, r, s, params)
+    monkeypatch.undo()
+    assert sorted(map(tuple, found[sorted(found.columns)].to_numpy().tolist())) == expected
+    assert sizes[-1] < found["n_r"].sum()  # of all pairs of the matches, some are in the last round
+
+
+def test_lifespan_is_asked_in_the_rounds(spark, odd):
+    """Matches of a least lifespan are those of all that last so long; shorter ones are not made."""
+    params = JoinParams(1.0, 6, 30)
+    m = blocks.matches(odd, params, None, 2).persist()
+    for least in (0, 25, 60):
+        found = rows(blocks.matches(odd, params, None, 2, least_us=least))
+        assert found == rows(m.where(f"lifespan_us >= {least}")) != []
+    assert len(found) < m.count()
+
+
 def test_nothing(spark, odd):
     none = odd.where("false")
     assert blocks.matches(none, SET_A).count() == 0
